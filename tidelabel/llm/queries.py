@@ -1,9 +1,10 @@
 """The operators' queries, by name."""
 
-from tidelabel.llm import bpe, packing
+from tidelabel.llm import bpe, minhash, packing
 
 QUERIES = {
     "op3_bpe_trie": bpe.op3_bpe_trie,
     "op4_packing": packing.op4_packing,
+    "op5_minhash": minhash.op5_minhash,
 }
 ORACLES: dict[str, str] = {}
