@@ -1,10 +1,11 @@
 """The operators' queries, by name."""
 
-from tidelabel.llm import bpe, minhash, packing
+from tidelabel.llm import bpe, minhash, packing, toxicity
 
 QUERIES = {
     "op3_bpe_trie": bpe.op3_bpe_trie,
     "op4_packing": packing.op4_packing,
     "op5_minhash": minhash.op5_minhash,
+    "op9_kneser_ney": toxicity.op9_kneser_ney,
 }
 ORACLES: dict[str, str] = {}
