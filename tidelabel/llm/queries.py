@@ -1,8 +1,9 @@
 """The operators' queries, by name."""
 
-from tidelabel.llm import bpe, minhash, packing, toxicity
+from tidelabel.llm import bpe, language, minhash, packing, toxicity
 
 QUERIES = {
+    "op1_language": language.op1_language,
     "op3_bpe_trie": bpe.op3_bpe_trie,
     "op4_packing": packing.op4_packing,
     "op5_minhash": minhash.op5_minhash,
