@@ -1,12 +1,14 @@
 """The operators' queries, by name."""
 
-from tidelabel.llm import bpe, language, minhash, packing, toxicity
+from tidelabel.llm import bpe, language, minhash, packing, quality_model, toxicity, vectors
 
 QUERIES = {
     "op1_language": language.op1_language,
     "op3_bpe_trie": bpe.op3_bpe_trie,
     "op4_packing": packing.op4_packing,
     "op5_minhash": minhash.op5_minhash,
+    "op6_permutation_index": vectors.op6_permutation_index,
     "op9_kneser_ney": toxicity.op9_kneser_ney,
+    "op10_ordinal": quality_model.op10_ordinal,
 }
 ORACLES: dict[str, str] = {}
