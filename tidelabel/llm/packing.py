@@ -31,7 +31,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidelabel.llm.bpe import ENCODE_ROWS, array_encoder, default_vocabulary
+from tidelabel.llm.bpe import ENCODE_ROWS, array_encoder, default_vocabulary, vocabulary
 from tidelabel.llm.common import documents, materialise, slices
 
 WINDOW = 1024
@@ -44,6 +44,42 @@ BROADCAST_STARTS = 200_000
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, source string"
 
 
+#: Fixed value: the public pre-tokenisation pattern in the form that tiktoken reads.
+PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+
+
+class Encoder:
+    """Ids as the tokenizers library gives them, the common texts by tiktoken, which is faster.
+
+    Texts with special tokens, or with characters whose classes the two libraries may
+    see differently, and texts that tiktoken refuses, take the trie encoder.
+    """
+
+    def __init__(self, path: str):
+        import tiktoken
+
+        self.vocab, self.exact = vocabulary(path), array_encoder(path)
+        self.fast = tiktoken.Encoding("byte-level", pat_str=PATTERN, mergeable_ranks=self.vocab.id_of, special_tokens={})
+
+    def encode(self, texts: list[str | None]) -> list[np.ndarray]:
+        out: list[np.ndarray | None] = []
+        for t in texts:
+            ids = None
+            if not t:
+                ids = []
+            elif not self.vocab.rare.search(t) and not any(s in t for s in self.vocab.special):
+                try:
+                    ids = self.fast.encode_ordinary(t)
+                except BaseException as e:  # a panic of the regex engine isn't an Exception
+                    if isinstance(e, (KeyboardInterrupt, SystemExit)):
+                        raise
+            out.append(None if ids is None else np.array(ids, dtype="<u4"))
+        rest = [i for i, x in enumerate(out) if x is None]
+        for i, x in zip(rest, self.exact.encode([texts[i] for i in rest])):
+            out[i] = x
+        return out
+
+
 def tokenised(docs: DataFrame, path: str | None = None) -> DataFrame:
     """(doc_id, source, ids, doc_tokens, block, before): one row per document.
 
@@ -53,7 +89,7 @@ def tokenised(docs: DataFrame, path: str | None = None) -> DataFrame:
     path = path or default_vocabulary()
 
     def run(batches):
-        encoder = array_encoder(path)
+        encoder = Encoder(path)
         end = np.array([END_ID], dtype="<u4")
         block, seen = TaskContext.get().partitionId(), {}
         for b in slices(batches, ENCODE_ROWS):
