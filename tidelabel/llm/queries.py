@@ -1,9 +1,10 @@
 """The operators' queries, by name."""
 
-from tidelabel.llm import bpe, language, line_dedup, minhash, packing, quality_model, quality_rules, toxicity, vectors
+from tidelabel.llm import bpe, language, line_dedup, minhash, packing, quality_model, quality_rules, sharding, toxicity, vectors
 
 QUERIES = {
     "op1_language": language.op1_language,
+    "op2_size_tiered": sharding.op2_size_tiered,
     "op3_bpe_trie": bpe.op3_bpe_trie,
     "op4_packing": packing.op4_packing,
     "op5_minhash": minhash.op5_minhash,
