@@ -1,7 +1,12 @@
 """All queries of the label-cleaning engine, by name, with their DuckDB twins."""
 
+from tidelabel.queries import scoring
+
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
+for _part in (scoring,):
+    QUERIES |= _part.QUERIES
+    ORACLES |= _part.ORACLES
 
 
 def flagship(spark, sf_dir):
