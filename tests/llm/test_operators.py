@@ -374,11 +374,12 @@ def test_vectors_that_take_no_part(spark):
 def test_shards_keep_every_row_through_compaction(spark, odd, tmp_path):
     store = sharding.ShardStore(spark, str(tmp_path), target_bytes=1 << 20, fan_in=3)
     assert store.read(odd.schema).count() == 0
-    for _ in range(4):
+    for _ in range(3):
         store.append(odd.coalesce(1))
-    before = store.compact()
+    assert store.compact() == 4 and [r.level for r in store.manifest()[1]] == [1]
+    rest = store.append(odd.coalesce(1))
     version, runs = store.manifest()
-    assert version == before and {r.level for r in runs} == {0, 1} and len(runs) == 2
+    assert version == rest == store.compact() and [r.level for r in runs] == [1, 0]
     rows = Counter(tuple(r) for r in store.read(odd.schema).collect())
     assert rows == Counter({tuple(r): 4 for r in odd.distinct().collect()})
     assert store.read(odd.schema, version=2).count() == 2 * len(ODD)
