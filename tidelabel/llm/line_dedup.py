@@ -118,7 +118,7 @@ def without_duplicate_lines(docs: DataFrame, duplicates: DataFrame) -> DataFrame
     rows = docs.join(removed, docs.doc_id.eqNullSafe(F.col("removed_from")), "left")
     left = F.expr("array_join(filter(split(text, '\\n'), (l, i) -> not array_contains(removed_lines, i)), '\\n')")
     rows = rows.withColumn("text", F.when(F.col("removed_lines").isNull(), F.col("text")).otherwise(left))
-    rows = rows.where("removed_lines is null or length(translate(text, ' \\t\\n\\u000b\\f\\r', '')) > 0")
+    rows = rows.where("removed_lines is null or length(translate(text, ' \\t\\n\\u000b\\u000c\\r', '')) > 0")
     if "n_chars" in docs.columns:
         rows = rows.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return rows.select(*docs.columns)

@@ -70,7 +70,7 @@ def measures(docs: DataFrame, stratum: str = "lang") -> DataFrame:
     """doc_id, stratum and the measures of each text."""
     words = "filter(split(text, '" + WHITE.replace("\\", "\\\\") + "'), w -> w <> '')"
     rows = docs.select("doc_id", F.coalesce(F.col(stratum).cast("string"), F.lit("")).alias("stratum"), F.coalesce("text", F.lit("")).alias("text"))
-    rows = rows.withColumn("words", F.expr(words)).withColumn("lines", F.expr("filter(split(text, '\\n'), l -> length(translate(l, ' \\t\\n\\u000b\\f\\r', '')) > 0)"))
+    rows = rows.withColumn("words", F.expr(words)).withColumn("lines", F.expr("filter(split(text, '\\n'), l -> length(translate(l, ' \\t\\n\\u000b\\u000c\\r', '')) > 0)"))
     window = ", ".join(f"words[i + {j}]" for j in range(WINDOW))
     rows = rows.withColumn("h", F.expr(f"case when size(words) < {WINDOW} then array() else transform(sequence(0, size(words) - {WINDOW}), i -> xxhash64({window})) end"))
     return rows.select(
