@@ -117,7 +117,7 @@ def test_empty_tables(spark):
     assert bpe.token_digests(none).count() == 0 and language.identify(none, language.learn(none)).count() == 0
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     assert quality_rules.quality_rules(none, labels).count() == 0
-    assert toxicity.score(none, toxicity.train(none.join(labels, "doc_id").select("doc_id", "text", "toxic"))).count() == 0
+    assert toxicity.score(none, toxicity.train(none, labels)).count() == 0
     assert vectors.nearest(*[vectors.usable(spark.createDataFrame([], "vec_id long, embedding array<float>"))] * 2, 3).count() == 0
 
 
@@ -338,8 +338,8 @@ def test_toxicity_on_held_out_documents(spark):
 
 
 def test_toxicity_without_labels_and_of_odd_texts(spark, odd):
-    none = odd.select("doc_id", "text", F.lit(0).alias("toxic")).where("doc_id < 0")
-    rows = toxicity.score(odd, toxicity.train(none)).collect()
+    none = odd.select("doc_id", F.lit(0).alias("toxic")).where("doc_id < 0")
+    rows = toxicity.score(odd, toxicity.train(odd, none)).collect()
     assert len(rows) == len(ODD) and all(r.score < 0.01 and r.predicted == 0 for r in rows)
 
 

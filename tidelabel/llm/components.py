@@ -9,6 +9,10 @@ from pyspark.sql import functions as F
 from tidelabel.llm.common import materialise
 
 
+#: Links (two longs each) that one task may finish; above it links are contracted between tasks first.
+ONE_TASK_LINKS = 500_000
+
+
 def _forest(batches):
     """One task's links as (member, root): union-find with path halving, smaller id as root."""
     parent: dict[int, int] = {}
@@ -36,14 +40,17 @@ def connected(links: DataFrame, name: str = "links") -> DataFrame:
 
     Each task first replaces its links by a forest. Then stars are contracted: every
     id's larger neighbours are linked to its smallest one, then its smaller neighbours
-    are, until all links point at a component's smallest id. A hub's links are summed
-    up before the shuffle and never gathered in one place. Each step is written to
-    the shared folder. Self-links and repeated links change nothing; no link, no row.
+    are, until all links point at a component's smallest id, or at most ONE_TASK_LINKS
+    are left, which one task can finish. A hub's links are summed up before the shuffle
+    and never gathered in one place. Each step is written to the shared folder. Self-links and repeated links change nothing; no link, no row.
     """
     a, b = links.columns[:2]
     pairs = links.select(F.col(a).cast("long").alias("u"), F.col(b).cast("long").alias("v")).where("u <> v")
-    now = materialise(pairs.mapInArrow(_forest, "u long, v long").distinct(), name)
+    now = materialise(pairs.mapInArrow(_forest, "u long, v long"), name)
     while True:
+        if now.count() <= ONE_TASK_LINKS:
+            now = materialise(now.coalesce(1).mapInArrow(_forest, "u long, v long"), name)
+            break
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).selectExpr("u", "least(u, m) as m")
         large = both.where("v > u").join(least, "u").selectExpr("v as u", "m as v").where("u <> v").distinct()

@@ -15,8 +15,11 @@ bucket is worked off without all its pairs:
 1. its smallest member is compared with all others;
 2. links are turned into components; a bucket whose members are in one component is done;
 3. a second member, outside the first one's component, is compared with all outside its own;
-4. what is left is compared exactly: all pairs of a bucket that lie in different
-   components and whose sizes allow the similarity at all.
+4. documents of buckets that still hold several components are compared exactly, by
+   prefix filtering: with each set in one common order, rare elements first, two sets
+   that are similar enough share an element among the first n - ceil(0.75 n) + 1 of
+   each, at places that leave room for the overlap needed. Pairs of different
+   components that do are compared.
 
 So no pair that could join two components is left out, and big groups of near
 copies cost one comparison a member. Every link is confirmed on the full sets.
@@ -46,6 +49,8 @@ SIMILARITY_PERCENT = 75
 BANDS, BAND_SLOTS = 32, 4
 #: Members of one comparison group; a larger one is split and its leader's set repeated.
 GROUP_MEMBERS = 64
+#: Slots of the counts that say which elements are rare; any order is right, a good one is fast.
+RARITY_SLOTS = 1 << 20
 WORD_CACHE = 500_000
 GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 LOW = np.uint64(0xFFFFFFFF)
@@ -198,6 +203,44 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return rows.repartition("a", "part").sortWithinPartitions("a", "part", "role").mapInArrow(run, "a long, b long")
 
 
+def rarity(sets: DataFrame) -> np.ndarray:
+    """Counts of elements over all sets, by slot; at most RARITY_SLOTS rows come to the driver."""
+
+    def run(batches):
+        n = np.zeros(RARITY_SLOTS, dtype=np.int64)
+        for b in slices(batches):
+            for raw in b.column(0).to_pylist():
+                np.add.at(n, (np.frombuffer(raw, dtype=np.uint64) % np.uint64(RARITY_SLOTS)).astype(np.int64), 1)
+        at = np.flatnonzero(n)
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(n[at])], names=["slot", "n"])
+
+    t = sets.select("elements").mapInArrow(run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(RARITY_SLOTS, dtype=np.int64)
+    out[t["slot"].to_numpy()] = t["n"].to_numpy()
+    return out
+
+
+def prefixes(sets: DataFrame, percent: int) -> DataFrame:
+    """(doc_id, element, place, n): each set's prefix in the order of rarity."""
+    counts = sets.sparkSession.sparkContext.broadcast(rarity(sets))
+
+    def run(batches):
+        for b in slices(batches):
+            ids, elements, places, sizes = [], [], [], []
+            for i, raw in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                e = np.frombuffer(raw, dtype=np.uint64)
+                n = len(e)
+                order = np.lexsort((e, counts.value[(e % np.uint64(RARITY_SLOTS)).astype(np.int64)]))[: n + (-n * percent // 100) + 1]
+                ids.append(np.full(len(order), i))
+                elements.append(e[order].astype(np.int64))
+                places.append(np.arange(len(order), dtype=np.int32))
+                sizes.append(np.full(len(order), n))
+            if ids:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (ids, elements, places, sizes)], names=["doc_id", "element", "place", "n"])
+
+    return sets.select("doc_id", "elements").mapInArrow(run, "doc_id long, element long, place int, n long")
+
+
 def near_links(docs: DataFrame, sketches: DataFrame, percent: int = SIMILARITY_PERCENT, shingle: int = SHINGLE_WORDS) -> tuple[DataFrame, DataFrame]:
     """(links, representatives): links between smallest ids of equal sets, and (digest, doc_id, n_shingles)."""
     full = sketches.where("digest is not null")
@@ -217,24 +260,36 @@ def near_links(docs: DataFrame, sketches: DataFrame, percent: int = SIMILARITY_P
     of = lambda c: n_of.select(F.col("doc_id").alias(c), F.col("n_shingles").alias(f"n_{c}"))
     tried = materialise(buckets.selectExpr("first as a", "doc_id as b", "n_shingles as n_b").where("a <> b").distinct().join(of("a"), "a").where(lengths).select("a", "b"), "minhash-pairs")
     links = links_of(tried)
-    for last in (False, True):
-        placed = buckets.where("members > 2").join(connected(links).withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-        mixed_up = placed.groupBy("key").agg(F.min("component").alias("c"), F.max("component").alias("d")).where("c <> d").select("key")
-        open_ = materialise(placed.join(mixed_up, "key", "left_semi").select("key", "doc_id", "n_shingles", "component", "first"), "minhash-open")
-        if open_.isEmpty():
-            break
-        left = open_
-        if not last:
-            # the smallest member outside the first one's component leads next
-            home = open_.where("doc_id = first").select("key", F.col("component").alias("home"))
-            left = open_.join(home, "key").where("component <> home").groupBy("key").agg(F.min(F.struct("doc_id", "component", "n_shingles")).alias("x")).select("key", "x.*")
-        one = left.selectExpr("key", "doc_id as a", "component as c_a", "n_shingles as n_a")
-        two = open_.selectExpr("key", "doc_id as b", "component as c_b", "n_shingles as n_b")
-        pairs = one.join(two, "key").where("c_a <> c_b").where(lengths).where("a < b" if last else "a <> b")
-        pairs = pairs.selectExpr("least(a, b) as a", "greatest(a, b) as b").distinct().join(tried, ["a", "b"], "left_anti")
-        pairs = materialise(pairs, "minhash-pairs")
-        links, tried = links.union(links_of(pairs)), tried.union(pairs)
-    return links, reps
+
+    def placed(rows: DataFrame) -> DataFrame:
+        return rows.join(connected(links).withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+
+    def undecided(rows: DataFrame, key: str) -> DataFrame:
+        split = rows.groupBy(key).agg(F.min("component").alias("c"), F.max("component").alias("d")).where("c <> d").select(key)
+        return materialise(rows.join(split, key, "left_semi"), "minhash-open")
+
+    def more(pairs: DataFrame) -> DataFrame:
+        new = materialise(pairs.selectExpr("least(a, b) as a", "greatest(a, b) as b").distinct().join(tried, ["a", "b"], "left_anti"), "minhash-pairs")
+        return new
+
+    # the smallest member outside the first one's component leads next
+    left = undecided(placed(buckets.where("members > 2").select("key", "doc_id", "n_shingles", "first")), "key")
+    if left.isEmpty():
+        return links, reps
+    home = left.where("doc_id = first").select("key", F.col("component").alias("home"))
+    leader = left.join(home, "key").where("component <> home").groupBy("key").agg(F.min(F.struct("doc_id", "component", "n_shingles")).alias("x"))
+    leader = leader.selectExpr("key", "x.doc_id as a", "x.component as c_a", "x.n_shingles as n_a")
+    pairs = more(leader.join(left.selectExpr("key", "doc_id as b", "component as c_b", "n_shingles as n_b"), "key").where("c_a <> c_b").where(lengths))
+    links, tried = links.union(links_of(pairs)), tried.union(pairs)
+    # what is still undecided is compared exactly
+    left = undecided(placed(left.select("key", "doc_id")), "key").select("doc_id").distinct()
+    if left.isEmpty():
+        return links, reps
+    rows = undecided(placed(materialise(prefixes(sets.join(left, "doc_id", "left_semi"), percent), "minhash-prefixes")), "element")
+    one, two = (rows.selectExpr("element", *(f"{c} as {c}_{x}" for c in ("doc_id", "component", "place", "n"))) for x in "ab")
+    room = f"{100 + percent} * least(n_a - place_a, n_b - place_b) >= {percent} * (n_a + n_b)"
+    pairs = more(one.join(two, "element").where("doc_id_a < doc_id_b and component_a <> component_b").where(lengths).where(room).selectExpr("doc_id_a as a", "doc_id_b as b"))
+    return links.union(links_of(pairs)), reps
 
 
 def near_groups(docs: DataFrame, percent: int = SIMILARITY_PERCENT, shingle: int = SHINGLE_WORDS, bands: int = BANDS, rows: int = BAND_SLOTS) -> DataFrame:
@@ -245,7 +300,7 @@ def near_groups(docs: DataFrame, percent: int = SIMILARITY_PERCENT, shingle: int
     firsts = reps.select("digest", F.col("doc_id").alias("first_id")).join(groups, "first_id", "left").select("digest", F.coalesce("component", "first_id").alias("component_id"))
     # a set shared by very many documents: the join's other side is small for each key, so it is split freely
     return sketches.select("doc_id", "n_shingles", "digest").join(firsts, "digest", "left").select(
-        "doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), (F.coalesce("component_id", "doc_id") == F.col("doc_id")).alias("kept")
+        "doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.coalesce("component_id", "doc_id").eqNullSafe(F.col("doc_id")).alias("kept")
     )
 
 
