@@ -51,6 +51,8 @@ BANDS, BAND_SLOTS = 32, 4
 GROUP_MEMBERS = 64
 #: Slots of the counts that say which elements are rare; any order is right, a good one is fast.
 RARITY_SLOTS = 1 << 20
+#: Ids (8 bytes each) that may be broadcast to the texts; more are joined by shuffle.
+BROADCAST_IDS = 2_000_000
 WORD_CACHE = 500_000
 GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 LOW = np.uint64(0xFFFFFFFF)
@@ -250,7 +252,12 @@ def near_links(docs: DataFrame, sketches: DataFrame, percent: int = SIMILARITY_P
     shared = keys.groupBy("key").agg(F.count("*").alias("members"), F.min("doc_id").alias("first")).where("members > 1")
     buckets = materialise(keys.join(shared, "key"), "minhash-buckets")
     members = buckets.select("doc_id").distinct()
-    sets = materialise(full_sets(docs.select("doc_id", "text").join(members, "doc_id", "left_semi").dropDuplicates(["doc_id"]), shingle), "minhash-full-sets")
+    if members.count() <= BROADCAST_IDS:
+        # else every text would be shuffled to find the few that are needed
+        wanted = F.broadcast(members)
+    else:
+        wanted = members
+    sets = materialise(full_sets(docs.select("doc_id", "text").join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]), shingle), "minhash-full-sets")
     lengths = f"100 * least(n_a, n_b) >= {percent} * greatest(n_a, n_b)"
 
     def links_of(pairs: DataFrame) -> DataFrame:
@@ -269,8 +276,7 @@ def near_links(docs: DataFrame, sketches: DataFrame, percent: int = SIMILARITY_P
         return materialise(rows.join(split, key, "left_semi"), "minhash-open")
 
     def more(pairs: DataFrame) -> DataFrame:
-        new = materialise(pairs.selectExpr("least(a, b) as a", "greatest(a, b) as b").distinct().join(tried, ["a", "b"], "left_anti"), "minhash-pairs")
-        return new
+        return materialise(pairs.selectExpr("least(a, b) as a", "greatest(a, b) as b").distinct().join(tried, ["a", "b"], "left_anti"), "minhash-pairs")
 
     # the smallest member outside the first one's component leads next
     left = undecided(placed(buckets.where("members > 2").select("key", "doc_id", "n_shingles", "first")), "key")
