@@ -20,17 +20,13 @@ LEAST_KNOWN = 0.4
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the class-conditional models don't predict to be toxic."""
-    scored = toxicity.score(docs, toxicity.train(toxicity.labelled(spark, docs, sf_dir)))
-    toxic = scored.where("predicted = 1").select("doc_id").distinct()
-    return docs.join(toxic, docs.doc_id.eqNullSafe(toxic.doc_id), "left_anti").select(*docs.columns)
+    return toxicity.without_toxic(docs, toxicity.train(docs, toxicity.training_labels(spark, sf_dir)))
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with letters whose n-grams fit a language; filters are learned as for the query."""
     filters = language.learn(docs.where(~language.held_out()).select("lang", "text"))
-    found = language.identify(docs, filters)
-    foreign = found.where(f"lang_pred = '{language.UNKNOWN}' or known < {LEAST_KNOWN}").select("doc_id").distinct()
-    return docs.join(foreign, docs.doc_id.eqNullSafe(foreign.doc_id), "left_anti").select(*docs.columns)
+    return language.with_language(docs, filters, LEAST_KNOWN)
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

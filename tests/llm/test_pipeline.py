@@ -34,6 +34,6 @@ def test_dropped_documents_are_the_rejected_ones(spark, sf_dir):
     docs = documents(spark, sf_dir)
     from tidelabel.llm import toxicity
 
-    scored = toxicity.score(docs, toxicity.train(toxicity.labelled(spark, docs, sf_dir)))
+    scored = toxicity.score(docs, toxicity.train(docs, toxicity.training_labels(spark, sf_dir)))
     kept = {r.doc_id for r in cp.toxicity_stage(spark, docs, sf_dir).collect()}
     assert kept == {r.doc_id for r in scored.where("predicted = 0").collect()}

@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidelabel.llm.common import documents, materialise, slices
+from tidelabel.llm.common import documents, kept_rows, materialise, slices
 
 SLOTS, HASHES = 1 << 20, 3
 SIZES = (1, 2, 3, 4)
@@ -155,7 +155,7 @@ class Reader:
                 self.add(new[i : i + 20_000])
         out = []
         for ws in words:
-            if not ws or not self.filters.names:
+            if not self.filters.names or not any(any(map(str.isalpha, w)) for w in ws):
                 out.append((UNKNOWN, 0.0, 0.0))
                 continue
             total = self.hits[[self.rows[w] for w in ws]].sum(axis=0)
@@ -181,6 +181,17 @@ def identify(docs: DataFrame, filters: Filters) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, lang_pred string, score double, known double")
 
 
+def with_language(docs: DataFrame, filters: Filters, least_known: float) -> DataFrame:
+    """``docs`` whose predicted language holds at least a share ``least_known`` of the text's n-grams."""
+    shared = docs.sparkSession.sparkContext.broadcast(filters)
+
+    def decider():
+        reader = Reader(shared.value)
+        return lambda texts: [lang != UNKNOWN and known >= least_known for lang, _, known in reader.predict(texts)]
+
+    return kept_rows(docs, decider)
+
+
 def held_out(doc_id: str = "doc_id"):
     return F.crc32(F.col(doc_id).cast("string").cast("binary")) % 3 == 1
 

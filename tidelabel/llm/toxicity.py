@@ -35,7 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidelabel.llm.common import documents, materialise, slices
+from tidelabel.llm.common import documents, kept_rows, materialise, slices
 
 UNIT_SLOTS, PAIR_SLOTS = 1 << 21, 2_097_143  # pair slots: a prime
 #: Lengths of word beginnings, from the longest.
@@ -49,6 +49,8 @@ LEAST, MOST = -2.0, 6.0
 #: Of the training rows, one in CALIBRATE_EACH is kept for the logistic fit, which takes at most CALIBRATE_ROWS of them.
 CALIBRATE_EACH, CALIBRATE_ROWS = 4, 20_000
 THRESHOLD = 0.7
+#: Training rows (about 30 bytes each) that may be broadcast.
+BROADCAST_LABELS = 2_000_000
 WORD = re.compile(r"[^\W_]+")
 CACHE = 400_000
 
@@ -219,22 +221,35 @@ def text_evidence(rows: DataFrame, model, keep: str, kept_type: str) -> DataFram
     return rows.select(keep, "text").mapInArrow(run, f"{keep} {kept_type}, mean double, stretch double")
 
 
-def train(rows: DataFrame) -> Model:
-    """Fit on (doc_id, text, toxic) rows."""
-    spark = rows.sparkSession
-    rows = rows.where("toxic in (0, 1)").select(F.col("toxic").cast("int").alias("toxic"), "text", F.pmod(F.xxhash64("doc_id"), F.lit(CALIBRATE_EACH)).alias("part"), F.xxhash64("doc_id").alias("place"))
-    # one row of each group of copies, so that a text counts once however often it was copied
-    rows = rows.withColumn("copy", F.xxhash64("text"))
-    rows = rows.join(rows.groupBy("copy", "toxic").agg(F.min("place").alias("place")), ["copy", "toxic", "place"], "left_semi")
-    found = materialise(counts(rows.where("part > 0")), "toxicity-counts")
+def examples(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """(toxic, text, part, place): labelled texts, one of each group of copies, so that a text counts once.
+
+    Which rows these are is found on ids and hashes alone. Up to BROADCAST_LABELS of them
+    are sent to the texts; more are joined by shuffle once and written.
+    """
+    known = labels.where("toxic in (0, 1)").select("doc_id", F.col("toxic").cast("int").alias("toxic"))
+    ids = docs.select("doc_id", F.xxhash64("text").alias("copy"), F.xxhash64("doc_id").alias("place")).join(known, "doc_id")
+    chosen = ids.groupBy("copy", "toxic").agg(F.min(F.struct("place", "doc_id")).alias("x"))
+    chosen = materialise(chosen.select("x.doc_id", "toxic", "x.place", F.pmod("x.place", F.lit(CALIBRATE_EACH)).alias("part")), "toxicity-labels")
+    if chosen.count() <= BROADCAST_LABELS:
+        return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
+    return materialise(docs.select("doc_id", "text").join(chosen, "doc_id"), "toxicity-texts")
+
+
+def train(docs: DataFrame, labels: DataFrame) -> Model:
+    """Fit on the texts of ``docs`` that ``labels`` (doc_id, toxic) rates."""
+    spark = docs.sparkSession
+    rows = examples(docs, labels)
+    # units all stay; a pair up to the discount backs off wholly, so only the others are kept
+    found = materialise(counts(rows.where("part > 0")).where(f"pair < {UNIT_SLOTS} or greatest(toxic, other) > {DISCOUNT}"), "toxicity-counts")
     model = Model(**kneser_ney(found), weights=np.zeros(3))
     held = text_evidence(rows.where("part = 0").select(F.struct("toxic", "place").alias("key"), "text"), spark.sparkContext.broadcast(model), "key", "struct<toxic: int, place: bigint>")
     sample = held.select("key.*", "mean", "stretch").orderBy("place", "toxic", "mean").limit(CALIBRATE_ROWS).toPandas()
-    labels = sample["toxic"].to_numpy(dtype=np.float64)
-    if 0 < labels.sum() < len(labels):
-        model.weights = logistic(features(sample[["mean", "stretch"]].to_numpy()), labels)
+    y = sample["toxic"].to_numpy(dtype=np.float64)
+    if 0 < y.sum() < len(y):
+        model.weights = logistic(features(sample[["mean", "stretch"]].to_numpy()), y)
     else:
-        share = np.clip(labels.mean() if len(labels) else 0.0, 1e-9, 1 - 1e-9)
+        share = np.clip(y.mean() if len(y) else 0.0, 1e-9, 1 - 1e-9)
         model.weights = np.array([0.0, 0.0, np.log(share / (1 - share))])
     return model
 
@@ -253,17 +268,27 @@ def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFr
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, score double, predicted int")
 
 
+def without_toxic(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
+    """``docs`` without the rows that are predicted toxic."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+
+    def decider():
+        reader = Reader(shared.value)
+        return lambda texts: (shared.value.score([reader.evidence(t) for t in texts]) < threshold).tolist()
+
+    return kept_rows(docs, decider)
+
+
 def in_training(doc_id="doc_id"):
     """Rows that labels may be learned from: crc32 of the id's text, modulo 3, is not 1."""
     return F.crc32(F.col(doc_id).cast("string").cast("binary")) % 3 != 1
 
 
-def labelled(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").where(in_training()).select("doc_id", "toxic").where("toxic is not null")
-    return docs.select("doc_id", "text").join(labels, "doc_id")
+def training_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/labels.parquet").where(in_training()).select("doc_id", "toxic")
 
 
 def op9_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
-    scored = score(docs, train(labelled(spark, docs, sf_dir)))
+    scored = score(docs, train(docs, training_labels(spark, sf_dir)))
     return scored.withColumn("held_out", ~in_training())
