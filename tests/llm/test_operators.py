@@ -343,6 +343,21 @@ def test_toxicity_without_labels_and_of_odd_texts(spark, odd):
     assert len(rows) == len(ODD) and all(r.score < 0.01 and r.predicted == 0 for r in rows)
 
 
+def test_word_pairs_dont_share_counts(spark):
+    """Pairs of words that fell into one slot of 2,097,143 are told apart, unseen ones say nothing."""
+    import xxhash
+
+    words = [f"q{i}" for i in range(2000)]
+    slot = np.array([1 + xxhash.xxh3_64_intdigest(w.encode()) % ((1 << 21) - 1) for w in words], dtype=np.int64)
+    at = (slot[0] * (1 << 21) + slot[1]) % 2_097_143
+    i, j = next((i, j) for i, j in zip(*np.nonzero((slot[:, None] * (1 << 21) + slot) % 2_097_143 == at)) if i > 1 and j > 1)
+    docs = frame(spark, [f"n{k} q0 q1" for k in range(60)] + [f"n{k} q1 q0" for k in range(60)])
+    labels = docs.select("doc_id", (F.col("doc_id") < 60).cast("int").alias("toxic"))
+    model = toxicity.train(docs, labels)
+    say = lambda text: toxicity.Reader(model).evidence(text)
+    assert say("q0 q1")[0] > 0 > say("q1 q0")[0] and say(f"{words[i]} {words[j]}") == (0.0, 0.0)
+
+
 # vectors
 def test_permutation_index_finds_most_neighbours(spark, sf_dir):
     rows = vectors.op6_permutation_index(spark, sf_dir).collect()

@@ -13,9 +13,10 @@ over the text and over its strongest stretch of STRETCH words, so that a few abu
 words in a long text aren't averaged away. A logistic fit on labelled rows that the
 counts did not see turns the evidence into a score.
 
-Words and beginnings are hashed into UNIT_SLOTS slots and pairs into PAIR_SLOTS: the
-model that goes to the executors has a fixed size, while the counts are taken over
-all labelled training rows of the corpus, summed by Spark.
+Words and beginnings are counted under their own 64-bit hashes, pairs under those of
+both words; counts are summed and turned into ratios by Spark. The model that goes to
+the executors holds every unit and pair whose ratio isn't zero, sorted by key: it has
+no fixed size and grows with what the labels tell apart.
 
 Edge cases: null, empty and wordless texts have zero evidence and get the score
 that the fit gives for it (below 0.5 where toxic rows are a minority); texts of any
@@ -37,7 +38,8 @@ from pyspark.sql import functions as F
 
 from tidelabel.llm.common import documents, kept_rows, materialise, slices
 
-UNIT_SLOTS, PAIR_SLOTS = 1 << 21, 2_097_143  # pair slots: a prime
+#: A pair's key is the first word's times MIX plus the second's, modulo 2**64.
+MIX = np.uint64(0x9E3779B97F4A7C15)
 #: Lengths of word beginnings, from the longest.
 BEGINNINGS = (7, 6, 5, 4, 3)
 STRETCH = 24
@@ -55,13 +57,18 @@ WORD = re.compile(r"[^\W_]+")
 CACHE = 400_000
 
 
-def unit_slot(unit: str) -> int:
-    return 1 + xxhash.xxh3_64_intdigest(unit.encode()) % (UNIT_SLOTS - 1)
+def unit_key(unit: str) -> int:
+    """64-bit key, never 0."""
+    return xxhash.xxh3_64_intdigest(unit.encode()) or 1
 
 
 def units(word: str) -> list[int]:
-    """Slots of a word and of its beginnings, longest first."""
-    return [unit_slot(word), *(unit_slot(word[:n] + "*") for n in BEGINNINGS if n < len(word))]
+    """Keys of a word and of its beginnings, longest first."""
+    return [unit_key(word), *(unit_key(word[:n] + "*") for n in BEGINNINGS if n < len(word))]
+
+
+def pair_keys(first: np.ndarray, second: np.ndarray) -> np.ndarray:
+    return first * MIX + second
 
 
 def words_of(text: str | None) -> list[str]:
@@ -72,13 +79,19 @@ def words_of(text: str | None) -> list[str]:
 class Model:
     """Log ratios of toxic against ordinary texts."""
 
-    unit: np.ndarray  # by unit slot
-    pairs: np.ndarray  # sorted pair slots
+    units: np.ndarray  # sorted unit keys
+    unit: np.ndarray  # of these
+    pairs: np.ndarray  # sorted pair keys
     pair: np.ndarray  # of these
     weights: np.ndarray  # of mean, stretch, and the intercept
 
-    def of_word(self, word: str) -> float:
-        return next((float(r) for r in self.unit[units(word)] if r), 0.0)
+    def of_word(self, keys: np.ndarray) -> float:
+        """What the longest informative unit of a word's ``units`` says."""
+        if not len(self.units):
+            return 0.0
+        at = np.minimum(np.searchsorted(self.units, keys), len(self.units) - 1)
+        hit = np.flatnonzero(self.units[at] == keys)
+        return float(self.unit[at[hit[0]]]) if len(hit) else 0.0
 
     def score(self, evidence: list[tuple[float, float]]) -> np.ndarray:
         x = features(np.array(evidence, dtype=np.float64).reshape(-1, 2))
@@ -100,12 +113,13 @@ class Reader:
         if len(known) > CACHE:
             known.clear()
         for w in set(words).difference(known):
-            known[w] = (model.of_word(w), unit_slot(w))
+            keys = np.array(units(w), dtype=np.uint64)
+            known[w] = (model.of_word(keys), keys[0])
         both = [known[w] for w in words]
         ratio = np.array([x[0] for x in both])
         if len(model.pairs) and len(words) > 1:
-            slot = np.array([x[1] for x in both], dtype=np.int64)
-            key = (slot[:-1] * UNIT_SLOTS + slot[1:]) % PAIR_SLOTS
+            word = np.array([x[1] for x in both], dtype=np.uint64)
+            key = pair_keys(word[:-1], word[1:])
             at = np.minimum(np.searchsorted(model.pairs, key), len(model.pairs) - 1)
             hit = np.flatnonzero(model.pairs[at] == key)
             ratio[hit + 1] = model.pair[at[hit]]
@@ -115,7 +129,7 @@ class Reader:
 
 
 def counts(rows: DataFrame) -> DataFrame:
-    """(pair, toxic, other): numbers of texts of each class that hold a word pair or, at pair < UNIT_SLOTS, a unit."""
+    """(first, second, toxic, other): numbers of texts of each class that hold a pair of words or, at second = 0, a unit."""
 
     def run(batches):
         known: dict[str, np.ndarray] = {}
@@ -127,19 +141,23 @@ def counts(rows: DataFrame) -> DataFrame:
                 words = words_of(text)
                 distinct = set(words)
                 for w in distinct.difference(known):
-                    known[w] = np.array(units(w), dtype=np.int64)
+                    known[w] = np.array(units(w), dtype=np.uint64)
                 if not words:
                     continue
-                slot = np.array([known[w][0] for w in words], dtype=np.int64)
-                of[label].append(np.unique(np.concatenate([known[w] for w in distinct])))
-                of[label].append(np.unique(slot[:-1] * UNIT_SLOTS + slot[1:]))
+                word = np.array([known[w][0] for w in words], dtype=np.uint64)
+                at = np.unique(pair_keys(word[:-1], word[1:]), return_index=True)[1]
+                unit = np.unique(np.concatenate([known[w] for w in distinct]))
+                of[label].append((np.concatenate([unit, word[at]]), np.concatenate([np.zeros_like(unit), word[at + 1]])))
             for label, parts in of.items():
                 if parts:
-                    pair, n = np.unique(np.concatenate(parts), return_counts=True)
-                    yield pa.RecordBatch.from_arrays([pa.array([label] * len(pair), pa.int32()), pa.array(pair), pa.array(n.astype(np.int64))], names=["toxic", "pair", "n"])
+                    first, second = (np.concatenate([p[i] for p in parts]) for i in (0, 1))
+                    at, n = np.unique(pair_keys(first, second), return_index=True, return_counts=True)[1:]
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array([label] * len(at), pa.int32()), pa.array(first[at].view(np.int64)), pa.array(second[at].view(np.int64)), pa.array(n.astype(np.int64))], names=["toxic", "first", "second", "n"]
+                    )
 
-    found = rows.select("toxic", "text").mapInArrow(run, "toxic int, pair long, n long")
-    return found.groupBy("pair").agg(F.sum(F.when(F.col("toxic") == 1, F.col("n")).otherwise(0)).alias("toxic"), F.sum(F.when(F.col("toxic") == 0, F.col("n")).otherwise(0)).alias("other"))
+    found = rows.select("toxic", "text").mapInArrow(run, "toxic int, first long, second long, n long")
+    return found.groupBy("first", "second").agg(F.sum(F.when(F.col("toxic") == 1, F.col("n")).otherwise(0)).alias("toxic"), F.sum(F.when(F.col("toxic") == 0, F.col("n")).otherwise(0)).alias("other"))
 
 
 def logistic(features: np.ndarray, labels: np.ndarray, l2: float = 1e-2, steps: int = 50) -> np.ndarray:
@@ -161,52 +179,41 @@ def features(evidence: np.ndarray) -> np.ndarray:
     return np.clip(evidence * [20.0, 4.0], -10, 10)
 
 
-def by_slot(rows: DataFrame, size: int, columns: int) -> np.ndarray:
-    """[columns, size] array of a table (slot, value, ...) of at most ``size`` rows."""
-    out = np.zeros((columns, size))
-    t = rows.toArrow()
-    at = t.column(0).to_numpy()
-    for i in range(columns):
-        out[i, at] = t.column(i + 1).to_numpy()
-    return out
-
-
-def log_ratio(p: np.ndarray, n: np.ndarray, total: np.ndarray) -> np.ndarray:
-    """log(p[1] / p[0]) where counts ``n`` out of ``total`` differ surely between the classes, else 0."""
-    expected = total / np.maximum(total.sum(axis=0), 1e-9) * n.sum(axis=0)
-    statistic = 2 * (n * np.log(np.maximum(n, 1e-300) / np.maximum(expected, 1e-300))).sum(axis=0)
-    return np.where(statistic >= SURE**2, np.log(p[1] / p[0]), 0.0)
+def sure(toxic: str, other: str, all_toxic: str, all_other: str) -> str:
+    """SQL condition: counts out of totals differ surely between the classes."""
+    part = lambda n, total: f"case when {n} > 0 then {n} * ln({n} * ({all_toxic} + {all_other}) / ({total} * ({toxic} + {other}))) else 0D end"
+    return f"2 * ({part(toxic, all_toxic)} + {part(other, all_other)}) >= {SURE**2}"
 
 
-def discounted(n: np.ndarray, total: np.ndarray) -> tuple[np.ndarray, float]:
-    """(discounted shares [2, units], mass left to the lower level, the same for both classes)."""
-    back = float(np.minimum(n, DISCOUNT).sum() / max(total.sum(), 1))
-    return np.maximum(n - DISCOUNT, 0) / np.maximum(total, 1)[:, None], min(max(back, 1e-6), 1.0)
+def ratios(rows: DataFrame, columns: int) -> list[np.ndarray]:
+    """Key columns and the ratio, of the rows where it isn't zero."""
+    t = rows.where("ratio <> 0").toArrow()
+    return [t.column(i).to_numpy().view(np.uint64) for i in range(columns)] + [t.column(columns).to_numpy().astype(np.float32)]
 
 
 def kneser_ney(found: DataFrame) -> dict:
-    """The model's arrays from ``counts``. Class 0 is ordinary, 1 toxic."""
-    n = by_slot(found.where(F.col("pair") < UNIT_SLOTS).select(F.col("pair").cast("int"), "other", "toxic"), UNIT_SLOTS, 2)
-    classes = (n > 0).sum(axis=0)
-    shared = (classes + 0.01) / (classes + 0.01).sum()
-    own, back = discounted(n, n.sum(axis=1))
-    p = own + back * shared
-    unit = log_ratio(p, n, n.sum(axis=1)[:, None])
-    # pairs behind the word that they begin with: only those above the discount are worth a slot
-    informed = found.where(f"pair >= {UNIT_SLOTS} and greatest(toxic, other) > {DISCOUNT}")
-    t = informed.groupBy((F.col("pair") % PAIR_SLOTS).alias("slot")).agg(F.max("pair"), F.sum("other"), F.sum("toxic")).toArrow()
-    slot, pair, *both = (t.column(i).to_numpy() for i in range(4))
-    both = np.array(both, dtype=np.float64)
-    first, second = pair // UNIT_SLOTS, pair % UNIT_SLOTS
-    # a pair can't be in more texts than its first word; that number is what is shared out
-    before = np.maximum(n[:, first], 1)
-    left = np.clip(DISCOUNT / before.sum(axis=0), 1e-6, 1)
-    p = np.minimum(np.maximum(both - DISCOUNT, 0) / before, 1) + left * p[:, second]
-    ratio = log_ratio(p, both, before)
-    keep = ratio != 0
-    slot, ratio = slot[keep], ratio[keep]
-    order = np.argsort(slot)
-    return {"unit": unit.astype(np.float32), "pairs": slot[order], "pair": ratio[order].astype(np.float32)}
+    """The model's arrays from ``counts``. What the executors find to differ surely comes to the driver."""
+    unit = found.where("second = 0").selectExpr("first as key", "cast(toxic as double) as toxic", "cast(other as double) as other")
+    classes = "(int(toxic > 0) + int(other > 0))"
+    t = unit.selectExpr("sum(toxic) as toxic", "sum(other) as other", f"sum(least(toxic, {DISCOUNT}D) + least(other, {DISCOUNT}D)) as off", f"sum({classes}) as classes").first()
+    if not t.toxic or not t.other:  # one class only
+        return {"units": np.zeros(0, np.uint64), "unit": np.zeros(0, np.float32), "pairs": np.zeros(0, np.uint64), "pair": np.zeros(0, np.float32)}
+    back = min(max(t.off / (t.toxic + t.other), 1e-6), 1.0)
+    share = lambda c: f"greatest({c} - {DISCOUNT}D, 0D) / {getattr(t, c)!r}D + {back!r}D * {classes} / {t.classes}D"
+    unit = unit.selectExpr("key", "toxic", "other", f"{share('toxic')} as p_toxic", f"{share('other')} as p_other")
+    keys, ratio = ratios(unit.where(sure("toxic", "other", f"{t.toxic!r}D", f"{t.other!r}D")).selectExpr("key", "ln(p_toxic / p_other) as ratio"), 1)
+    order = np.argsort(keys)
+    # pairs behind the word that they begin with; a pair can't be in more texts than that word, whose number is what is shared out
+    pair = found.where(f"second <> 0 and greatest(toxic, other) > {DISCOUNT}")
+    before = unit.selectExpr("key as first", "greatest(toxic, 1D) as before_toxic", "greatest(other, 1D) as before_other")
+    pair = pair.join(before, "first").where(sure("toxic", "other", "before_toxic", "before_other"))
+    pair = pair.join(unit.selectExpr("key as second", "p_toxic", "p_other"), "second")
+    left = f"greatest(least({DISCOUNT}D / (before_toxic + before_other), 1D), 1e-6D)"
+    p = lambda c: f"(least(greatest({c} - {DISCOUNT}D, 0D) / before_{c}, 1D) + {left} * p_{c})"
+    first, second, pair_ratio = ratios(pair.selectExpr("first", "second", f"ln({p('toxic')} / {p('other')}) as ratio"), 2)
+    pairs = pair_keys(first, second)
+    pair_order = np.argsort(pairs)
+    return {"units": keys[order], "unit": ratio[order], "pairs": pairs[pair_order], "pair": pair_ratio[pair_order]}
 
 
 def text_evidence(rows: DataFrame, model, keep: str, kept_type: str) -> DataFrame:
@@ -241,7 +248,7 @@ def train(docs: DataFrame, labels: DataFrame) -> Model:
     spark = docs.sparkSession
     rows = examples(docs, labels)
     # units all stay; a pair up to the discount backs off wholly, so only the others are kept
-    found = materialise(counts(rows.where("part > 0")).where(f"pair < {UNIT_SLOTS} or greatest(toxic, other) > {DISCOUNT}"), "toxicity-counts")
+    found = materialise(counts(rows.where("part > 0")).where(f"second = 0 or greatest(toxic, other) > {DISCOUNT}"), "toxicity-counts")
     model = Model(**kneser_ney(found), weights=np.zeros(3))
     held = text_evidence(rows.where("part = 0").select(F.struct("toxic", "place").alias("key"), "text"), spark.sparkContext.broadcast(model), "key", "struct<toxic: int, place: bigint>")
     sample = held.select("key.*", "mean", "stretch").orderBy("place", "toxic", "mean").limit(CALIBRATE_ROWS).toPandas()
