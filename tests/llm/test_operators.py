@@ -296,6 +296,19 @@ def test_cutoffs_bound_false_rejections(spark):
     assert np.mean([g > cut.cut_symbol_share for g in good]) <= quality_rules.RISK
 
 
+def test_cutoffs_of_small_strata_bound_all_rules_together(spark):
+    """300 good rows give cutoffs; rules that would each lose 1 % of the good rows don't add up."""
+    rng = np.random.default_rng(5)
+    names = "stratum string, quality int, n_symbols int, word_chars int, n_dup_lines int, n_lines int, n_repeat_words int, n_words int, n_distinct int"
+    rows = [(s, 1, int(rng.integers(0, 20)), 100, 0, 1, 0, 20, 15) for s in "abcd" for _ in range(300)] + [(s, 0, 60, 100, 0, 1, 0, 20, 15) for s in "abcd" for _ in range(30)]
+    cuts = {r.stratum: r for r in quality_rules.cutoffs(spark.createDataFrame([(*r, i) for i, r in enumerate(rows)], names + ", doc_id long")).collect()}
+    assert set(cuts) == set("abcd") and all(0.19 <= c.cut_symbol_share < 0.6 for c in cuts.values())
+    n = rng.integers(0, 1000, (5000, 3))
+    holdout = spark.createDataFrame([("a", int(i % 5 > 0), int(x), 1000, int(y), 1000, 0, 1000, int(z), i) for i, (x, y, z) in enumerate(n)], names + ", doc_id long")
+    lost = quality_rules.judged(holdout, quality_rules.cutoffs(holdout)).where("quality = 1")
+    assert lost.where("not kept").count() <= quality_rules.RISK * lost.count()
+
+
 def test_ordinal_thresholds_are_ordered_and_grades_found():
     rng = np.random.default_rng(1)
     grades = rng.integers(0, 3, 300)

@@ -1,18 +1,20 @@
 """Quality rules with risk-controlled thresholds, in DataFrame operations only.
 
-Measures of each text are compared with cutoffs that labelled holdouts set. For every
-stratum (language) and rule, a cutoff may be used only if the share of good documents
-that it rejects is at most RISK / rules with confidence: the exact binomial tail
-P(X <= k; n, RISK / rules), for k of n good holdout rows rejected, must be at most
-ERROR / (strata * rules). This is the one-sided exact (Clopper-Pearson) bound with
-Bonferroni's correction over strata and rules; a rule's cutoffs are tested from the
-highest down to the first that fails, a fixed sequence, which needs no further
-correction. The last one that passed is used, and none where none passes. So with
-probability 1 - ERROR at least, in every stratum at most RISK of good documents are
-rejected by these rules.
-
-Cutoffs to try are quantiles of the measure in the stratum's holdout, good and bad rows
-together. Holdout rows are labelled rows with quality 0 or 1.
+Measures of each text are compared with cutoffs that labelled holdouts set. In every
+stratum (language), the share of good documents that its rules reject together is at
+most RISK with confidence: of a set of rules with their cutoffs, the exact binomial tail
+P(X <= k; n, RISK), for k of n good rows rejected by any of them, must be at most
+ERROR / strata. This is the one-sided exact (Clopper-Pearson) bound on the whole set, with
+Bonferroni's correction over strata. So with probability 1 - ERROR at least, in every
+stratum at most RISK of good documents are rejected by these rules. Without any false
+rejection, n >= 217 does for four strata.
+
+Sets are tried in a fixed sequence that the tested rows have no part in: one in
+DESIGN_EACH of the good rows and all bad ones say which cutoffs there are, by LEVELS of
+good rows lost, and in which order they join the set: by level, then by bad rows
+rejected. Each set holds the one before, the first that fails ends the sequence, which
+needs no further correction. Cutoffs that reject no bad row take no part. A stratum in
+which no set passes has no cutoffs. Holdout rows are labelled rows with quality 0 or 1.
 
 The cutoffs' table has a row per stratum; it is broadcast while there are at most
 BROADCAST_STRATA, beyond that joined by shuffle with salted strata.
@@ -31,7 +33,8 @@ from pyspark.sql import functions as F
 from tidelabel.llm.common import documents, materialise
 
 RISK, ERROR = 0.02, 0.05
-CUTOFFS = 40
+#: One in DESIGN_EACH good rows sets the order of trial; cutoffs lose these shares of them at most.
+DESIGN_EACH, LEVELS = 5, (0.0, 0.0025, 0.005, 0.01, 0.02)
 BROADCAST_STRATA, SALTS = 10_000, 64
 #: The base rule.
 LEAST_WORDS, REPEAT_PERCENT, WINDOW = 10, 20, 5
@@ -90,21 +93,34 @@ def binomial_tail(k: str, n: str, p: float) -> Column:
     return F.expr(f"case when {k} >= {n} then 1D when {k} = 0 then exp({log_p0}) when {k} > {n} * {p} then 1D else least(1D, exp({log_pk} + ln({relative}))) end")
 
 
-def cutoffs(holdout: DataFrame, risk: float = RISK, error: float = ERROR, tries: int = CUTOFFS) -> DataFrame:
-    """(stratum, cuts): lowest admitted cutoff by rule, from (stratum, quality, rules...)."""
-    long = holdout.select("stratum", "quality", F.expr("stack({}, {}) as (rule, value)".format(len(RULES), ", ".join(f"'{r}', cast({e} as double)" for r, e in RULES.items()))))
-    points = [(i + 0.5) / tries for i in range(tries)]
-    grid = long.groupBy("stratum", "rule").agg(F.expr(f"percentile_approx(value, array({', '.join(map(str, points))}), 10000)").alias("cut"))
-    grid = grid.select("stratum", "rule", F.explode(F.array_distinct("cut")).alias("cut"))
-    # how many good rows lie above each cutoff: values and cutoffs are counted, then summed from the top (so the tails grow
-    # downwards, and the lowest admitted cutoff is where the fixed sequence stops)
-    good = long.where("quality = 1").groupBy("stratum", "rule", "value").agg(F.count("*").alias("n"))
-    marked = good.select("stratum", "rule", "value", "n", F.lit(0).alias("is_cut")).union(grid.select("stratum", "rule", F.col("cut").alias("value"), F.lit(0).cast("long").alias("n"), F.lit(1).alias("is_cut")))
-    marked = marked.withColumn("above", F.expr("coalesce(sum(n) over (partition by stratum, rule order by value desc, is_cut desc rows between unbounded preceding and 1 preceding), 0L)")).withColumn("good", F.expr("sum(n) over (partition by stratum, rule)"))
+def trials(design: DataFrame) -> DataFrame:
+    """(stratum, items): the (rank, rule, cut) to try, in this order, from (stratum, quality, rules...)."""
+    long = design.select("stratum", "quality", F.expr("stack({}, {}) as (rule, value)".format(len(RULES), ", ".join(f"'{r}', cast({e} as double)" for r, e in RULES.items()))))
+    good = long.where("quality = 1").groupBy("stratum", "rule").agg(F.max("value").alias("most"), F.expr(f"percentile_approx(value, array({', '.join(str(1 - x) for x in LEVELS[1:])}), 10000)").alias("points"))
+    bad = long.where("quality = 0").join(good, ["stratum", "rule"])
+    # where no good row lies above, the cutoff is halfway to the next bad one
+    next_bad = bad.where("value > most").groupBy("stratum", "rule").agg(F.min("value").alias("next"))
+    halfway = F.expr("transform(concat(array((most + coalesce(next, most)) / 2), points), (c, i) -> struct(i as level, c as cut))")
+    items = good.join(next_bad, ["stratum", "rule"], "left").select("stratum", "rule", F.explode(halfway).alias("x")).select("stratum", "rule", "x.*")
+    gains = bad.select("stratum", "rule", "value").join(items, ["stratum", "rule"]).where("value > cut").groupBy("stratum", "rule", "level", "cut").agg(F.count("*").alias("gain"))
+    ranked = gains.withColumn("rank", F.expr("row_number() over (partition by stratum order by level, gain desc, rule)"))
+    return ranked.groupBy("stratum").agg(F.collect_list(F.struct("rank", "rule", "cut")).alias("items"))
+
+
+def cutoffs(holdout: DataFrame, risk: float = RISK, error: float = ERROR) -> DataFrame:
+    """(stratum, cuts): lowest admitted cutoff by rule, from (doc_id, stratum, quality, rules...)."""
+    rows = holdout.withColumn("designs", F.pmod(F.xxhash64(*holdout.columns), F.lit(DESIGN_EACH)) == 0)
+    items = materialise(trials(rows.where("quality = 0 or designs")), "quality-trials")
+    value = " ".join(f"when '{r}' then cast({e} as double)" for r, e in RULES.items())
+    # the first set that rejects a row; later ones do so too
+    first = rows.where("quality = 1 and not designs").join(items, "stratum").select("stratum", F.expr(f"array_min(transform(filter(items, s -> case s.rule {value} end > s.cut), s -> s.rank))").alias("rank"))
+    found = first.groupBy("stratum", "rank").agg(F.count("*").alias("n"))
+    good = found.groupBy("stratum").agg(F.sum("n").alias("good"))
+    tried = items.select("stratum", F.explode("items").alias("x")).select("stratum", "x.*").join(good, "stratum").join(found, ["stratum", "rank"], "left")
+    tried = tried.withColumn("above", F.expr("coalesce(sum(n) over (partition by stratum order by rank), 0L)"))
     strata = holdout.agg(F.countDistinct("stratum").alias("strata"))
-    tested = marked.where("is_cut = 1 and good > 0").crossJoin(F.broadcast(strata)).withColumn("tail", binomial_tail("above", "good", risk / len(RULES)))
-    admitted = tested.where(f"tail <= {error} / (strata * {len(RULES)})")
-    lowest = admitted.groupBy("stratum", "rule").agg(F.min("value").alias("cut"))
+    admitted = tried.crossJoin(F.broadcast(strata)).withColumn("tail", binomial_tail("above", "good", risk)).where(f"tail <= {error} / strata")
+    lowest = admitted.groupBy("stratum", "rule").agg(F.min("cut").alias("cut"))
     return lowest.groupBy("stratum").agg(*(F.max(F.when(F.col("rule") == r, F.col("cut"))).alias(f"cut_{r}") for r in RULES))
 
 
