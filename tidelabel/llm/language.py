@@ -21,12 +21,11 @@ read whole; without training rows all texts are ``und``.
 from __future__ import annotations
 
 import re
-from collections import Counter
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -38,42 +37,113 @@ RARE, NEAR = 5e-6, 0.25
 #: Languages in one slot value.
 BITS = 62
 LETTERS = re.compile(r"[^\W\d_]+")
-#: Words a task keeps before it hands their n-grams on, and words kept when scoring.
-CACHE = 200_000
+#: N-grams that a task counts before it hands them on.
+CACHE = 1_000_000
 UNKNOWN = "und"
+GOLDEN = np.uint64(0x9E3779B97F4A7C15)
+
+
+def mixed(x: np.ndarray) -> np.ndarray:
+    """The public splitmix64 finaliser."""
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+@lru_cache(maxsize=1)
+def classes() -> tuple[np.ndarray, np.ndarray]:
+    """By code point: can it be part of a word; is it a letter."""
+    word, letter = np.zeros(0x110000, dtype=bool), np.zeros(0x110000, dtype=bool)
+    every = [*range(0xD800), *range(0xE000, 0x110000)]
+    word[[ord(c) for c in "".join(LETTERS.findall("".join(map(chr, every))))]] = True
+    letter[[i for i in every if chr(i).isalpha()]] = True
+    return word, letter
+
+
+class Words:
+    """The distinct words of some texts, in lower case, and where they stand."""
+
+    def __init__(self, texts: list[str | None]):
+        lower = [(t or "").lower() for t in texts]
+        code = np.frombuffer("\n".join(lower).encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
+        word, letter = classes()
+        inside = word[code]
+        at = np.flatnonzero(inside)
+        first = inside[at] & ~np.concatenate([[False], inside])[at] if len(at) else np.zeros(0, dtype=bool)
+        starts = np.flatnonzero(first)
+        letters, ends = code[at].astype(np.uint64), np.cumsum([len(x) + 1 for x in lower], dtype=np.int64)
+        #: the text of each word, and whether each text has a letter
+        self.text = np.searchsorted(ends, at[starts], side="right")
+        self.has_letter = np.zeros(len(texts), dtype=bool)
+        self.has_letter[np.searchsorted(ends, at[letter[code[at]]], side="right")] = True
+        if not len(at):
+            self.of, self.counts, self.chars, self.begin = np.zeros(0, np.int64), np.zeros(0, np.int64), np.full(1, 32, np.uint64), np.zeros(0, np.int64)
+            return
+        sizes = np.diff(np.append(starts, len(at)))
+        place = (np.arange(len(at)) - np.repeat(starts, sizes)).astype(np.uint64)
+        key = np.add.reduceat(mixed(letters + (place << np.uint64(32)) + GOLDEN), starts)
+        #: the distinct word of each word, how often each occurs
+        _, where, self.of, self.counts = np.unique(key, return_index=True, return_inverse=True, return_counts=True)
+        # the distinct words one after another, a blank before, between and behind them
+        n = sizes[where]
+        self.begin = np.concatenate([[1], 1 + np.cumsum(n + 1)[:-1]])
+        self.chars = np.full(int((n + 1).sum()) + 1, 32, dtype=np.uint64)
+        offset = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        self.chars[np.repeat(self.begin, n) + offset] = letters[np.repeat(starts[where], n) + offset]
+
+    def grams(self):
+        """(hash, place) of the distinct words' n-grams of each size: 63-bit hashes and a place in the word's stretch."""
+        c = self.chars
+        blank = c == 32
+        for n in SIZES:
+            if len(c) < n:
+                continue
+            fine = ~blank.copy() if n == 1 else np.ones(len(c) - n + 1, dtype=bool)
+            for i in range(1, n - 1):
+                fine &= ~blank[i : len(c) - n + 1 + i]
+            at = np.flatnonzero(fine)
+            key = np.full(len(at), n, dtype=np.uint64) * GOLDEN
+            for i in range(n):
+                key = mixed(key + c[at + i]) if i == 2 else key * GOLDEN + c[at + i]
+            yield mixed(key) >> np.uint64(1), at + (n > 1)
 
-
-def grams(word: str) -> list[str]:
-    w = f" {word} "
-    return [w[i : i + n] for n in SIZES for i in range(1 if n == 1 else 0, len(w) - n + (0 if n == 1 else 1))]
+    def word_at(self) -> np.ndarray:
+        """The distinct word of each place; a word's stretch holds the blank behind it."""
+        return np.repeat(np.arange(len(self.begin)), np.diff(np.append(self.begin, len(self.chars))))
 
 
 def gram_counts(rows: DataFrame) -> DataFrame:
-    """(lang, gram, n) over (lang, text) rows."""
-
-    def handed(words: dict[str, Counter]):
-        langs, names, n = [], [], []
-        for lang, of in words.items():
-            found: Counter = Counter()
-            for w, k in of.items():
-                for g in grams(w):
-                    found[g] += k
-            langs += [lang] * len(found)
-            names += found.keys()
-            n += found.values()
-        words.clear()
-        return pa.RecordBatch.from_arrays([pa.array(langs, pa.string()), pa.array(names, pa.string()), pa.array(n, pa.int64())], names=["lang", "gram", "n"])
+    """(lang, gram, n) over (lang, text) rows; gram is an n-gram's hash."""
+
+    def summed(parts: list) -> tuple[np.ndarray, np.ndarray]:
+        gram, at = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
+        return gram, np.bincount(at, weights=np.concatenate([p[1] for p in parts]), minlength=len(gram)).astype(np.int64)
+
+    def handed(found: dict[str, list]):
+        for lang, parts in found.items():
+            gram, n = summed(parts)
+            for i in range(0, len(gram), 200_000):
+                part = [pa.array([lang] * len(gram[i : i + 200_000]), pa.string()), pa.array(gram[i : i + 200_000].astype(np.int64)), pa.array(n[i : i + 200_000])]
+                yield pa.RecordBatch.from_arrays(part, names=["lang", "gram", "n"])
+        found.clear()
 
     def run(batches):
-        words: dict[str, Counter] = {}
+        found: dict[str, list] = {}
         for b in slices(batches, 1024):
+            by_lang: dict[str, list] = {}
             for lang, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                words.setdefault(lang, Counter()).update(LETTERS.findall(text.lower()) if text else ())
-            if sum(map(len, words.values())) > CACHE:
-                yield handed(words)
-        yield handed(words)
+                by_lang.setdefault(lang, []).append(text)
+            for lang, texts in by_lang.items():
+                words = Words(texts)
+                if len(words.begin):
+                    of = words.word_at()
+                    parts = [(gram, words.counts[of[at - 1]].astype(np.float64)) for gram, at in words.grams()]
+                    found[lang] = [summed(found.get(lang, []) + parts)]
+            if sum(len(p[0][0]) for p in found.values()) > CACHE:
+                yield from handed(found)
+        yield from handed(found)
 
-    return rows.select("lang", "text").mapInArrow(run, "lang string, gram string, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
+    return rows.select("lang", "text").mapInArrow(run, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
 
 
 @dataclass
@@ -83,11 +153,6 @@ class Filters:
     chance: np.ndarray  # [languages] probability that an n-gram seems to be held by chance
 
 
-def positions(h: int) -> list[int]:
-    """Slots of an n-gram with 64-bit hash ``h`` (as Spark's xxhash64 gives it)."""
-    return [(h + i * (h >> 32)) % SLOTS for i in range(HASHES)]
-
-
 def learn(rows: DataFrame, rare: float = RARE, near: float = NEAR) -> Filters:
     """Filters from (lang, text) rows with a language."""
     counts = materialise(gram_counts(rows.where("lang is not null")), "language-grams")
@@ -101,9 +166,8 @@ def learn(rows: DataFrame, rare: float = RARE, near: float = NEAR) -> Filters:
     best = share.groupBy("gram").agg(F.max("share").alias("best"), F.collect_list(F.struct("number", "share")).alias("of"))
     held = best.select("gram", F.expr(f"filter(of, x -> x.share >= {near} * best)").alias("of"))
     masks = held.select("gram", F.explode("of").alias("x")).selectExpr("gram", f"x.number div {BITS} as part", f"shiftleft(1L, cast(x.number % {BITS} as int)) as bit").groupBy("gram", "part").agg(F.expr("bit_or(bit)").alias("mask"))
-    # 63 bits of the hash, so that sums stay in range: slot i is (h + i * (h >> 32)) mod SLOTS
-    h = "(xxhash64(gram) & 9223372036854775807L)"
-    at = masks.selectExpr("part", "mask", f"explode(transform(sequence(0, {HASHES - 1}), i -> ({h} % {SLOTS} + i * (shiftright({h}, 32) % {SLOTS})) % {SLOTS})) as slot")
+    # slot i is (gram + i * (gram >> 32)) mod SLOTS
+    at = masks.selectExpr("part", "mask", f"explode(transform(sequence(0, {HASHES - 1}), i -> (gram % {SLOTS} + i * (shiftright(gram, 32) % {SLOTS})) % {SLOTS})) as slot")
     table = at.groupBy("part", "slot").agg(F.expr("bit_or(mask)").alias("mask")).toArrow()
     slots = np.zeros((-(-len(names) // BITS), SLOTS), dtype=np.int64)
     slots[table.column(0).to_numpy().astype(np.int64), table.column(1).to_numpy()] = table.column(2).to_numpy()
@@ -112,59 +176,43 @@ def learn(rows: DataFrame, rare: float = RARE, near: float = NEAR) -> Filters:
 
 
 class Reader:
-    """Counts the n-grams of texts by language; words are kept with their counts."""
+    """Counts the n-grams of texts by language, once for each distinct word of a slice of texts."""
 
     def __init__(self, filters: Filters):
         self.filters = filters
-        self._start()
-
-    def _start(self) -> None:
-        self.rows: dict[str, int] = {}
-        self.masks: dict[str, np.ndarray] = {}
-        self.hits = np.zeros((1024, len(self.filters.names) + 1))
-
-    def mask(self, gram: str) -> np.ndarray:
-        m = self.masks.get(gram)
-        if m is None:
-            at = positions(xxhash.xxh64_intdigest(gram.encode(), 42) & 0x7FFFFFFFFFFFFFFF)
-            m = self.masks[gram] = np.bitwise_and.reduce(self.filters.slots[:, at], axis=1)
-        return m
-
-    def add(self, words: list[str]) -> None:
-        found = [grams(w) for w in words]
-        flat = np.array([self.mask(g) for gs in found for g in gs])
+        # few languages make a small table, which stays in the processor's cache
+        kind = next(k for k in (np.uint8, np.uint16, np.uint32, np.uint64) if len(filters.names) <= 8 * k().itemsize or k is np.uint64)
+        self.slots = filters.slots.astype(kind)
+
+    def hits(self, words: Words) -> np.ndarray:
+        """[distinct words, languages + 1]: n-grams that each filter holds, and all n-grams."""
         n = len(self.filters.names)
-        lang = np.arange(n)
-        bits = (flat[:, lang // BITS] >> (lang % BITS)) & 1
-        starts = np.cumsum([0] + [len(gs) for gs in found[:-1]])
-        at = len(self.rows)
-        while at + len(words) > len(self.hits):
-            self.hits = np.concatenate([self.hits, np.zeros_like(self.hits)])
-        self.hits[at : at + len(words), :n] = np.add.reduceat(bits, starts, axis=0)
-        self.hits[at : at + len(words), n] = [len(gs) for gs in found]
-        self.rows |= {w: at + i for i, w in enumerate(words)}
+        found = np.zeros((n + 1, len(words.chars)), dtype=np.int32)
+        for gram, at in words.grams():
+            step = gram >> np.uint64(32)
+            masks = [part[(gram & np.uint64(SLOTS - 1)).astype(np.int64)] for part in self.slots]
+            for i in range(1, HASHES):
+                slot = ((gram + np.uint64(i) * step) & np.uint64(SLOTS - 1)).astype(np.int64)
+                masks = [m & part[slot] for m, part in zip(masks, self.slots)]
+            for lang in range(n):
+                found[lang, at] += ((masks[lang // BITS] >> (lang % BITS)) & 1).astype(np.int32)
+            found[n, at] += 1
+        return np.add.reduceat(found, words.begin, axis=1).T
 
     def predict(self, texts: list[str | None]) -> list[tuple[str, float, float]]:
         """(language, share of the corrected hits, corrected hits an n-gram) of each text."""
-        if len(self.rows) > CACHE or len(self.masks) > 4 * CACHE:
-            self._start()
-        words = [LETTERS.findall(t.lower()) if t else [] for t in texts]
-        new = list(dict.fromkeys(w for ws in words for w in ws if w not in self.rows))
-        if new and self.filters.names:
-            for i in range(0, len(new), 20_000):
-                self.add(new[i : i + 20_000])
-        out = []
-        for ws in words:
-            if not self.filters.names or not any(any(map(str.isalpha, w)) for w in ws):
-                out.append((UNKNOWN, 0.0, 0.0))
-                continue
-            total = self.hits[[self.rows[w] for w in ws]].sum(axis=0)
-            grams_, hits = total[-1], total[:-1]
-            right = np.maximum(hits - grams_ * self.filters.chance, 0) / np.maximum(1 - self.filters.chance, 1e-9)
-            best = int(right.argmax())
-            sum_ = right.sum()
-            out.append((self.filters.names[best], float(right[best] / sum_) if sum_ > 0 else 0.0, float(min(right[best] / grams_, 1.0))))
-        return out
+        words = Words(texts)
+        if not self.filters.names or not len(words.begin):
+            return [(UNKNOWN, 0.0, 0.0)] * len(texts)
+        hits = self.hits(words)[words.of]
+        total = np.stack([np.bincount(words.text, weights=column, minlength=len(texts)) for column in hits.T], axis=1)
+        all_, hits = total[:, -1:], total[:, :-1]
+        right = np.maximum(hits - all_ * self.filters.chance, 0) / np.maximum(1 - self.filters.chance, 1e-9)
+        best, sums = right.argmax(axis=1), right.sum(axis=1)
+        top = right[np.arange(len(texts)), best]
+        score = np.divide(top, sums, out=np.zeros(len(texts)), where=sums > 0)
+        known = np.minimum(np.divide(top, all_[:, 0], out=np.zeros(len(texts)), where=all_[:, 0] > 0), 1)
+        return [(self.filters.names[i], float(p), float(k)) if fine else (UNKNOWN, 0.0, 0.0) for i, p, k, fine in zip(best, score, known, words.has_letter)]
 
 
 def identify(docs: DataFrame, filters: Filters) -> DataFrame:
@@ -199,4 +247,4 @@ def held_out(doc_id: str = "doc_id"):
 def op1_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     filters = learn(docs.where(~held_out()).select("lang", "text"))
-    return identify(docs, filters).withColumn("held_out", held_out())
+    return identify(docs, filters).select("doc_id", held_out().alias("held_out"), "lang_pred", "score", "known")
