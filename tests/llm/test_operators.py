@@ -150,6 +150,20 @@ def varied(rng, base, n):
     return " ".join(words)
 
 
+def test_rows_that_share_an_id_are_linked_by_their_texts(spark):
+    text = lambda seed, n=60: " ".join(random.Random(seed).choices("abcdefghijklmnop", k=n))
+    rows = [(5, text(1)), (5, text(2)), (2, text(2) + " z"), (7, text(3)), (7, text(3)), (None, text(1)), (9, None), (9, text(3) + " q")]
+    docs = spark.createDataFrame([(d, t, i, i) for i, (d, t) in enumerate(rows)], "doc_id long, text string, spot int, number int")
+    groups = minhash.near_groups(docs)
+    got = sorted(((r.doc_id, r.component_id, r.kept, r.n_shingles > 0) for r in groups.collect()), key=str)
+    want = [(5, 5, True, True), (5, 2, False, True), (2, 2, True, True), (7, 7, True, True), (7, 7, True, True), (None, 5, False, True), (9, 9, True, False), (9, 7, False, True)]
+    assert got == sorted(want, key=str)
+    left = minhash.one_of_each(docs, groups)
+    assert left.columns == docs.columns
+    kept = sorted(r.spot for r in left.collect())
+    assert kept in ([0, 2, 3, 6], [0, 2, 4, 6])
+
+
 def test_near_groups_equal_brute_force(spark):
     rng = random.Random(9)
     vocabulary = [f"t{i}" for i in range(300)]
@@ -345,14 +359,59 @@ def test_language_of_odd_texts(spark, odd, sf_dir):
     assert all((got[i].lang_pred, got[i].score) == ("und", 0.0) for i in (0, 1, 2)) and got[7].lang_pred in filters.names
 
 
-def test_filters_hold_every_gram_they_were_given():
-    f = language.Filters(["a", "b"], np.zeros((1, language.SLOTS), dtype=np.int64), np.zeros(2))
-    import xxhash
-
-    for i, g in enumerate(["ab", "cd", "ef"]):
-        f.slots[0, language.positions(xxhash.xxh64_intdigest(g.encode(), 42) & 0x7FFFFFFFFFFFFFFF)] |= 1 << (i % 2)
-    r = language.Reader(f)
-    assert [int(r.mask(g)[0]) for g in ("ab", "cd", "ef")] == [1, 2, 1] and int(r.mask("zz")[0]) == 0
+def gram_hash(gram):
+    mask = (1 << 64) - 1
+
+    def mix(x):
+        x = (x ^ (x >> 30)) * 0xBF58476D1CE4E5B9 & mask
+        x = (x ^ (x >> 27)) * 0x94D049BB133111EB & mask
+        return x ^ (x >> 31)
+
+    key = len(gram) * 0x9E3779B97F4A7C15 & mask
+    for i, c in enumerate(gram):
+        key = mix((key + ord(c)) & mask) if i == 2 else (key * 0x9E3779B97F4A7C15 + ord(c)) & mask
+    return mix(key) >> 1
+
+
+def grams_of(text):
+    for w in re.findall(r"[^\W\d_]+", (text or "").lower()):
+        w = f" {w} "
+        yield from (w[i : i + n] for n in language.SIZES for i in range(len(w) - n + 1) if n > 1 or w[i] != " ")
+
+
+def test_filters_and_counts_equal_brute_force(spark, sf_dir):
+    """Counts of n-grams, the filters' bits, and popcounts by text, against plain Python."""
+    texts = [r.text for r in documents(spark, sf_dir).limit(40).collect()] + ODD + ["İstanbul ǅ ²³ x_y 中文字 aßb", "I"]
+    langs = [["aa", "bb", "cc"][i % 3] for i in range(len(texts))]
+    rows = spark.createDataFrame(list(zip(langs, texts)), "lang string, text string").repartition(3)
+    want = {}
+    for lang, t in zip(langs, texts):
+        for g in grams_of(t):
+            want[lang, gram_hash(g)] = want.get((lang, gram_hash(g)), 0) + 1
+    assert {(r.lang, r.gram): r.n for r in language.gram_counts(rows).collect()} == want
+    total = {x: sum(n for (lang, _), n in want.items() if lang == x) for x in set(langs)}
+    share = {k: n / total[k[0]] for k, n in want.items()}
+    best = {}
+    for (_, g), x in share.items():
+        best[g] = max(best.get(g, 0), x)
+    slots = lambda g: [(g + i * (g >> 32)) % language.SLOTS for i in range(language.HASHES)]
+    filters = language.learn(rows)
+    held = {x: set() for x in total}
+    for (lang, g), x in share.items():
+        if x >= language.RARE and x >= language.NEAR * best[g]:
+            held[lang].update(slots(g))
+    assert filters.names == sorted(total, key=lambda x: (-total[x], x))
+    for i, lang in enumerate(filters.names):
+        assert set(np.flatnonzero((filters.slots[0] >> i) & 1).tolist()) == held[lang]
+    got = language.Reader(filters).predict(texts)
+    for t, (lang, score, known) in zip(texts, got):
+        grams = [gram_hash(g) for g in grams_of(t)]
+        hits = np.array([sum(all(s in held[x] for s in slots(g)) for g in grams) for x in filters.names], dtype=float)
+        right = np.maximum(hits - len(grams) * filters.chance, 0) / (1 - filters.chance)
+        if not any(c.isalpha() for c in t or ""):
+            assert (lang, score, known) == ("und", 0.0, 0.0)
+        else:
+            assert lang == filters.names[int(right.argmax())] and abs(score - right.max() / max(right.sum(), 1e-300)) < 1e-9 and abs(known - min(right.max() / len(grams), 1)) < 1e-9
 
 
 def test_toxicity_on_held_out_documents(spark):

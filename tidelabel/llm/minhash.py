@@ -8,9 +8,11 @@ smallest value. The draws of one level j are made for all elements of a slice of
 documents at once, and a document is done as soon as all its slots hold values
 below the next level: most documents stop after two or three levels.
 
-Equal sets are grouped by a digest of the whole set first, so copies cost nothing
-afterwards. The bands of one representative of each set are joined by key. A
-bucket is worked off without all its pairs:
+Equal sets are grouped by a 128-bit digest of the whole set first, so copies cost nothing
+afterwards; from there on a set goes by the digest's first half, not by a document's id.
+Band keys that only one set has are left out by a count of keys alone and a bit table,
+so a set's bands aren't shuffled. A bucket of the others is worked off without all its
+pairs:
 
 1. its smallest member is compared with all others;
 2. links are turned into components; a bucket whose members are in one component is done;
@@ -27,8 +29,9 @@ With 32 bands of 4 slots a pair at similarity 0.75 shares no band with probabili
 
 Edge cases: null, empty and blank texts have an empty set and link with nothing;
 texts with fewer words than a shingle are one element; long texts are taken whole;
-ties go to the smallest doc_id; repeated doc_ids count as one document each row
-(they share the id and thus the component); extra columns are ignored.
+ties go to the smallest doc_id; rows that share a doc_id are documents of their own,
+linked by their texts only; a null doc_id is never the smallest, unless there is no
+other; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -41,8 +44,9 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidelabel.llm.common import documents, materialise, slices
+from tidelabel.llm.common import documents, fresh, materialise, slices
 from tidelabel.llm.components import connected
+from tidelabel.llm.hashbits import hash_bits, perhaps_in, surely_not_in
 
 SHINGLE_WORDS = 5
 SIMILARITY_PERCENT = 75
@@ -51,8 +55,6 @@ BANDS, BAND_SLOTS = 32, 4
 GROUP_MEMBERS = 64
 #: Slots of the counts that say which elements are rare; any order is right, a good one is fast.
 RARITY_SLOTS = 1 << 20
-#: Ids (8 bytes each) that may be broadcast to the texts; more are joined by shuffle.
-BROADCAST_IDS = 2_000_000
 WORD_CACHE = 500_000
 GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 LOW = np.uint64(0xFFFFFFFF)
@@ -150,29 +152,36 @@ def band_keys(sig: np.ndarray, bands: int, rows: int) -> np.ndarray:
 
 
 def sketch(docs: DataFrame, shingle: int = SHINGLE_WORDS, bands: int = BANDS, rows: int = BAND_SLOTS) -> DataFrame:
-    """(doc_id, n_shingles, digest, bands) of each document; digest and bands are null for empty sets."""
+    """(doc_id, text_key, n_shingles, set_id, set_check, bands) of each document; the last three are null for empty sets.
+
+    ``set_id`` and ``set_check`` are a digest of the whole set, ``text_key`` a hash of the text.
+    """
 
     def run(batches):
         shingler = Shingler(shingle)
         for b in slices(batches):
-            sets = [shingler.hashes(t) for t in b.column(1).to_pylist()]
+            sets = [shingler.hashes(t) for t in b.column(2).to_pylist()]
             keys = band_keys(signatures(sets, bands * rows), bands, rows)
-            full = np.array([len(s) > 0 for s in sets], dtype=bool)
-            digest = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
-            of = pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * bands), pa.array(keys.ravel()), mask=pa.array(~full))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(digest, pa.binary()), of], names=["doc_id", "n_shingles", "digest", "bands"])
+            empty = pa.array([len(s) == 0 for s in sets], pa.bool_())
+            digest = np.frombuffer(b"".join(hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets), dtype=np.int64).reshape(-1, 2)
+            halves = [pa.array(digest[:, i], mask=empty.to_numpy(zero_copy_only=False)) for i in (0, 1)]
+            of = pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * bands), pa.array(keys.ravel()), mask=empty)
+            columns = [b.column(0), b.column(1), pa.array([len(s) for s in sets], pa.int64()), *halves, of]
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "text_key", "n_shingles", "set_id", "set_check", "bands"])
+
+    rows_in = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_key"), "text")
+    return rows_in.mapInArrow(run, "doc_id long, text_key long, n_shingles long, set_id long, set_check long, bands array<long>")
 
-    rows_in = docs.select(F.col("doc_id").cast("long"), "text")
-    return rows_in.mapInArrow(run, "doc_id long, n_shingles long, digest binary, bands array<long>")
 
+def full_sets(texts: DataFrame, shingle: int) -> DataFrame:
+    """(set_id, elements) from (set_id, text)."""
 
-def full_sets(docs: DataFrame, shingle: int) -> DataFrame:
     def run(batches):
         shingler = Shingler(shingle)
         for b in slices(batches):
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingler.hashes(t).tobytes() for t in b.column(1).to_pylist()], pa.binary())], names=["doc_id", "elements"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingler.hashes(t).tobytes() for t in b.column(1).to_pylist()], pa.binary())], names=["set_id", "elements"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, elements binary")
+    return texts.select("set_id", "text").mapInArrow(run, "set_id long, elements binary")
 
 
 def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -185,7 +194,9 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     grouped = pairs.join(sizes, "a").selectExpr("a", "b", f"cast(pmod(xxhash64(b), ceil(count / {GROUP_MEMBERS})) as int) as part")
     leaders = grouped.select("a", "part").distinct().selectExpr("a", "part", "a as id", "0 as role")
     members = grouped.selectExpr("a", "part", "b as id", "1 as role")
-    rows = leaders.union(members).join(sets.withColumnRenamed("doc_id", "id"), "id").select("a", "part", "role", "id", "elements")
+    rows = leaders.union(members)
+    named = perhaps_in(sets.withColumnRenamed("set_id", "id"), "id", hash_bits(rows, "id"))
+    rows = rows.hint("merge").join(named, "id").select("a", "part", "role", "id", "elements")
 
     def run(batches):
         group, leader = None, None
@@ -223,7 +234,7 @@ def rarity(sets: DataFrame) -> np.ndarray:
 
 
 def prefixes(sets: DataFrame, percent: int) -> DataFrame:
-    """(doc_id, element, place, n): each set's prefix in the order of rarity."""
+    """(set_id, element, place, n): each set's prefix in the order of rarity."""
     counts = sets.sparkSession.sparkContext.broadcast(rarity(sets))
 
     def run(batches):
@@ -238,38 +249,45 @@ def prefixes(sets: DataFrame, percent: int) -> DataFrame:
                 places.append(np.arange(len(order), dtype=np.int32))
                 sizes.append(np.full(len(order), n))
             if ids:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (ids, elements, places, sizes)], names=["doc_id", "element", "place", "n"])
-
-    return sets.select("doc_id", "elements").mapInArrow(run, "doc_id long, element long, place int, n long")
-
-
-def near_links(docs: DataFrame, sketches: DataFrame, percent: int = SIMILARITY_PERCENT, shingle: int = SHINGLE_WORDS) -> tuple[DataFrame, DataFrame]:
-    """(links, representatives): links between smallest ids of equal sets, and (digest, doc_id, n_shingles)."""
-    full = sketches.where("digest is not null")
-    reps = materialise(full.groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("n_shingles")), "minhash-sets")
-    banded = full.select("doc_id", "digest", "n_shingles", "bands").join(reps.select("doc_id", "digest"), ["doc_id", "digest"], "left_semi")
-    keys = banded.select("doc_id", "n_shingles", F.explode("bands").alias("key")).distinct()
-    shared = keys.groupBy("key").agg(F.count("*").alias("members"), F.min("doc_id").alias("first")).where("members > 1")
-    buckets = materialise(keys.join(shared, "key"), "minhash-buckets")
-    members = buckets.select("doc_id").distinct()
-    if members.count() <= BROADCAST_IDS:
-        # else every text would be shuffled to find the few that are needed
-        wanted = F.broadcast(members)
-    else:
-        wanted = members
-    sets = materialise(full_sets(docs.select("doc_id", "text").join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]), shingle), "minhash-full-sets")
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (ids, elements, places, sizes)], names=["set_id", "element", "place", "n"])
+
+    return sets.select("set_id", "elements").mapInArrow(run, "set_id long, element long, place int, n long")
+
+
+def candidate_buckets(reps: DataFrame) -> DataFrame:
+    """(key, set_id, n_shingles, rank, first): the members of all band keys that more than one set has.
+
+    ``first`` is the member of smallest rank, that is of the smallest doc_id: often the text
+    that the others were made from, and thus one leader for many buckets.
+    """
+    rank = F.struct("at.no_id", "at.doc_id", "set_id").alias("rank")
+    keys = reps.select("set_id", "n_shingles", rank, F.explode("bands").alias("key"))
+    # only keys are counted; the sets' ids go on where the key has another member
+    shared = materialise(keys.groupBy("key").count().where("count > 1").select("key"), "minhash-shared-keys")
+    met = perhaps_in(keys, "key", hash_bits(shared, "key"))
+    firsts = met.groupBy("key").agg(F.count("*").alias("members"), F.min("rank").alias("r")).where("members > 1")
+    return met.join(firsts.selectExpr("key", "members", "r.set_id as first"), "key")
+
+
+def near_links(docs: DataFrame, reps: DataFrame, percent: int = SIMILARITY_PERCENT, shingle: int = SHINGLE_WORDS) -> DataFrame:
+    """Links (a, b) between set_ids; reps: (set_id, at: (doc_id, text_key), n_shingles, bands) of each set."""
+    buckets = materialise(candidate_buckets(reps), "minhash-buckets")
+    members = buckets.select("set_id", "n_shingles").distinct()
+    wanted = materialise(reps.select("set_id", "at.doc_id", "at.text_key").join(members.select("set_id"), "set_id", "left_semi").withColumn("spot", F.xxhash64("doc_id", "text_key")), "minhash-members")
+    texts = docs.select(F.col("doc_id").cast("long"), F.xxhash64("text").alias("text_key"), "text").withColumn("spot", F.xxhash64("doc_id", "text_key"))
+    texts = perhaps_in(texts, "spot", hash_bits(wanted, "spot")).select("spot", "text")
+    sets = materialise(full_sets(texts.join(wanted.select("spot", "set_id"), "spot").dropDuplicates(["spot"]), shingle), "minhash-full-sets")
     lengths = f"100 * least(n_a, n_b) >= {percent} * greatest(n_a, n_b)"
 
     def links_of(pairs: DataFrame) -> DataFrame:
         return materialise(confirmed(pairs, sets, percent), "minhash-links")
 
-    n_of = members.join(reps.select("doc_id", "n_shingles"), "doc_id")
-    of = lambda c: n_of.select(F.col("doc_id").alias(c), F.col("n_shingles").alias(f"n_{c}"))
-    tried = materialise(buckets.selectExpr("first as a", "doc_id as b", "n_shingles as n_b").where("a <> b").distinct().join(of("a"), "a").where(lengths).select("a", "b"), "minhash-pairs")
+    of = lambda c: members.select(F.col("set_id").alias(c), F.col("n_shingles").alias(f"n_{c}"))
+    tried = materialise(buckets.selectExpr("first as a", "set_id as b", "n_shingles as n_b").where("a <> b").distinct().join(of("a"), "a").where(lengths).select("a", "b"), "minhash-pairs")
     links = links_of(tried)
 
     def placed(rows: DataFrame) -> DataFrame:
-        return rows.join(connected(links).withColumnRenamed("id", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+        return rows.join(connected(links).withColumnRenamed("id", "set_id"), "set_id", "left").withColumn("component", F.coalesce("component", "set_id"))
 
     def undecided(rows: DataFrame, key: str) -> DataFrame:
         split = rows.groupBy(key).agg(F.min("component").alias("c"), F.max("component").alias("d")).where("c <> d").select(key)
@@ -279,36 +297,63 @@ def near_links(docs: DataFrame, sketches: DataFrame, percent: int = SIMILARITY_P
         return materialise(pairs.selectExpr("least(a, b) as a", "greatest(a, b) as b").distinct().join(tried, ["a", "b"], "left_anti"), "minhash-pairs")
 
     # the smallest member outside the first one's component leads next
-    left = undecided(placed(buckets.where("members > 2").select("key", "doc_id", "n_shingles", "first")), "key")
+    left = undecided(placed(buckets.where("members > 2").select("key", "set_id", "n_shingles", "rank", "first")), "key")
     if left.isEmpty():
-        return links, reps
-    home = left.where("doc_id = first").select("key", F.col("component").alias("home"))
-    leader = left.join(home, "key").where("component <> home").groupBy("key").agg(F.min(F.struct("doc_id", "component", "n_shingles")).alias("x"))
-    leader = leader.selectExpr("key", "x.doc_id as a", "x.component as c_a", "x.n_shingles as n_a")
-    pairs = more(leader.join(left.selectExpr("key", "doc_id as b", "component as c_b", "n_shingles as n_b"), "key").where("c_a <> c_b").where(lengths))
+        return links
+    home = left.where("set_id = first").select("key", F.col("component").alias("home"))
+    leader = left.join(home, "key").where("component <> home").groupBy("key").agg(F.min(F.struct("rank", "component", "n_shingles")).alias("x"))
+    leader = leader.selectExpr("key", "x.rank.set_id as a", "x.component as c_a", "x.n_shingles as n_a")
+    pairs = more(leader.join(left.selectExpr("key", "set_id as b", "component as c_b", "n_shingles as n_b"), "key").where("c_a <> c_b").where(lengths))
     links, tried = links.union(links_of(pairs)), tried.union(pairs)
     # what is still undecided is compared exactly
-    left = undecided(placed(left.select("key", "doc_id")), "key").select("doc_id").distinct()
+    left = undecided(placed(left.select("key", "set_id")), "key").select("set_id").distinct()
     if left.isEmpty():
-        return links, reps
-    rows = undecided(placed(materialise(prefixes(sets.join(left, "doc_id", "left_semi"), percent), "minhash-prefixes")), "element")
-    one, two = (rows.selectExpr("element", *(f"{c} as {c}_{x}" for c in ("doc_id", "component", "place", "n"))) for x in "ab")
+        return links
+    # a set that only seems to be open costs its prefix, but no shuffle of all sets
+    open_sets = perhaps_in(sets, "set_id", hash_bits(left, "set_id"))
+    rows = undecided(placed(materialise(prefixes(open_sets, percent), "minhash-prefixes")), "element")
+    one, two = (rows.selectExpr("element", *(f"{c} as {c}_{x}" for c in ("set_id", "component", "place", "n"))) for x in "ab")
     room = f"{100 + percent} * least(n_a - place_a, n_b - place_b) >= {percent} * (n_a + n_b)"
-    pairs = more(one.join(two, "element").where("doc_id_a < doc_id_b and component_a <> component_b").where(lengths).where(room).selectExpr("doc_id_a as a", "doc_id_b as b"))
-    return links.union(links_of(pairs)), reps
+    pairs = more(one.join(two, "element").where("set_id_a < set_id_b and component_a <> component_b").where(lengths).where(room).selectExpr("set_id_a as a", "set_id_b as b"))
+    return links.union(links_of(pairs))
 
 
 def near_groups(docs: DataFrame, percent: int = SIMILARITY_PERCENT, shingle: int = SHINGLE_WORDS, bands: int = BANDS, rows: int = BAND_SLOTS) -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept), one row for each row of ``docs``."""
+    """(doc_id, n_shingles, component_id, kept, text_key), one row for each row of ``docs``."""
     sketches = materialise(sketch(docs, shingle, bands, rows), "minhash-sketches")
-    links, reps = near_links(docs, sketches, percent, shingle)
-    groups = connected(links).withColumnRenamed("id", "first_id")
-    firsts = reps.select("digest", F.col("doc_id").alias("first_id")).join(groups, "first_id", "left").select("digest", F.coalesce("component", "first_id").alias("component_id"))
-    # a set shared by very many documents: the join's other side is small for each key, so it is split freely
-    return sketches.select("doc_id", "n_shingles", "digest").join(firsts, "digest", "left").select(
-        "doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), F.coalesce("component_id", "doc_id").eqNullSafe(F.col("doc_id")).alias("kept")
+    at = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_key")
+    reps = sketches.where("set_id is not null").groupBy("set_id", "set_check").agg(F.min(at).alias("at"), F.first("n_shingles").alias("n_shingles"), F.first("bands").alias("bands"))
+    reps = materialise(reps, "minhash-sets")
+    label = F.coalesce("component", "set_id").alias("label")
+    labels = reps.select("set_id", "set_check", "at.doc_id").join(connected(near_links(docs, reps, percent, shingle)).withColumnRenamed("id", "set_id"), "set_id", "left").select("set_id", "set_check", "doc_id", label)
+    labels = materialise(labels, "minhash-labels")
+    least = labels.groupBy("label").agg(F.min("doc_id").alias("component_id"))
+    of_set = labels.join(least, "label").select("set_id", "set_check", "component_id")
+    own = F.coalesce("component_id", "doc_id")
+    return sketches.select("doc_id", "text_key", "n_shingles", "set_id", "set_check").join(of_set, ["set_id", "set_check"], "left").select(
+        "doc_id", "n_shingles", own.alias("component_id"), own.eqNullSafe(F.col("doc_id")).alias("kept"), "text_key"
     )
 
 
+def one_of_each(docs: DataFrame, groups: DataFrame) -> DataFrame:
+    """The rows of ``docs`` that ``near_groups`` keeps, and of kept rows that share id and group one.
+
+    Rows are told by id and text; only the ids and hashes of rows that go, or that may be repeated, are joined.
+    """
+    spot, n = fresh(docs, "spot"), fresh(docs, "number")
+    key = F.xxhash64("doc_id", "text_key").alias(spot)
+    gone = materialise(groups.where("not kept").select(key).distinct(), "minhash-gone")
+    several = groups.where("kept and n_shingles > 0").groupBy("doc_id", "component_id").agg(F.count("*").alias("rows"), F.collect_set("text_key").alias("texts")).where("rows > 1")
+    repeated = materialise(several.select("doc_id", "component_id", F.explode("texts").alias("text_key")).select(key, F.xxhash64("doc_id", "component_id").alias(n)), "minhash-repeated")
+    keyed = docs.withColumn(spot, F.xxhash64(F.col("doc_id").cast("long"), F.xxhash64("text")))
+    kept = keyed.join(gone, spot, "left_anti")
+    if repeated.isEmpty():
+        return kept.select(*docs.columns)
+    bits = hash_bits(repeated.select(F.col(spot).alias("k")), "k")
+    perhaps = perhaps_in(kept, spot, bits).join(repeated, spot, "left")
+    first = perhaps.where(F.col(n).isNotNull()).dropDuplicates([n])
+    return surely_not_in(kept, spot, bits).select(*docs.columns).union(perhaps.where(F.col(n).isNull()).select(*docs.columns)).union(first.select(*docs.columns))
+
+
 def op5_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_groups(documents(spark, sf_dir))
+    return near_groups(documents(spark, sf_dir)).drop("text_key")
