@@ -34,10 +34,8 @@ def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group: that of the smallest doc_id."""
-    groups = minhash.near_groups(docs)
-    copies = groups.where("not kept").select("doc_id").distinct()
-    return docs.join(copies, docs.doc_id.eqNullSafe(copies.doc_id), "left_anti").select(*docs.columns)
+    """One document of each group: that of the smallest doc_id; rows are told by id and text."""
+    return minhash.one_of_each(docs, minhash.near_groups(docs))
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
