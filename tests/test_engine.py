@@ -52,12 +52,12 @@ def test_pruner_picks_what_full_scoring_picks(quality, kind):
     w = train_newton(s.rows, CFG)
     v = influence_vector(s.rows, validation_gradient(*s.val, w), w, CFG)
     full = influence.select_top(influence.uplift_influence(quality, w, v, CFG.gamma), 10)
-    for bounds in (pruner.brackets(quality, s.prov, v, w, s.w0, CFG.gamma, kind), pruner.prescreen(quality, s.prov, v, s.v0, w, s.w0, CFG.gamma)):
+    for bounds in (pruner.brackets(s.prov, v, w, s.w0, CFG.gamma, kind), pruner.prescreen(s.prov, v, s.v0, w, s.w0, CFG.gamma)):
         for threshold in ("printed", "tight"):
-            diff = same_picks(full, pruner.pruned_top(quality, bounds, w, v, CFG.gamma, 10, threshold)).first()
+            diff = same_picks(full, pruner.pruned_top(bounds, w, v, CFG.gamma, 10, threshold)[0]).first()
             assert (diff.only_a, diff.only_b) == (0, 0)
     exact = influence.uplift_influence(quality, w, v, CFG.gamma)
-    assert pruner.violations(pruner.prescreen(quality, s.prov, v, s.v0, w, s.w0, CFG.gamma), exact) == 0
+    assert pruner.violations(pruner.prescreen(s.prov, v, s.v0, w, s.w0, CFG.gamma), exact) == 0
 
 
 def test_ties_go_to_the_smaller_id(spark):

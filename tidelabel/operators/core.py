@@ -84,6 +84,7 @@ class LocalRows:
     y: np.ndarray
     clean: np.ndarray
     gamma: float
+    truth: np.ndarray | None = None
 
     @property
     def size(self) -> int:
@@ -139,10 +140,8 @@ def rows_of(train: DataFrame, cfg: CleanConfig) -> LocalRows | ClusterRows:
     part = train.where("split = 'train'")
     n = part.select(F.count("*").alias("n"), F.max(F.size("x")).alias("d")).first()
     if n.n and n.n * (n.d + cfg.classes + 2) * 8 <= cfg.local_bytes:
-        t = part.select("row_id", "is_clean", "x", "weak", "truth").orderBy("row_id")
-        ids, x, y, _ = as_arrays(t)
-        clean = np.array([r.is_clean for r in t.select("is_clean").collect()])
-        return LocalRows(ids, x, y, clean, cfg.gamma)
+        ids, x, y, truth, clean = as_arrays(part.orderBy("row_id"), "is_clean")
+        return LocalRows(ids, x, y, clean, cfg.gamma, truth)
     return ClusterRows(part, cfg.gamma)
 
 

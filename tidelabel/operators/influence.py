@@ -9,13 +9,14 @@ its rank and names the suggested label. All scores are one pass without a shuffl
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
-from tidelabel.operators.core import softmax
+from tidelabel.operators.core import LocalRows, softmax
 from tidelabel.schema import SCORES
 
 
@@ -49,8 +50,23 @@ def label_gradient_scores(x, w, v) -> np.ndarray:
     return (p * s).sum(axis=1, keepdims=True) - s
 
 
-def scored(rows: DataFrame, fn: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> DataFrame:
+@dataclass
+class LocalScores:
+    """Scores of rows that the driver holds."""
+
+    ids: np.ndarray
+    scores: np.ndarray
+
+    def top(self, b: int) -> list[Row]:
+        best = self.scores.argmin(axis=1)
+        score = self.scores[np.arange(len(best)), best]
+        return [Row(row_id=int(self.ids[i]), best_class=int(best[i]), best_score=float(score[i])) for i in np.lexsort((self.ids, score))[:b]]
+
+
+def scored(rows: DataFrame | LocalRows, fn: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> DataFrame | LocalScores:
     """SCORES of (row_id, x, weak) rows; ``fn`` gives [n, classes], or [n] for scores without a class."""
+    if isinstance(rows, LocalRows):
+        return LocalScores(rows.ids, np.asarray(fn(rows.x, rows.y)).reshape(rows.size, -1) if rows.size else np.empty((0, 1)))
 
     def run(batches):
         for b in batches:
@@ -68,8 +84,11 @@ def scored(rows: DataFrame, fn: Callable[[np.ndarray, np.ndarray], np.ndarray])
     return rows.select("row_id", "x", "weak").mapInArrow(run, SCORES)
 
 
-def pool(train: DataFrame) -> DataFrame:
+def pool(train: DataFrame | LocalRows) -> DataFrame | LocalRows:
     """The rows that may be chosen: training rows not cleaned yet."""
+    if isinstance(train, LocalRows):
+        m = ~train.clean
+        return LocalRows(train.ids[m], train.x[m], train.y[m], train.clean[m], train.gamma)
     return train.where("split = 'train' and not is_clean")
 
 

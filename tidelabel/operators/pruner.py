@@ -12,22 +12,27 @@ h = |x|^2 / 2, an upper bound at any model, so that the bracket is guaranteed.
 
 The prescreen goes further: with s0 = V0 x and |x| kept, |s - s0| <= |V - V0| |x| bounds
 all scores without reading x at all, and only rows in reach are read.
+
+The facts stand beside the features and weak labels in one table, so no round joins
+anything: brackets are one pass over it, and the candidates are scored from its rows.
+Rows cleaned since, at most the budget, are left out by a list of ids.
 """
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from tidelabel.operators.core import hessian_norms, softmax
-from tidelabel.operators.influence import pool, select_top, uplift_influence
+from tidelabel.operators.influence import pool, scored, select_top, uplift_scores
 
-PROVENANCE = "row_id bigint, p0 array<double>, h double, x_norm double, s0 array<double>"
-BOUNDS = "row_id bigint, center array<double>, lower array<double>, upper array<double>"
+PROVENANCE = "row_id bigint, x array<double>, weak array<double>, p0 array<double>, h double, x_norm double, s0 array<double>"
+BOUNDS = "row_id bigint, center array<double>, lower array<double>, upper array<double>, x array<double>, weak array<double>"
 
 
 def _lists(a: np.ndarray) -> pa.Array:
@@ -35,16 +40,21 @@ def _lists(a: np.ndarray) -> pa.Array:
 
 
 def provenance(train: DataFrame, w0: np.ndarray, v0: np.ndarray) -> DataFrame:
-    """What later rounds need of each row: C + C + 2 numbers instead of its features."""
+    """Features and weak labels of the pool with the C + C + 2 numbers that later rounds need of each row."""
 
     def run(batches):
         for b in batches:
             if b.num_rows:
                 x = b.column(1).flatten().to_numpy().reshape(b.num_rows, -1)
                 p = softmax(x @ w0.T)
-                yield pa.RecordBatch.from_arrays([b.column(0), _lists(p), pa.array(hessian_norms(x, p)), pa.array(np.sqrt((x**2).sum(axis=1))), _lists(x @ v0.T)], names=["row_id", "p0", "h", "x_norm", "s0"])
+                yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(3)), _lists(p), pa.array(hessian_norms(x, p)), pa.array(np.sqrt((x**2).sum(axis=1))), _lists(x @ v0.T)], names=["row_id", "x", "weak", "p0", "h", "x_norm", "s0"])
+
+    return pool(train).select("row_id", "x", "weak").mapInArrow(run, PROVENANCE)
 
-    return train.where("split = 'train'").select("row_id", "x").mapInArrow(run, PROVENANCE)
+
+def left(prov: DataFrame, done=()) -> DataFrame:
+    """The rows not cleaned since; ``done`` are at most the budget."""
+    return prov.where(~F.col("row_id").isin(list(done))) if done else prov
 
 
 @dataclass(frozen=True)
@@ -73,8 +83,8 @@ def bracket(s, y, p0, h, gamma: float, d: Drift, kind: str) -> tuple[np.ndarray,
     return centre, centre + shift - radius, centre + shift + radius
 
 
-def brackets(train: DataFrame, prov: DataFrame, v, w, w0, gamma: float, kind: str = "softmax_exact", mu: str = "anchor") -> DataFrame:
-    """BOUNDS of the pool; a join on row_id, which bucketed tables do in place."""
+def brackets(prov: DataFrame, v, w, w0, gamma: float, kind: str = "softmax_exact", mu: str = "anchor", done=()) -> DataFrame:
+    """BOUNDS of the rows left, in one pass."""
     d = drift(v, w, w0)
 
     def run(batches):
@@ -82,56 +92,67 @@ def brackets(train: DataFrame, prov: DataFrame, v, w, w0, gamma: float, kind: st
             if b.num_rows:
                 x, y, p0 = (b.column(i).flatten().to_numpy().reshape(b.num_rows, -1) for i in (1, 2, 3))
                 h = b.column(4).to_numpy() if mu == "anchor" else (x**2).sum(axis=1) / 2
-                yield pa.RecordBatch.from_arrays([b.column(0), *map(_lists, bracket(x @ v.T, y, p0, h, gamma, d, kind))], names=["row_id", "center", "lower", "upper"])
+                yield pa.RecordBatch.from_arrays([b.column(0), *map(_lists, bracket(x @ v.T, y, p0, h, gamma, d, kind)), b.column(1), b.column(2)], names=["row_id", "center", "lower", "upper", "x", "weak"])
 
-    rows = pool(train).join(prov.select("row_id", "p0", "h"), "row_id")
-    return rows.select("row_id", "x", "weak", "p0", "h").mapInArrow(run, BOUNDS)
+    return left(prov, done).select("row_id", "x", "weak", "p0", "h").mapInArrow(run, BOUNDS)
 
 
-def prescreen(train: DataFrame, prov: DataFrame, v, v0, w, w0, gamma: float) -> DataFrame:
-    """BOUNDS without reading x: s lies within |V_c - V0_c| |x| of s0.
+def prescreen(prov: DataFrame, v, v0, w, w0, gamma: float, done=()) -> DataFrame:
+    """BOUNDS without reading x, in column expressions: s lies within |V_c - V0_c| |x| of s0.
 
     |delta.(s - s0)| and the re-weighting term's share are bounded entry by entry, the
     change of p by the Hessian bracket at its ceiling.
     """
-    reach, d = np.sqrt(((v - v0) ** 2).sum(axis=1)), drift(v, w, w0)
+    reach, d, n = np.sqrt(((v - v0) ** 2).sum(axis=1)), drift(v, w, w0), len(v)
+    at = lambda name: [F.col(name)[c] for c in range(n)]
+    y, p0, s0, size = at("weak"), at("p0"), at("s0"), F.col("x_norm")
+    # entries of the score's coefficients: y - e_c + (1 - gamma) (p0 - y)
+    base = [yc + (1 - gamma) * (pc - yc) for yc, pc in zip(y, p0)]
+    whole = sum((bc * sc for bc, sc in zip(base, s0)), F.lit(0.0))
+    wide = sum((F.abs(bc) * float(r) for bc, r in zip(base, reach)), F.lit(0.0))
+    h = size * size / 2
+    rows = left(prov, done).select("row_id", "x", "weak", "s0", "x_norm", *(b.alias(f"b{c}") for c, b in enumerate(base)), whole.alias("whole"), wide.alias("wide"), h.alias("h"))
+    centre = [F.col("whole") - sc for sc in s0]
+    slack = [(F.col("wide") - F.abs(F.col(f"b{c}")) * float(reach[c]) + F.abs(F.col(f"b{c}") - 1) * float(reach[c])) * size for c in range(n)]
+    shift, radius = (1 - gamma) / 2 * d.along * F.col("h"), (1 - gamma) / 2 * d.size * F.col("h")
+    low = [c + shift - radius - k for c, k in zip(centre, slack)]
+    high = [c + shift + radius + k for c, k in zip(centre, slack)]
+    return rows.select("row_id", *(F.array(*v).alias(name) for name, v in (("center", centre), ("lower", low), ("upper", high))), "x", "weak")
+
+
+def per_row(bounds: DataFrame) -> DataFrame:
+    """(row_id, center, upper, least_upper, lower): a row's best class and the ends that decide."""
+    best = F.array_position("center", F.array_min("center")).cast("int")
+    return bounds.select("row_id", F.array_min("center").alias("center"), F.element_at("upper", best).alias("upper"), F.array_min("upper").alias("least_upper"), F.array_min("lower").alias("lower"))
 
-    def run(batches):
-        for b in batches:
-            if b.num_rows:
-                y, p0, s0 = (b.column(i).flatten().to_numpy().reshape(b.num_rows, -1) for i in (1, 2, 3))
-                size = b.column(4).to_numpy()
-                centre, low, high = bracket(s0, y, p0, size**2 / 2, gamma, d, "softmax_exact")
-                # entries of the score's coefficients: y - e_c + (1 - gamma) (p0 - y)
-                base = np.abs(y + (1 - gamma) * (p0 - y))
-                own = np.abs(y + (1 - gamma) * (p0 - y) - 1)
-                slack = ((base * reach).sum(axis=1, keepdims=True) - base * reach + own * reach) * size[:, None]
-                yield pa.RecordBatch.from_arrays([b.column(0), _lists(centre), _lists(low - slack), _lists(high + slack)], names=["row_id", "center", "lower", "upper"])
 
-    rows = pool(train).select("row_id", "weak").join(prov.select("row_id", "p0", "s0", "x_norm"), "row_id")
-    return rows.select("row_id", "weak", "p0", "s0", "x_norm").mapInArrow(run, BOUNDS)
+def limit_of(rows: DataFrame, b: int, threshold: str = "printed") -> DataFrame:
+    """(limit): rows of ``per_row`` whose lower end is above it are settled.
+
+    ``printed``: the limit is the largest upper end among the b rows of best centre;
+    ``tight``: the b-th smallest upper end over all rows.
+    """
+    order, end = ("center", "upper") if threshold == "printed" else ("least_upper", "least_upper")
+    return rows.orderBy(order, "row_id").limit(b).agg(F.max(end).alias("limit"))
 
 
 def candidates(bounds: DataFrame, b: int, threshold: str = "printed") -> DataFrame:
-    """(row_id): rows that may be among the b best.
+    """(row_id): rows that may be among the b best. Rows count once; a lower end equal to the limit stays in."""
+    rows = per_row(bounds)
+    return rows.join(F.broadcast(limit_of(rows, b, threshold)), rows.lower <= F.col("limit"), "left_semi").select("row_id")
 
-    ``printed``: the limit is the largest upper end among the b rows of best centre;
-    ``tight``: the b-th smallest upper end over all rows. Rows count once, with their
-    best class; a lower end equal to the limit stays in.
+
+def pruned_top(bounds: DataFrame, w, v, gamma: float, b: int, threshold: str = "printed") -> tuple[DataFrame, int, float]:
+    """(the b best with exact scores of the candidates only, candidates, seconds that scoring took).
+
+    Two passes: one finds the limit, the other scores the rows whose lower end reaches it.
     """
-    best = F.array_position("center", F.array_min("center")).cast("int")
-    per_row = bounds.select("row_id", F.array_min("center").alias("center"), F.element_at("upper", best).alias("upper"), F.array_min("upper").alias("least_upper"), F.array_min("lower").alias("lower"))
-    if threshold == "printed":
-        top = per_row.orderBy("center", "row_id").limit(b).agg(F.max("upper").alias("limit"))
-    else:
-        top = per_row.orderBy("least_upper", "row_id").limit(b).agg(F.max("least_upper").alias("limit"))
-    return per_row.join(F.broadcast(top), per_row.lower <= F.col("limit"), "left_semi").select("row_id")
-
-
-def pruned_top(train: DataFrame, bounds: DataFrame, w, v, gamma: float, b: int, threshold: str = "printed") -> DataFrame:
-    """Exact scores of the candidates only, then the b best."""
-    kept = candidates(bounds, b, threshold)
-    return select_top(uplift_influence(train.join(kept, "row_id", "left_semi"), w, v, gamma), b)
+    limit = limit_of(per_row(bounds), b, threshold).first().limit
+    began, seen = time.perf_counter(), Observation()
+    kept = bounds.where(F.array_min("lower") <= F.lit(limit)).select("row_id", "x", "weak").observe(seen, F.count(F.lit(1)).alias("n"))
+    best = select_top(scored(kept, lambda x, y: uplift_scores(x, y, w, v, gamma)), b)
+    picks = bounds.sparkSession.createDataFrame(best.collect(), best.schema)
+    return picks, seen.get["n"], time.perf_counter() - began
 
 
 def violations(bounds: DataFrame, exact: DataFrame, slack: float = 1e-9) -> int:

@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from tidelabel.config import CleanConfig
 from tidelabel.operators import annotate, baselines, influence, pruner
-from tidelabel.operators.core import influence_vector, rows_of, train_sgd, validation_gradient
+from tidelabel.operators.core import LocalRows, influence_vector, rows_of, train_sgd, validation_gradient
 from tidelabel.operators.measures import quality
 from tidelabel.operators.replay import replay_label_edits, retrain
 from tidelabel.sources.tables import as_arrays
@@ -37,6 +37,7 @@ class State:
     w0: np.ndarray
     v0: np.ndarray
     prov: DataFrame | None = None
+    votes: DataFrame | None = None  # given votes (row_id, annotator, label); else annotators are simulated
     edits: dict[int, int] = field(default_factory=dict)
     log: list[dict] = field(default_factory=list)
 
@@ -56,11 +57,13 @@ def initialise(train: DataFrame, cfg: CleanConfig, prune: bool = False) -> State
     state = State(train, train, rows, val, test, w, trace, w, v)
     if prune:
         state.prov = pruner.provenance(train, w, v).persist()
+        state.prov.count()
     return state
 
 
 def scores_by(state: State, method: str, v: np.ndarray, cfg: CleanConfig) -> DataFrame:
-    t, w = state.train, state.w
+    # rows that the driver holds are scored there; the random order is drawn by Spark
+    t, w = state.rows if isinstance(state.rows, LocalRows) and method != "random" else state.train, state.w
     if method == "uplift":
         return influence.uplift_influence(t, w, v, cfg.gamma)
     if method == "deletion":
@@ -81,53 +84,67 @@ def choose(state: State, cfg: CleanConfig, b: int, method: str = "uplift", prune
     """The next rows (row_id, best_class) and what choosing them took."""
     began = time.perf_counter()
     v = influence_vector(state.rows, validation_gradient(*state.val, state.w), state.w, cfg)
-    n_pool = influence.pool(state.train).count()
+    n_pool = state.rows.size - len(state.edits)
     n = n_pool
+    t0 = time.perf_counter()
     if method == "uplift" and prune and state.prov is not None and state.log:
-        bounds = pruner.brackets(state.train, state.prov, v, state.w, state.w0, cfg.gamma, cfg.brackets).persist()
-        kept = pruner.candidates(bounds, b, cfg.threshold).persist()
-        n = kept.count()
-        t0 = time.perf_counter()
-        picks = influence.select_top(influence.uplift_influence(state.train.join(kept, "row_id", "left_semi"), state.w, v, cfg.gamma), b).collect()
-        bounds.unpersist()
-        kept.unpersist()
+        bounds = pruner.brackets(state.prov, v, state.w, state.w0, cfg.gamma, cfg.brackets, done=state.edits)
+        top, n, t_grad = pruner.pruned_top(bounds, state.w, v, cfg.gamma, b, cfg.threshold)
+        picks = top.collect()
         if n > cfg.reanchor_at * n_pool:
             state.prov.unpersist()
             state.w0, state.v0 = state.w, v
             state.prov = pruner.provenance(state.train, state.w, v).persist()
     else:
-        t0 = time.perf_counter()
-        picks = influence.select_top(scores_by(state, method, v, cfg), b).collect()
+        scores = scores_by(state, method, v, cfg)
+        picks = scores.top(b) if isinstance(scores, influence.LocalScores) else influence.select_top(scores, b).collect()
+        t_grad = time.perf_counter() - t0
     now = time.perf_counter()
-    return picks, {"n_candidates": n, "n_pool": n_pool, "t_inf": now - began, "t_grad": now - t0}
+    return picks, {"n_candidates": n, "n_pool": n_pool, "t_inf": now - began, "t_grad": t_grad}
+
+
+def picked_rows(state: State, wanted: list[int]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(row_id, x, weak, truth) of the picked rows, in order of id."""
+    if isinstance(state.rows, LocalRows) and state.rows.truth is not None:
+        at = np.flatnonzero(np.isin(state.rows.ids, wanted))
+        return state.rows.ids[at], state.rows.x[at], state.rows.y[at], state.rows.truth[at]
+    return as_arrays(state.train.where(F.col("row_id").isin(wanted)).orderBy("row_id"))
+
+
+def edited_rows(state: State, ids: np.ndarray, new: np.ndarray, cfg: CleanConfig):
+    """The training rows with these labels; arrays are changed in a copy, else the edited table is read."""
+    if not isinstance(state.rows, LocalRows):
+        return rows_of(state.train, cfg)
+    at = np.searchsorted(state.rows.ids, ids)
+    y, clean = state.rows.y.copy(), state.rows.clean.copy()
+    y[at], clean[at] = new, True
+    return replace(state.rows, y=y, clean=clean)
 
 
 def clean(state: State, picks: list, cfg: CleanConfig, update: str = "replay", method: str = "uplift") -> dict:
     """Labels for the picked rows, the edited view, and the refreshed model."""
     spark = state.train.sparkSession
-    frame = spark.createDataFrame([(r.row_id, r.best_class) for r in picks], "row_id long, best_class int")
     # a ranker without suggestions leaves its rows to annotators
     strategy = cfg.strategy if method in ("uplift", "detector_b") else "HUMAN3"
-    labels = {r.row_id: r.new_label for r in annotate.clean_labels(frame, strategy, state.base, cfg.classes, cfg.annotator_error).collect()}
-    chosen = state.train.where(F.col("row_id").isin([r.row_id for r in picks])).orderBy("row_id")
-    ids, x, old, truth = as_arrays(chosen)
-    m = np.isin(ids, list(labels))
-    ids, x, old, truth = ids[m], x[m], old[m], truth[m]
+    if strategy == "SUGGEST":
+        labels = {r.row_id: r.best_class for r in picks}
+    else:
+        frame = spark.createDataFrame([(r.row_id, r.best_class) for r in picks], "row_id long, best_class int")
+        labels = {r.row_id: r.new_label for r in annotate.clean_labels(frame, strategy, state.base, cfg.classes, cfg.annotator_error, state.votes).collect()}
+    ids, x, old, truth = picked_rows(state, list(labels))
     new = np.eye(cfg.classes)[[labels[i] for i in ids]] if len(ids) else old
     t0 = time.perf_counter()
-    explicit = len(state.trace)
-    before = state.rows
-    state.edits |= labels
-    edits = spark.createDataFrame(list(state.edits.items()), "row_id long, new_label int")
-    state.train = annotate.apply_edits(state.base, edits, cfg.classes)
+    before, explicit = state.rows, len(state.trace)
+    state.edits = state.edits | labels
+    state.train = annotate.apply_edits(state.base, spark.createDataFrame(list(state.edits.items()), "row_id long, new_label int"), cfg.classes)
+    state.rows = edited_rows(state, ids, new, cfg)
     if update == "replay":
         state.w, state.trace, explicit = replay_label_edits(before, state.trace, ids, x, old, new, cfg)
-        state.rows = rows_of(state.train, cfg)
     else:
-        state.rows = rows_of(state.train, cfg)
         state.w, state.trace = retrain(state.rows, cfg)
     took = time.perf_counter() - t0
-    agreed = int((np.array([r.best_class for r in sorted(picks, key=lambda r: r.row_id) if r.row_id in labels]) == truth).sum())
+    suggested = {r.row_id: r.best_class for r in picks}
+    agreed = int(sum(suggested[i] == t for i, t in zip(ids.tolist(), truth.tolist())))
     return {"t_update": took, "agreed": agreed, "votes": annotate.annotation_cost(strategy, len(labels)), "explicit": explicit}
 
 
@@ -136,9 +153,17 @@ def measured(state: State) -> dict:
     return {"val_loss": val["loss"], "val_f1": val["f1"], "test_f1": test["f1"]}
 
 
-def run_loop(train: DataFrame, cfg: CleanConfig, method: str = "uplift", update: str = "replay", prune: bool = False, stop: Callable[[dict], bool] | None = None) -> State:
-    """Rounds until the budget is spent, the pool is empty or ``stop`` says so; ``state.log`` has a row a round."""
-    state = initialise(train, cfg, prune)
+def run_loop(
+    train: DataFrame, cfg: CleanConfig, method: str = "uplift", update: str = "replay", prune: bool = False, stop: Callable[[dict], bool] | None = None,
+    start: State | None = None, votes: DataFrame | None = None, each: Callable[[State, list], None] | None = None,
+) -> State:
+    """Rounds until the budget is spent, the pool is empty or ``stop`` says so; ``state.log`` has a row a round.
+
+    ``start`` is a first state to begin from instead of a first training (it isn't changed);
+    ``each`` sees the state before every round's labels, with the round's picks.
+    """
+    state = initialise(train, cfg, prune) if start is None else replace(start, edits={}, log=[])
+    state.votes = votes
     state.log.append({"round": 0, "n_cleaned": 0, "n_candidates": 0, "n_pool": state.rows.size, "agreed": 0, "votes": 0, "t_inf": 0.0, "t_grad": 0.0, "t_update": 0.0, **measured(state)})
     k = 0
     while len(state.edits) < cfg.budget:
@@ -147,9 +172,14 @@ def run_loop(train: DataFrame, cfg: CleanConfig, method: str = "uplift", update:
         picks, spent = choose(state, cfg, min(cfg.round_size, cfg.budget - len(state.edits)), method, prune and k > 0)
         if not picks:
             break
+        if each is not None:
+            each(state, picks)
         k += 1
+        n = len(state.edits)
         done = clean(state, picks, cfg, update, method)
         state.log.append({"round": k, "n_cleaned": len(state.edits), **spent, **{c: done[c] for c in ("agreed", "votes", "t_update")}, **measured(state)})
-    if state.prov is not None:
+        if len(state.edits) == n:
+            break
+    if state.prov is not None and start is None:
         state.prov.unpersist()
     return state

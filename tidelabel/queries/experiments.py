@@ -3,19 +3,19 @@
 from __future__ import annotations
 
 import time
-from pathlib import Path
 
 import numpy as np
 from pyspark.sql import functions as F
 
 from tidelabel.config import CleanConfig
 from tidelabel.operators import baselines, influence, pruner
-from tidelabel.operators.core import influence_vector, rows_of, train_newton, train_sgd, validation_gradient
-from tidelabel.operators.measures import same_picks
+from tidelabel.operators.annotate import apply_edits
+from tidelabel.operators.core import influence_vector, rows_of, train_newton, validation_gradient
+from tidelabel.operators.measures import quality
 from tidelabel.operators.replay import closeness, replay_label_edits, retrain
-from tidelabel.plans.loop import initialise, run_loop, trusted
+from tidelabel.plans.loop import choose, edited_rows, initialise, picked_rows, run_loop, trusted
 from tidelabel.schema import ROUNDS
-from tidelabel.sources.tables import FIXTURES, as_arrays, checked
+from tidelabel.sources.tables import FIXTURES, checked, crowd_votes
 
 QUERIES = {}
 
@@ -24,10 +24,11 @@ def query(name: str):
     return lambda fn: QUERIES.setdefault(name, fn)
 
 
-def settings(sf_dir: str, classes: int = 2, **more) -> CleanConfig:
-    """Budgets by table size: a tenth of the rows at most."""
-    budget, b = {"sf0.001": (10, 5), "sf0.01": (20, 5)}.get(Path(sf_dir).name, (100, 10))
-    return CleanConfig(classes=classes, budget=budget, round_size=b, steps=60, lam=0.05 if classes == 2 else 0.01).but(**more)
+def settings(train, classes: int = 2, **more) -> CleanConfig:
+    """Budgets and batches by the training set's rows: a tenth of them, at most 100, in ten rounds; 2,000 rows a batch."""
+    n = train.where("split = 'train'").count()
+    budget, batches = max(1, min(100, n // 10)), max(1, round(n / 2000))
+    return CleanConfig(classes=classes, budget=budget, round_size=max(1, budget // 10), batches=batches, steps=max(60, 2 * batches), lam=0.05 if classes == 2 else 0.01).but(**more)
 
 
 def fixture(spark, sf_dir, name):
@@ -43,46 +44,94 @@ def as_rounds(spark, state):
 @query("loop_rounds")
 def _(spark, sf_dir):
     train, _ = fixture(spark, sf_dir, "doc_quality")
-    return as_rounds(spark, run_loop(train, settings(sf_dir), prune=True))
+    return as_rounds(spark, run_loop(train, settings(train), prune=True))
 
 
 @query("loop_oneshot")
 def _(spark, sf_dir):
     train, _ = fixture(spark, sf_dir, "doc_quality")
-    cfg = settings(sf_dir)
+    cfg = settings(train)
     return as_rounds(spark, run_loop(train, cfg.but(round_size=cfg.budget), update="retrain"))
 
 
-def compared(spark, sf_dir, name, methods, **more):
-    train, classes = fixture(spark, sf_dir, name)
-    rows = []
-    for method, strategy in methods:
-        s = run_loop(train, settings(sf_dir, classes, strategy=strategy, **more), method, "retrain")
-        last = s.log[-1]
-        rows.append((method, strategy, last["n_cleaned"], s.log[0]["val_loss"], last["val_loss"], s.log[0]["test_f1"], last["test_f1"], sum(r["agreed"] for r in s.log), sum(r["votes"] for r in s.log)))
-    return spark.createDataFrame(rows, "method string, strategy string, n_cleaned int, loss_before double, loss_after double, f1_before double, f1_after double, agreed int, votes int")
+@query("loop_target")
+def _(spark, sf_dir):
+    """Rounds until the validation loss has fallen by a fifth, and the labels bought until then."""
+    train, _ = fixture(spark, sf_dir, "doc_quality")
+    cfg = settings(train, strategy="MIX")
+    state = initialise(train, cfg)
+    first = run_loop(train, cfg, start=state, stop=lambda r: True).log[0]["val_loss"]
+    return as_rounds(spark, run_loop(train, cfg, start=state, stop=lambda r: r["val_loss"] <= 0.8 * first))
 
 
 STRATEGIES = (("uplift", "HUMAN3"), ("uplift", "SUGGEST"), ("uplift", "MIX"))
-OTHERS = (("deletion", "HUMAN3"), ("label_gradient", "HUMAN3"), ("least_confidence", "HUMAN3"), ("entropy", "HUMAN3"), ("detector_a", "HUMAN3"), ("random", "HUMAN3"))
-for _name, _fixture, _methods in (
-    ("exp1_quality", "doc_quality", STRATEGIES + OTHERS), ("exp1_toxic", "doc_toxic", STRATEGIES + OTHERS[-1:]), ("exp1_planted4", "vec_planted4", STRATEGIES[1:2] + OTHERS[-1:]),
-    ("exp1_role", "conv_role", STRATEGIES[1:2] + OTHERS[-1:]), ("exp1_crowd", "doc_crowd", STRATEGIES[1:2]), ("exp1_control", "vec_control", STRATEGIES[1:2] + OTHERS[-1:]), ("exp1_hard", "doc_quality", (("detector_b", "SUGGEST"),)),
-):
-    QUERIES[_name] = lambda spark, sf_dir, f=_fixture, m=_methods: compared(spark, sf_dir, f, m)
+OTHERS = tuple((m, "HUMAN3") for m in ("deletion", "label_gradient", "least_confidence", "entropy", "detector_a", "random"))
+COMPARED = "method string, strategy string, b int, refresh string, n_cleaned int, loss_before double, loss_after double, f1_before double, f1_after double, agreed int, votes int"
+
+
+def arms(cfg, methods=STRATEGIES + OTHERS):
+    """Every method at both round sizes, retrained; and suggestions in rounds with replay."""
+    both = [(m, s, b, "retrain") for b in dict.fromkeys((cfg.budget, cfg.round_size)) for m, s in methods]
+    return both + [("uplift", "SUGGEST", cfg.round_size, "replay")] * (("uplift", "SUGGEST") in methods)
+
+
+def compared(spark, train, cfg, plan, votes=None):
+    state, rows = initialise(train, cfg), []
+    for method, strategy, b, update in plan:
+        s = run_loop(train, cfg.but(strategy=strategy, round_size=b), method, update, start=state, votes=votes)
+        last = s.log[-1]
+        agreed = sum(r["agreed"] for r in s.log) if votes is None else None
+        rows.append((method, strategy, b, update, last["n_cleaned"], s.log[0]["val_loss"], last["val_loss"], s.log[0]["test_f1"], last["test_f1"], agreed, sum(r["votes"] for r in s.log)))
+    train.unpersist()
+    return spark.createDataFrame(rows, COMPARED)
+
+
+def whole(spark, sf_dir, name):
+    train, classes = fixture(spark, sf_dir, name)
+    cfg = settings(train, classes)
+    return compared(spark, train, cfg, arms(cfg))
+
+
+for _name, _fixture in (("exp1_quality", "doc_quality"), ("exp1_toxic", "doc_toxic"), ("exp1_planted4", "vec_planted4"), ("exp1_role", "conv_role"), ("exp1_control", "vec_control")):
+    QUERIES[_name] = lambda spark, sf_dir, f=_fixture: whole(spark, sf_dir, f)
+
+
+@query("exp1_crowd")
+def _(spark, sf_dir):
+    """Documents without a label: the four labelling functions are the crowd whose votes are bought; no truth to agree with."""
+    train, _ = fixture(spark, sf_dir, "doc_crowd")
+    cfg = settings(train)
+    return compared(spark, train, cfg, arms(cfg), crowd_votes(spark, sf_dir))
+
+
+@query("exp1_hard")
+def _(spark, sf_dir):
+    """Hard labels, for which the second detector is made: it and uplift side by side."""
+    train, classes = fixture(spark, sf_dir, "doc_quality")
+    top = F.array_position("weak", F.array_max("weak")) - 1
+    hard = train.withColumn("weak", F.transform(F.sequence(F.lit(0), F.lit(classes - 1)), lambda c: (c == top).cast("double"))).persist()
+    cfg = settings(hard)
+    out = compared(spark, hard, cfg, [(m, "SUGGEST", b, "retrain") for b in dict.fromkeys((cfg.budget, cfg.round_size)) for m in ("uplift", "detector_b")])
+    train.unpersist()
+    return out
 
 
 @query("exp1_agreement")
 def _(spark, sf_dir):
-    out = [compared(spark, sf_dir, f, STRATEGIES[1:2]).select(F.lit(f).alias("workload"), "agreed", "n_cleaned") for f in ("doc_quality", "doc_toxic", "vec_planted4")]
-    return out[0].union(out[1]).union(out[2])
+    """Suggestions equal to the truth, of all rows cleaned in rounds."""
+    out = []
+    for name in ("doc_quality", "doc_toxic", "vec_planted4"):
+        train, classes = fixture(spark, sf_dir, name)
+        cfg = settings(train, classes)
+        out += [(name, r.agreed, r.n_cleaned) for r in compared(spark, train, cfg, [("uplift", "SUGGEST", cfg.round_size, "retrain")]).collect()]
+    return spark.createDataFrame(out, "workload string, agreed int, n_cleaned int")
 
 
 @query("exp1_bilevel")
 def _(spark, sf_dir):
     """Bi-level and uplift, once for the whole budget, at gamma 1."""
     train, _ = fixture(spark, sf_dir, "doc_quality")
-    cfg = settings(sf_dir, gamma=1.0)
+    cfg = settings(train, gamma=1.0)
     rows, val = rows_of(train, cfg), trusted(train, "val")
     moved, suggested = baselines.bilevel(rows, val, cfg)
     first = np.lexsort((rows.ids, -moved))[: cfg.budget]
@@ -100,7 +149,7 @@ QUERIES["bilevel_topb"] = QUERIES["exp1_bilevel"]
 @query("detector_a")
 def _(spark, sf_dir):
     train, _ = fixture(spark, sf_dir, "doc_quality")
-    cfg = settings(sf_dir)
+    cfg = settings(train)
     rows = rows_of(train, cfg)
     return influence.select_top(baselines.detector_a(train, rows, train_newton(rows, cfg), cfg), cfg.budget).selectExpr("row_id as doc_id", "round(best_score, 9) as score")
 
@@ -108,25 +157,28 @@ def _(spark, sf_dir):
 @query("detector_b")
 def _(spark, sf_dir):
     train, _ = fixture(spark, sf_dir, "doc_quality")
-    cfg = settings(sf_dir)
+    cfg = settings(train)
     rows, val = rows_of(train, cfg), trusted(train, "val")
     w = train_newton(rows, cfg)
     v = influence_vector(rows, validation_gradient(*val, w), w, cfg)
     return influence.select_top(baselines.detector_b(train, val, w, v), cfg.budget).selectExpr("row_id as doc_id", "best_class", "round(best_score, 9) as score")
 
 
-def swept(spark, sf_dir, values, change):
-    train, _ = fixture(spark, sf_dir, "doc_quality")
+def swept(spark, sf_dir, values, change, names=("doc_quality",)):
     rows = []
-    for v in values:
-        began = time.perf_counter()
-        s = run_loop(train, change(settings(sf_dir), v), update="replay", prune=True)
-        rows.append((float(v), s.log[-1]["val_loss"], s.log[-1]["test_f1"], s.log[-1]["round"], time.perf_counter() - began))
-    return spark.createDataFrame(rows, "value double, val_loss double, test_f1 double, rounds int, seconds double")
+    for name in names:
+        train, classes = fixture(spark, sf_dir, name)
+        cfg = settings(train, classes)
+        for v in values:
+            began = time.perf_counter()
+            s = run_loop(train, change(cfg, v), update="replay", prune=True)
+            rows.append((name, float(v), s.log[-1]["val_loss"], s.log[-1]["test_f1"], s.log[-1]["round"], s.log[-1]["n_cleaned"], time.perf_counter() - began))
+        train.unpersist()
+    return spark.createDataFrame(rows, "workload string, value double, val_loss double, test_f1 double, rounds int, n_cleaned int, seconds double")
 
 
-QUERIES["sweep_b"] = lambda spark, sf_dir: swept(spark, sf_dir, (5, 10, 20), lambda c, v: c.but(round_size=min(v, c.budget)))
-QUERIES["sweep_gamma"] = lambda spark, sf_dir: swept(spark, sf_dir, (0.2, 0.5, 0.8, 1.0), lambda c, v: c.but(gamma=v))
+QUERIES["sweep_b"] = lambda spark, sf_dir: swept(spark, sf_dir, (5, 10, 20, 50, 100), lambda c, v: c.but(round_size=min(v, c.budget)))
+QUERIES["sweep_gamma"] = lambda spark, sf_dir: swept(spark, sf_dir, (0.2, 0.5, 0.8, 1.0), lambda c, v: c.but(gamma=v), ("doc_quality", "vec_planted4"))
 
 
 @query("exp0_rounds")
@@ -137,74 +189,88 @@ def _(spark, sf_dir):
 
 @query("exp2_select")
 def _(spark, sf_dir):
-    """Selection with the pruner, the prescreen and full scoring after two rounds of drift on order lines."""
-    train, _ = fixture(spark, sf_dir, "line_planted")
-    cfg = settings(sf_dir, steps=20)
-    state = initialise(train, cfg, prune=True)
-    w0, v0 = state.w, state.v0
-    n_pool = influence.pool(train).count()
-    w = w0 + 0.01 * np.sign(w0)
-    v = influence_vector(state.rows, validation_gradient(*state.val, w), w, cfg)
-    out, picks = [], {}
-    for method in ("full", "pruner", "prescreen"):
-        began = time.perf_counter()
-        kept = None
-        if method == "pruner":
-            kept = pruner.candidates(pruner.brackets(train, state.prov, v, w, w0, cfg.gamma), cfg.round_size).persist()
-        elif method == "prescreen":
-            kept = pruner.candidates(pruner.prescreen(train, state.prov, v, v0, w, w0, cfg.gamma), cfg.round_size).persist()
-        n = n_pool if kept is None else kept.count()
-        t0 = time.perf_counter()
-        rows = train if kept is None else train.join(kept, "row_id", "left_semi")
-        picks[method] = {r.row_id for r in influence.select_top(influence.uplift_influence(rows, w, v, cfg.gamma), cfg.round_size).collect()}
-        now = time.perf_counter()
-        out.append((method, n, n_pool, now - began, now - t0, picks[method] == picks["full"]))
-        if kept is not None:
-            kept.unpersist()
-    train.unpersist()
-    return spark.createDataFrame(out, "method string, n_candidates long, n_pool long, t_inf double, t_grad double, same_picks boolean")
+    """Selection in every cleaning round after the first by full scoring, the pruner and the prescreen; ``last`` marks the result."""
+    out = []
+    for name in ("line_planted", "doc_quality", "vec_planted4"):
+        train, classes = fixture(spark, sf_dir, name)
+        cfg = settings(train, classes)
+        state, rows = initialise(train, cfg, prune=True), []
+
+        def measure(now, _, name=name, state=state, cfg=cfg, rows=rows):
+            if not now.edits:
+                return
+            v = influence_vector(now.rows, validation_gradient(*now.val, now.w), now.w, cfg)
+            n_pool, picks = now.rows.size - len(now.edits), {}
+            for method in ("full", "pruner", "prescreen"):
+                began = time.perf_counter()
+                if method == "full":
+                    top, n = influence.select_top(influence.uplift_influence(now.train, now.w, v, cfg.gamma), cfg.round_size).collect(), n_pool
+                    t_grad = time.perf_counter() - began
+                else:
+                    bounds = pruner.brackets(state.prov, v, now.w, state.w0, cfg.gamma, cfg.brackets, done=now.edits) if method == "pruner" else pruner.prescreen(state.prov, v, state.v0, now.w, state.w0, cfg.gamma, now.edits)
+                    best, n, t_grad = pruner.pruned_top(bounds, now.w, v, cfg.gamma, cfg.round_size, cfg.threshold)
+                    top = best.collect()
+                picks[method] = {r.row_id for r in top}
+                rows.append((name, len(now.log), method, n, n_pool, time.perf_counter() - began, t_grad, picks[method] == picks["full"]))
+
+        run_loop(train, cfg, start=state, each=measure)
+        last = max((r[1] for r in rows), default=0)
+        out += [(*r, r[1] == last) for r in rows]
+        state.prov.unpersist()
+        train.unpersist()
+    return spark.createDataFrame(out, "workload string, round int, method string, n_candidates long, n_pool long, t_inf double, t_grad double, same_picks boolean, last boolean")
+
+
+UPDATES = "workload string, round int, method string, explicit_steps int, seconds double, rel_err double, agree double, val_loss double, test_f1 double"
 
 
 @query("exp3_update")
 def _(spark, sf_dir):
-    """One round's refresh by replay and by retraining on order lines."""
-    train, _ = fixture(spark, sf_dir, "line_planted")
-    cfg = settings(sf_dir, steps=60)
-    state = initialise(train, cfg)
-    v = influence_vector(state.rows, validation_gradient(*state.val, state.w), state.w, cfg)
-    picks = influence.select_top(influence.uplift_influence(train, state.w, v, cfg.gamma), cfg.round_size).collect()
-    return refreshed(spark, train, state, picks, cfg)
+    """Refreshing by replay, by replay without curvature and by retraining, in every cleaning round; each round goes on from the replay."""
+    out = []
+    for name in ("line_planted", "doc_quality"):
+        train, classes = fixture(spark, sf_dir, name)
+        cfg = settings(train, classes)
+        state = initialise(train, cfg)
+        for k in range(1, -(-cfg.budget // cfg.round_size) + 1):
+            picks, _ = choose(state, cfg, min(cfg.round_size, cfg.budget - len(state.edits)))
+            out += [(name, k, *r) for r in refreshed(state, picks, cfg)]
+        train.unpersist()
+    return spark.createDataFrame(out, UPDATES)
 
 
 @query("replay_round")
 def _(spark, sf_dir):
+    """One round's refresh with full batches."""
     train, _ = fixture(spark, sf_dir, "doc_quality")
-    cfg = settings(sf_dir, steps=150)
+    cfg = settings(train, steps=150, batches=1)
     state = initialise(train, cfg)
-    v = influence_vector(state.rows, validation_gradient(*state.val, state.w), state.w, cfg)
-    picks = influence.select_top(influence.uplift_influence(train, state.w, v, cfg.gamma), cfg.round_size).collect()
-    return refreshed(spark, train, state, picks, cfg)
+    return spark.createDataFrame([("doc_quality", 1, *r) for r in refreshed(state, choose(state, cfg, cfg.round_size)[0], cfg)], UPDATES)
 
 
-def refreshed(spark, train, state, picks, cfg):
-    from tidelabel.operators.annotate import apply_edits
-
+def refreshed(state, picks, cfg):
+    """A row for each way to refresh after the suggested labels of ``picks``; the state goes on with the replay's model."""
     chosen = {r.row_id: r.best_class for r in picks}
-    ids, x, old, _ = as_arrays(train.where(F.col("row_id").isin(list(chosen))).orderBy("row_id"))
+    ids, x, old, _ = picked_rows(state, list(chosen))
     new = np.eye(cfg.classes)[[chosen[i] for i in ids]]
-    t0 = time.perf_counter()
-    w, _, explicit = replay_label_edits(state.rows, state.trace, ids, x, old, new, cfg)
-    t1 = time.perf_counter()
-    edited = rows_of(apply_edits(train, spark.createDataFrame(list(chosen.items()), "row_id long, new_label int"), cfg.classes), cfg)
-    t2 = time.perf_counter()
-    full, _ = retrain(edited, cfg)
-    t3 = time.perf_counter()
-    bare, _, _ = replay_label_edits(state.rows, state.trace, ids, x, old, new, cfg, curvature="none")
-    out = []
-    for method, model, took, steps in (("replay", w, t1 - t0, explicit), ("replay without curvature", bare, 0.0, explicit), ("retrain", full, t3 - t2, cfg.steps)):
-        c = closeness(model, full, state.w, state.test[0])
-        out.append((method, steps, took, c["rel_move"], c["agree"]))
-    return spark.createDataFrame(out, "method string, explicit_steps int, seconds double, rel_err double, agree double")
+    before = state.w
+    state.edits = state.edits | chosen
+    state.train = apply_edits(state.base, state.base.sparkSession.createDataFrame(list(state.edits.items()), "row_id long, new_label int"), cfg.classes)
+    edited = edited_rows(state, ids, new, cfg)
+    ways = {
+        "replay": lambda: replay_label_edits(state.rows, state.trace, ids, x, old, new, cfg), "retrain": lambda: (*retrain(edited, cfg), len(state.trace)),
+        "replay without curvature": lambda: replay_label_edits(state.rows, state.trace, ids, x, old, new, cfg, curvature="none"),
+    }
+    done = {}
+    for method, refresh in ways.items():
+        t0 = time.perf_counter()
+        done[method] = (*refresh(), time.perf_counter() - t0)
+    full, out = done["retrain"][0], []
+    for method, (w, _, explicit, took) in done.items():
+        c, val, test = closeness(w, full, before, state.test[0]), quality(*state.val, w), quality(*state.test, w)
+        out.append((method, explicit, took, c["rel_move"], c["agree"], val["loss"], test["f1"]))
+    state.w, state.trace, state.rows = done["replay"][0], done["replay"][1], edited
+    return out
 
 
 @query("exp1_neighbours")
@@ -213,7 +279,7 @@ def _(spark, sf_dir):
     from tidelabel.operators.neighbours import nearest_trusted
 
     train, classes = fixture(spark, sf_dir, "vec_planted4")
-    cfg = settings(sf_dir, classes)
+    cfg = settings(train, classes)
     state = initialise(train, cfg)
     v = influence_vector(state.rows, validation_gradient(*state.val, state.w), state.w, cfg)
     pick = influence.select_top(influence.uplift_influence(train, state.w, v, cfg.gamma), 1).select("row_id", "best_class")
@@ -223,8 +289,8 @@ def _(spark, sf_dir):
 
 @query("exp1_large")
 def _(spark, sf_dir):
+    """Up to 2,000 rows, a tenth at most, cleaned at once, by uplift and its rivals."""
     train, _ = fixture(spark, sf_dir, "line_planted")
-    cfg = settings(sf_dir, steps=20)
-    s = run_loop(train, cfg.but(budget=cfg.budget * 2, round_size=cfg.budget), update="retrain")
-    train.unpersist()
-    return as_rounds(spark, s)
+    cfg = settings(train)
+    large = max(1, min(2000, train.where("split = 'train'").count() // 10))
+    return compared(spark, train, cfg.but(budget=large, round_size=large), [(m, s, large, "retrain") for m, s in (("uplift", "SUGGEST"), ("uplift", "HUMAN3"), ("deletion", "HUMAN3"), ("label_gradient", "HUMAN3"), ("random", "HUMAN3"))])

@@ -85,7 +85,7 @@ def _(spark, sf_dir):
 
 
 # aggregates
-same("agg_weighted_loss", "select lang, round(sum(case when quality = 1 then 0.1 else 0.9 end * n_chars) / count(*), 6) as loss, count(*) as n from {documents} join {labels} using (doc_id) group by lang")
+same("agg_weighted_loss", "select lang, round(sum(case when quality = 1 then cast(0.1 as double) else cast(0.9 as double) end * n_chars) / count(*), 6) as loss, count(*) as n from {documents} join {labels} using (doc_id) group by lang")
 same("agg_annotators", "select event_type, count(distinct user_id) as annotators from {events} group by event_type")
 same("agg_gradient_sql", "select i, round(sum(v), 4) as g from (select posexplode(embedding) as (i, v) from {embeddings}) group by i", "select i::integer as i, round(sum(v), 4) as g from (select unnest(range(64)) as i, unnest(embedding)::double as v from embeddings) group by i")
 QUERIES["agg_gradient_sql"] = lambda spark, sf_dir: load(spark, sf_dir, "embeddings").select(F.posexplode("embedding").alias("i", "v")).groupBy("i").agg(F.round(F.sum(F.col("v").cast("double")), 4).alias("g"))

@@ -58,6 +58,13 @@ def doc_crowd(spark: SparkSession, sf_dir: str) -> DataFrame:
     return training_set(rows, 2, combined_votes(), split=split)
 
 
+def crowd_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(row_id, annotator, label): every document's votes of the labelling functions."""
+    rows = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("row_id"), *text_statistics()).select("row_id", *labelling_votes())
+    names = [c for c in rows.columns if c != "row_id"]
+    return rows.select("row_id", F.expr(f"stack({len(names)}, {', '.join(f"'{c}', {c}" for c in names)}) as (annotator, label)"))
+
+
 def vec_planted(spark: SparkSession, sf_dir: str, classes: int = 4) -> DataFrame:
     """Vectors whose class is the largest of fixed linear forms."""
     rows = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("row_id"), vector_features().alias("x"))
@@ -90,9 +97,9 @@ def line_planted(spark: SparkSession, sf_dir: str) -> DataFrame:
 FIXTURES = {"doc_quality": (doc_quality, 2), "doc_toxic": (doc_toxic, 2), "doc_crowd": (doc_crowd, 2), "vec_planted2": (lambda s, d: vec_planted(s, d, 2), 2), "vec_planted4": (vec_planted, 4), "vec_control": (vec_control, 10), "conv_role": (conv_role, 3), "line_planted": (line_planted, 2)}
 
 
-def as_arrays(rows: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(row_id, x, weak, truth) of a table that is known to be small."""
-    t = rows.select("row_id", "x", "weak", F.coalesce("truth", F.lit(-1)).alias("truth")).toArrow()
+def as_arrays(rows: DataFrame, *more: str) -> tuple[np.ndarray, ...]:
+    """(row_id, x, weak, truth, more columns) of a table that is known to be small; a null truth is -1."""
+    t = rows.select("row_id", "x", "weak", F.coalesce("truth", F.lit(-1)).alias("truth"), *more).toArrow()
     n = t.num_rows
     matrix = lambda c: t[c].combine_chunks().flatten().to_numpy().reshape(n, -1) if n else np.empty((0, 1))
-    return t["row_id"].to_numpy(), matrix("x"), matrix("weak"), t["truth"].to_numpy()
+    return t["row_id"].to_numpy(), matrix("x"), matrix("weak"), t["truth"].to_numpy(), *(t[c].to_numpy() for c in more)
