@@ -9,31 +9,37 @@ together without a shuffle, so no key decides how large a task is.
 
 A manifest lists the live runs of one version. A writer puts the next version's content
 to a file of its own and then claims the version's name by exclusive creation; a
-second writer of the same version fails and starts again from the newer one. Readers
-use one version's list of files, so they never see half a change; shards that no kept
-version lists are removed by ``vacuum``.
+second writer of the same version fails and starts again from the newer one. A claim
+whose writer died before its manifest was there is taken over after CLAIM_SECONDS.
+Readers use one version's list of files, so they never see half a change; shards that no
+kept version lists are removed by ``vacuum``, those that none ever listed after
+ORPHAN_SECONDS, as a writer may be about to commit them.
 
 Edge cases: an empty arrival makes a run without rows; null texts, long texts and
-repeated rows are stored as they are; columns named like the store's own (``arrival``)
-are kept apart, as the store adds none to the shards; a failed write leaves files that
+repeated rows are stored as they are; a column named like the store's own
+(``_arrival``) is kept, the store's gets another name; a failed write leaves files that
 no version lists.
 """
 
 from __future__ import annotations
 
 import json
+import time
 import uuid
+from collections.abc import Callable
 from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidelabel.llm.common import documents, new_path
+from tidelabel.llm.common import documents, fresh, new_path
 
 TARGET_BYTES = 64 << 20
 FAN_IN, SIMILAR = 4, 2.0
 ARRIVALS = 8
 SPLIT = "_arrival"
+#: Age from which a claim without a manifest, and shards that no version lists, count as left behind; tries of a commit.
+CLAIM_SECONDS, ORPHAN_SECONDS, TRIES = 120, 86_400, 20
 
 
 class Conflict(RuntimeError):
@@ -51,7 +57,8 @@ class Run:
 class ShardStore:
     """A table of immutable shards in ``root``, a path that the driver and all executors can reach."""
 
-    def __init__(self, spark: SparkSession, root: str, target_bytes: int = TARGET_BYTES, fan_in: int = FAN_IN, similar: float = SIMILAR):
+    def __init__(self, spark: SparkSession, root: str, target_bytes: int = TARGET_BYTES, fan_in: int = FAN_IN, similar: float = SIMILAR, claim_seconds: float = CLAIM_SECONDS, orphan_seconds: float = ORPHAN_SECONDS):
+        self.claim_seconds, self.orphan_seconds = claim_seconds, orphan_seconds
         self.spark, self.root, self.target_bytes, self.fan_in, self.similar = spark, root, target_bytes, fan_in, similar
         self._jvm = spark._jvm
         self._fs = self._path("").getFileSystem(spark._jsc.hadoopConfiguration())
@@ -85,14 +92,33 @@ class ShardStore:
         out.write(bytearray(json.dumps([asdict(r) for r in runs]).encode()))
         out.close()
         try:
+            if not self._fs.exists(final) and self._age(claim) > self.claim_seconds:
+                self._fs.delete(claim, False)
             self._fs.create(claim, False).close()
         except Exception as e:
             self._fs.delete(draft, False)
             raise Conflict(f"version {version} is taken") from e
-        if not self._fs.rename(draft, final):
+        if self._fs.exists(final) or not self._fs.rename(draft, final):
             raise Conflict(f"version {version} can't be written")
         return version
 
+    def _age(self, path) -> float:
+        """Seconds since the file was written; below 0 where there is none."""
+        return time.time() - self._fs.getFileStatus(path).getModificationTime() / 1000 if self._fs.exists(path) else -1.0
+
+    def change(self, edit: Callable[[list[Run]], list[Run] | None]) -> int:
+        """Commits ``edit`` of the newest version's runs, again from a newer one where another writer was first; None: no change."""
+        for attempt in range(TRIES):
+            base, runs = self.manifest()
+            new = edit(runs)
+            if new is None:
+                return base
+            try:
+                return self.commit(base, new)
+            except Conflict:
+                time.sleep(min(0.05 * 2**attempt, 2.0))
+        raise Conflict(f"no commit in {TRIES} tries")
+
     # writing
     def _listed(self, folder: str, name: str, level: int) -> Run:
         found = [(s.getPath().getName(), s.getLen()) for s in self._fs.listStatus(self._path(folder)) if s.getPath().getName().endswith(".parquet")]
@@ -102,18 +128,19 @@ class ShardStore:
         """One arrival as a run of small shards, one for each task."""
         name = uuid.uuid4().hex
         arrival.write.parquet(f"{self.root}/data/{name}")
-        version, runs = self.manifest()
-        return self.commit(version, [*runs, self._listed(f"data/{name}", name, 0)])
+        run = self._listed(f"data/{name}", name, 0)
+        return self.change(lambda runs: [*runs, run])
 
     def append_each(self, rows: DataFrame, arrival) -> int:
         """Arrivals told apart by a column, written in one pass, committed one after another."""
         name = uuid.uuid4().hex
-        rows.withColumn(SPLIT, arrival).write.partitionBy(SPLIT).parquet(f"{self.root}/data/{name}")
+        split = fresh(rows, SPLIT)
+        rows.withColumn(split, arrival).write.partitionBy(split).parquet(f"{self.root}/data/{name}")
         version = self.manifest()[0]
-        parts = sorted(s.getPath().getName() for s in self._fs.listStatus(self._path(f"data/{name}")) if s.isDirectory() and s.getPath().getName().startswith(SPLIT))
+        parts = sorted(s.getPath().getName() for s in self._fs.listStatus(self._path(f"data/{name}")) if s.isDirectory() and s.getPath().getName().startswith(f"{split}="))
         for part in parts:
-            version, runs = self.manifest()
-            version = self.commit(version, [*runs, self._listed(f"data/{name}/{part}", f"{name}-{part.partition('=')[2]}", 0)])
+            run = self._listed(f"data/{name}/{part}", f"{name}-{part.partition('=')[2]}", 0)
+            version = self.change(lambda runs, run=run: [*runs, run])
         return version
 
     def full_tier(self, runs: list[Run]) -> list[Run]:
@@ -140,12 +167,16 @@ class ShardStore:
             else:
                 self._fs.mkdirs(self._path(f"data/{name}"))
             gone = {r.name for r in tier}
-            self.commit(version, [*(r for r in runs if r.name not in gone), self._listed(f"data/{name}", name, 1 + max(r.level for r in tier))])
+            merged_run = self._listed(f"data/{name}", name, 1 + max(r.level for r in tier))
+            # where another writer has merged one of these runs, this result is left to vacuum
+            self.change(lambda runs: [*(r for r in runs if r.name not in gone), merged_run] if gone <= {r.name for r in runs} else None)
 
     def vacuum(self, keep_versions: int = 1) -> int:
         """Removes manifests before the newest ``keep_versions`` and shards that none of these lists."""
+        if keep_versions < 1:
+            raise ValueError("the newest version is always kept")
         known = self.versions()
-        kept = known[-keep_versions:] if keep_versions else []
+        kept = known[-keep_versions:]
         live = {f for v in kept for r in self.manifest(v)[1] for f in r.files}
         removed = 0
         for v in known:
@@ -154,6 +185,15 @@ class ShardStore:
             for f in {f for r in self.manifest(v)[1] for f in r.files} - live:
                 removed += bool(self._fs.delete(self._path(f), False))
             self._fs.delete(self._path(f"manifests/{v:012d}.json"), False)
+        # files of writers that died before they listed them
+        prefix = self._fs.makeQualified(self._path("")).toString() + "/"
+        if self._fs.exists(self._path("data")):
+            files = self._fs.listFiles(self._path("data"), True)
+            while files.hasNext():
+                s = files.next()
+                name = s.getPath().toString().removeprefix(prefix)
+                if name.endswith(".parquet") and name not in live and time.time() - s.getModificationTime() / 1000 > self.orphan_seconds:
+                    removed += bool(self._fs.delete(s.getPath(), False))
         return removed
 
     # reading
