@@ -89,24 +89,31 @@ class InvertedFiles:
         return -saved
 
 
-def search_block(queries, q_ids, vectors, ids, pivots, longest, k, prefix, share):
-    """The block's best (query_id, vec_id, score) by permutation index and reranking."""
+def search_block(queries, q_ids, q_keys, vectors, ids, pivots, longest, k, prefix, share):
+    """The block's best (query_id, query_key, vec_id, score) by permutation index and reranking.
+
+    A query's own row is the one of its id with its vector; other rows of that id are candidates.
+    """
     files = InvertedFiles(prefixes(lifted(vectors, longest), pivots, prefix), len(pivots))
     lists = prefixes(np.column_stack([queries, np.zeros(len(queries))]), pivots, prefix)
     take = min(len(ids), max(int(np.ceil(share * len(ids))), RERANK_LEAST * k, 1))
     found = []
-    for q, q_id, pivots_of in zip(queries, q_ids.tolist(), lists):
+    for q, q_id, q_key, pivots_of in zip(queries, q_ids.tolist(), q_keys.tolist(), lists):
         far = files.footrule(pivots_of)
         chosen = np.argpartition(far, take - 1)[:take] if take < len(far) else np.arange(len(far))
-        chosen = chosen[ids[chosen] != q_id]
+        chosen = chosen[(ids[chosen] != q_id) | (vectors[chosen] != q).any(axis=1)]
         score = np.einsum("ij,j->i", vectors[chosen], q)
         best = np.lexsort((ids[chosen], -score))[:k]
-        found.append((np.full(len(best), q_id), ids[chosen][best], score[best]))
-    return [np.concatenate(x) for x in zip(*found)] if found else [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0)]
+        found.append((np.full(len(best), q_id), np.full(len(best), q_key), ids[chosen][best], score[best]))
+    return [np.concatenate(x) for x in zip(*found)] if found else [*(np.empty(0, np.int64) for _ in range(3)), np.empty(0)]
 
 
 def nearest(table: DataFrame, queries: DataFrame, k: int, pivots: int = PIVOTS, prefix: int = PREFIX, share: float = RERANK_SHARE) -> DataFrame:
-    """The k nearest stored vectors of each query (vec_id, x); a query's own id is no candidate."""
+    """The k nearest stored vectors of each query (vec_id, x); a query's own row is no candidate.
+
+    Equal queries of one id are asked once; queries of one id with other vectors each have ranks of their own.
+    """
+    queries = queries.dropDuplicates(["vec_id", "x"])
     spark = table.sparkSession
     stats = table.agg(F.count("*").alias("n"), F.max(F.aggregate("x", F.lit(0.0), lambda a, c: a + c * c)).alias("m2")).first()
     n_queries = queries.count()
@@ -120,7 +127,7 @@ def nearest(table: DataFrame, queries: DataFrame, k: int, pivots: int = PIVOTS,
 
     def block_rows(rows: DataFrame, own: str, n_own: int, other: str, n_other: int, role: int) -> DataFrame:
         placed = rows.withColumn(own, F.pmod(F.xxhash64("vec_id"), F.lit(n_own)).cast("int"))
-        return placed.select(F.explode(F.sequence(F.lit(0), F.lit(n_other - 1))).alias(other), own, F.lit(role).alias("role"), "vec_id", "x").select("vb", "qb", "role", "vec_id", "x")
+        return placed.select(F.explode(F.sequence(F.lit(0), F.lit(n_other - 1))).alias(other), own, F.lit(role).alias("role"), "vec_id", "x").select("vb", "qb", "role", "vec_id", "x", F.when(F.col("role") == 0, F.xxhash64("x")).otherwise(0).alias("query_key"))
 
     both = block_rows(queries, "qb", query_blocks, "vb", blocks, 0).union(block_rows(table, "vb", blocks, "qb", query_blocks, 1))
 
@@ -129,11 +136,12 @@ def nearest(table: DataFrame, queries: DataFrame, k: int, pivots: int = PIVOTS,
         role, ids = group["role"].to_numpy(), group["vec_id"].to_numpy()
         x = matrix(group["x"].combine_chunks())
         asks = role == 0
-        got = search_block(x[asks], ids[asks], x[~asks], ids[~asks], shared.value, longest, k, prefix, share) if asks.any() and not asks.all() else ([], [], [])
-        return pa.table({"query_id": pa.array(got[0], pa.int64()), "vec_id": pa.array(got[1], pa.int64()), "score": pa.array(got[2], pa.float64())})
+        keys = group["query_key"].to_numpy()
+        got = search_block(x[asks], ids[asks], keys[asks], x[~asks], ids[~asks], shared.value, longest, k, prefix, share) if asks.any() and not asks.all() else ([], [], [], [])
+        return pa.table({"query_id": pa.array(got[0], pa.int64()), "query_key": pa.array(got[1], pa.int64()), "vec_id": pa.array(got[2], pa.int64()), "score": pa.array(got[3], pa.float64())})
 
-    partial = both.groupBy("vb", "qb").applyInArrow(run, "query_id long, vec_id long, score double")
-    order = F.expr("row_number() over (partition by query_id order by score desc, vec_id)")
+    partial = both.groupBy("vb", "qb").applyInArrow(run, "query_id long, query_key long, vec_id long, score double")
+    order = F.expr("row_number() over (partition by query_id, query_key order by score desc, vec_id)")
     return partial.withColumn("rank", order.cast("int")).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
