@@ -20,8 +20,8 @@ no fixed size and grows with what the labels tell apart.
 
 Edge cases: null, empty and wordless texts have zero evidence and get the score
 that the fit gives for it (below 0.5 where toxic rows are a minority); texts of any
-length are scored whole; repeated rows count as often as they occur in training
-and score alike; without any labelled row, or with one class only, the score is
+length are scored whole; equal training texts of one label count once, repeated rows
+score alike; without any labelled row, or with one class only, the score is
 the share of toxic labels (0 without labels).
 """
 
@@ -48,7 +48,7 @@ DISCOUNT = 2.0
 SURE = 4.0
 #: Bounds of one word's evidence.
 LEAST, MOST = -2.0, 6.0
-#: Of the training rows, one in CALIBRATE_EACH is kept for the logistic fit, which takes at most CALIBRATE_ROWS of them.
+#: Of the training texts, one in CALIBRATE_EACH is kept for the logistic fit, and about CALIBRATE_ROWS at most: all others are counted.
 CALIBRATE_EACH, CALIBRATE_ROWS = 4, 20_000
 THRESHOLD = 0.7
 #: Training rows (about 30 bytes each) that may be broadcast.
@@ -237,8 +237,10 @@ def examples(docs: DataFrame, labels: DataFrame) -> DataFrame:
     known = labels.where("toxic in (0, 1)").select("doc_id", F.col("toxic").cast("int").alias("toxic"))
     ids = docs.select("doc_id", F.xxhash64("text").alias("copy"), F.xxhash64("doc_id").alias("place")).join(known, "doc_id")
     chosen = ids.groupBy("copy", "toxic").agg(F.min(F.struct("place", "doc_id")).alias("x"))
-    chosen = materialise(chosen.select("x.doc_id", "toxic", "x.place", F.pmod("x.place", F.lit(CALIBRATE_EACH)).alias("part")), "toxicity-labels")
-    if chosen.count() <= BROADCAST_LABELS:
+    chosen = materialise(chosen.select("x.doc_id", "toxic", "x.place"), "toxicity-labels")
+    n = chosen.count()
+    chosen = chosen.withColumn("part", F.pmod("place", F.lit(max(CALIBRATE_EACH, -(-n // CALIBRATE_ROWS)))))
+    if n <= BROADCAST_LABELS:
         return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
     return materialise(docs.select("doc_id", "text").join(chosen, "doc_id"), "toxicity-texts")
 
@@ -298,4 +300,4 @@ def training_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     scored = score(docs, train(docs, training_labels(spark, sf_dir)))
-    return scored.withColumn("held_out", ~in_training())
+    return scored.select("doc_id", (~in_training()).alias("held_out"), "score", "predicted")
