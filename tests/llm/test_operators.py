@@ -347,6 +347,22 @@ def test_ordinal_thresholds_are_ordered_and_grades_found():
     assert quality_model.fit([], np.array([], int)).tails(np.array([1]), np.array([1.0])) == pytest.approx([2 / 3, 1 / 3])
 
 
+def test_grades_of_tables(spark, odd):
+    """Nulls, empty and long texts, repeated ids, extra columns, an empty table; the same fit whatever the partitions."""
+    good, bad = "a calm report on the river and its mills", "xx !! buy now $$$ buy now $$$"
+    docs = frame(spark, [good + f" {i}" if i % 2 else bad + f" {i}" for i in range(120)])
+    rated = docs.select("doc_id", "text", F.when(F.col("doc_id") % 2 == 1, 2).otherwise(0).alias("grade"))
+    model, again = quality_model.train(rated), quality_model.train(rated.union(rated.limit(0)).repartition(7))
+    assert (model.weights == again.weights).all() and (model.thresholds == again.thresholds).all()
+    got = {r.doc_id: r for r in quality_model.grade(docs, model).collect()}
+    assert all(r.kept == (i % 2 == 1) and abs(r.expected_grade - r.p_ge_1 - r.p_ge_2) < 1e-12 for i, r in got.items())
+    strange = quality_model.grade(odd.union(odd), model).collect()
+    assert len(strange) == 2 * len(ODD) and all(0 <= r.p_ge_2 <= r.p_ge_1 <= 1 for r in strange)
+    none = rated.where("doc_id < 0")
+    assert quality_model.grade(none, quality_model.train(none)).count() == 0
+    assert {round(r.expected_grade, 6) for r in quality_model.grade(odd, quality_model.train(none)).collect()} == {1.0}
+
+
 # classifiers
 def test_language_of_held_out_documents(spark, sf_dir):
     found = language.op1_language(spark, sf_dir).join(documents(spark, sf_dir).select("doc_id", "lang"), "doc_id").where("held_out").collect()
@@ -467,10 +483,31 @@ def test_vectors_that_take_no_part(spark):
     fine = [(i, [float(i), 1.0]) for i in range(20, 26)] + [(20, [7.0, 1.0])]
     table = vectors.usable(spark.createDataFrame(bad + fine, "vec_id long, embedding array<float>"))
     got = vectors.nearest(table, table.where("vec_id % 20 = 0"), 20).collect()
-    assert {r.query_id for r in got} == {20} and {r.vec_id for r in got} == {21, 22, 23, 24, 25}
+    # two rows of id 20 with other vectors: each is asked and is a candidate of the other
+    ranks = Counter((r.rank, r.vec_id) for r in got)
+    assert {r.query_id for r in got} == {20} and len(got) == 12 and Counter(r.rank for r in got) == Counter({i: 2 for i in range(1, 7)}) and max(ranks.values()) <= 2
+    twice = vectors.nearest(table.union(table), table.union(table).where("vec_id = 20 and x[0] = 20"), 20).collect()
+    assert sorted(r.rank for r in twice) == list(range(1, 13)) and max(Counter(r.vec_id for r in twice).values()) == 2
 
 
 # shards
+def test_a_dead_writers_claim_and_files_are_cleared(spark, odd, tmp_path):
+    store = sharding.ShardStore(spark, str(tmp_path), claim_seconds=0, orphan_seconds=0)
+    store.append(odd.coalesce(1))
+    (tmp_path / "manifests" / ".000000000002.claim").touch()
+    odd.coalesce(1).write.parquet(str(tmp_path / "data" / "left"))
+    assert store.append(odd.coalesce(1)) == 2 and store.read(odd.schema).count() == 2 * len(ODD)
+    assert store.vacuum() == 1 and store.read(odd.schema).count() == 2 * len(ODD)
+    with pytest.raises(ValueError):
+        store.vacuum(0)
+    with pytest.raises(sharding.Conflict):
+        store.commit(1, [])
+    named = odd.withColumn("_arrival", F.lit("own"))
+    other = sharding.ShardStore(spark, str(tmp_path / "other"))
+    other.append_each(named, F.col("doc_id") % 2)
+    assert {r["_arrival"] for r in other.read(named.schema).collect()} == {"own"} and other.read(named.schema).count() == len(ODD)
+
+
 def test_shards_keep_every_row_through_compaction(spark, odd, tmp_path):
     store = sharding.ShardStore(spark, str(tmp_path), target_bytes=1 << 20, fan_in=3)
     assert store.read(odd.schema).count() == 0

@@ -124,10 +124,12 @@ def train(rated: DataFrame, most: int = FIT_ROWS) -> Ordinal:
         features = Features()
         for b in slices(batches):
             found = [features.of(t) for t in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([f[0] for f in found], pa.list_(pa.int64())), pa.array([f[1] for f in found], pa.list_(pa.float64()))], names=["grade", "at", "value"])
+            features_of = [pa.array([f[0] for f in found], pa.list_(pa.int64())), pa.array([f[1] for f in found], pa.list_(pa.float64()))]
+            yield pa.RecordBatch.from_arrays([b.column(0), *features_of, b.column(2), b.column(3)], names=["grade", "at", "value", "place", "copy"])
 
-    rows = rated.where(f"grade between 0 and {GRADES - 1}").join(chosen, "doc_id", "left_semi").select(F.col("grade").cast("int"), "text")
-    t = rows.mapInArrow(run, "grade int, at array<long>, value array<double>").limit(most).toArrow()
+    rows = rated.where(f"grade between 0 and {GRADES - 1}").join(chosen, "doc_id", "left_semi").select(F.col("grade").cast("int"), "text", F.xxhash64("doc_id").alias("place"), F.xxhash64("text").alias("copy"))
+    # one order whatever the tasks, so that the fit is the same each time
+    t = rows.mapInArrow(run, "grade int, at array<long>, value array<double>, place long, copy long").orderBy("place", "copy", "grade").limit(most).toArrow()
     examples = list(zip(map(np.asarray, t["at"].to_pylist()), map(np.asarray, t["value"].to_pylist())))
     return fit(examples, t["grade"].to_numpy())
 
