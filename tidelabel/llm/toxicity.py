@@ -59,12 +59,13 @@ CACHE = 400_000
 
 def unit_key(unit: str) -> int:
     """64-bit key, never 0."""
-    return xxhash.xxh3_64_intdigest(unit.encode()) or 1
+    return xxhash.xxh3_64_intdigest(unit) or 1
 
 
 def units(word: str) -> list[int]:
-    """Keys of a word and of its beginnings, longest first."""
-    return [unit_key(word), *(unit_key(word[:n] + "*") for n in BEGINNINGS if n < len(word))]
+    """Keys of a word and of its beginnings, longest first; 0 where it is too short for one."""
+    long = len(word)
+    return [unit_key(word)] + [unit_key(word[:n] + "*") if n < long else 0 for n in BEGINNINGS]
 
 
 def pair_keys(first: np.ndarray, second: np.ndarray) -> np.ndarray:
@@ -85,13 +86,14 @@ class Model:
     pair: np.ndarray  # of these
     weights: np.ndarray  # of mean, stretch, and the intercept
 
-    def of_word(self, keys: np.ndarray) -> float:
-        """What the longest informative unit of a word's ``units`` says."""
+    def of_words(self, keys: np.ndarray) -> np.ndarray:
+        """What the longest informative unit of each word says; a row of ``keys`` holds the ``units`` of a word."""
         if not len(self.units):
-            return 0.0
+            return np.zeros(len(keys))
         at = np.minimum(np.searchsorted(self.units, keys), len(self.units) - 1)
-        hit = np.flatnonzero(self.units[at] == keys)
-        return float(self.unit[at[hit[0]]]) if len(hit) else 0.0
+        hit = (self.units[at] == keys) & (keys != 0)
+        longest = at[np.arange(len(keys)), hit.argmax(axis=1)]
+        return np.where(hit.any(axis=1), self.unit[longest], 0.0)
 
     def score(self, evidence: list[tuple[float, float]]) -> np.ndarray:
         x = features(np.array(evidence, dtype=np.float64).reshape(-1, 2))
@@ -99,26 +101,58 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-class Reader:
+class Vocabulary:
+    """Places of words seen, and the keys of their units in one array; forgotten past CACHE words."""
+
+    def __init__(self):
+        self.place: dict[str, int] = {}
+        self.keys = np.zeros((0, 1 + len(BEGINNINGS)), dtype=np.uint64)
+
+    def places(self, words: list[str]) -> np.ndarray:
+        """The place of each word; valid until the next call."""
+        if len(self.place) > CACHE:
+            self.place.clear()
+        new = list(set(words).difference(self.place))
+        if new:
+            start = len(self.place)
+            self.place.update(zip(new, range(start, start + len(new))))
+            self.learn(start, np.array([units(w) for w in new], dtype=np.uint64))
+        return np.fromiter(map(self.place.__getitem__, words), dtype=np.int64, count=len(words))
+
+    def learn(self, start: int, keys: np.ndarray) -> None:
+        self.keys = held(self.keys, start, keys)
+
+
+def held(array: np.ndarray, start: int, rows: np.ndarray) -> np.ndarray:
+    """``array`` with ``rows`` from ``start`` on, in a larger one if it is full."""
+    if start + len(rows) > len(array):
+        larger = np.zeros((2 * (start + len(rows)), *array.shape[1:]), dtype=array.dtype)
+        larger[:start] = array[:start]
+        array = larger
+    array[start : start + len(rows)] = rows
+    return array
+
+
+class Reader(Vocabulary):
     """Evidence of texts, one after another, by a model; words are kept with what they say."""
 
     def __init__(self, model: Model):
-        self.model, self.known = model, {}
+        super().__init__()
+        self.model, self.says = model, np.zeros(0)
+
+    def learn(self, start: int, keys: np.ndarray) -> None:
+        super().learn(start, keys)
+        self.says = held(self.says, start, self.model.of_words(keys))
 
     def evidence(self, text: str | None) -> tuple[float, float]:
         """(ratio per word over the text, ratio per word over the strongest stretch)."""
-        words, model, known = words_of(text), self.model, self.known
+        words, model = words_of(text), self.model
         if not words:
             return 0.0, 0.0
-        if len(known) > CACHE:
-            known.clear()
-        for w in set(words).difference(known):
-            keys = np.array(units(w), dtype=np.uint64)
-            known[w] = (model.of_word(keys), keys[0])
-        both = [known[w] for w in words]
-        ratio = np.array([x[0] for x in both])
+        place = self.places(words)
+        ratio = self.says[place]
         if len(model.pairs) and len(words) > 1:
-            word = np.array([x[1] for x in both], dtype=np.uint64)
+            word = self.keys[place, 0]
             key = pair_keys(word[:-1], word[1:])
             at = np.minimum(np.searchsorted(model.pairs, key), len(model.pairs) - 1)
             hit = np.flatnonzero(model.pairs[at] == key)
@@ -132,21 +166,18 @@ def counts(rows: DataFrame) -> DataFrame:
     """(first, second, toxic, other): numbers of texts of each class that hold a pair of words or, at second = 0, a unit."""
 
     def run(batches):
-        known: dict[str, np.ndarray] = {}
+        known = Vocabulary()
         for b in slices(batches, 2048):
             of: dict[int, list] = {0: [], 1: []}
-            if len(known) > CACHE:
-                known.clear()
             for label, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 words = words_of(text)
-                distinct = set(words)
-                for w in distinct.difference(known):
-                    known[w] = np.array(units(w), dtype=np.uint64)
                 if not words:
                     continue
-                word = np.array([known[w][0] for w in words], dtype=np.uint64)
+                place = known.places(words)
+                word = known.keys[place, 0]
                 at = np.unique(pair_keys(word[:-1], word[1:]), return_index=True)[1]
-                unit = np.unique(np.concatenate([known[w] for w in distinct]))
+                unit = np.unique(known.keys[np.unique(place)])
+                unit = unit[unit != 0]
                 of[label].append((np.concatenate([unit, word[at]]), np.concatenate([np.zeros_like(unit), word[at + 1]])))
             for label, parts in of.items():
                 if parts:
@@ -252,8 +283,8 @@ def train(docs: DataFrame, labels: DataFrame) -> Model:
     # units all stay; a pair up to the discount backs off wholly, so only the others are kept
     found = materialise(counts(rows.where("part > 0")).where(f"second = 0 or greatest(toxic, other) > {DISCOUNT}"), "toxicity-counts")
     model = Model(**kneser_ney(found), weights=np.zeros(3))
-    held = text_evidence(rows.where("part = 0").select(F.struct("toxic", "place").alias("key"), "text"), spark.sparkContext.broadcast(model), "key", "struct<toxic: int, place: bigint>")
-    sample = held.select("key.*", "mean", "stretch").orderBy("place", "toxic", "mean").limit(CALIBRATE_ROWS).toPandas()
+    apart = text_evidence(rows.where("part = 0").select(F.struct("toxic", "place").alias("key"), "text"), spark.sparkContext.broadcast(model), "key", "struct<toxic: int, place: bigint>")
+    sample = apart.select("key.*", "mean", "stretch").orderBy("place", "toxic", "mean").limit(CALIBRATE_ROWS).toPandas()
     y = sample["toxic"].to_numpy(dtype=np.float64)
     if 0 < y.sum() < len(y):
         model.weights = logistic(features(sample[["mean", "stretch"]].to_numpy()), y)
