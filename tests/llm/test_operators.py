@@ -459,6 +459,65 @@ def test_word_pairs_dont_share_counts(spark):
     assert say("q0 q1")[0] > 0 > say("q1 q0")[0] and say(f"{words[i]} {words[j]}") == (0.0, 0.0)
 
 
+def test_toxicity_model_equals_plain_python(spark):
+    """Counts, levels and evidence against dictionaries of strings."""
+    from collections import Counter
+    from math import log
+
+    rng = np.random.default_rng(5)
+    plain, abuse = [f"wort{i}" for i in range(12)], ["grimble", "grimbles", "snark"]
+    texts = [" ".join(rng.choice(plain + (abuse if k % 3 == 0 else abuse[2:] if k % 20 == 1 else []), 14)) for k in range(240)] + [None, "", "...", "snark"]
+    label = [int(k % 3 == 0) for k in range(len(texts))]
+    rows = spark.createDataFrame([(label[k], texts[k]) for k in range(len(texts))], "toxic int, text string")
+    made = toxicity.kneser_ney(toxicity.counts(rows).where(f"second = 0 or greatest(toxic, other) > {toxicity.DISCOUNT}"))
+    model = toxicity.Model(**made, weights=np.zeros(3))
+
+    parts = lambda w: [w] + [w[:n] + "*" for n in toxicity.BEGINNINGS if n < len(w)]
+    unit, pair = [Counter(), Counter()], [Counter(), Counter()]
+    for c, text in zip(label, texts):
+        words = toxicity.words_of(text)
+        unit[c].update({u for w in words for u in parts(w)})
+        pair[c].update(set(zip(words, words[1:])))
+    d, total = toxicity.DISCOUNT, [sum(unit[0].values()), sum(unit[1].values())]
+    seen = lambda u: (unit[0][u] > 0) + (unit[1][u] > 0)
+    every = set(unit[0]) | set(unit[1])
+    back = sum(min(unit[c][u], d) for u in every for c in (0, 1)) / sum(total)
+    p = [{u: max(unit[c][u] - d, 0) / total[c] + back * seen(u) / sum(map(seen, every)) for u in every} for c in (0, 1)]
+
+    def sure(n, of):
+        return 2 * sum(n[c] * log(n[c] * sum(of) / (of[c] * sum(n))) for c in (0, 1) if n[c]) >= toxicity.SURE**2
+
+    says = {u: log(p[1][u] / p[0][u]) for u in every if sure([unit[0][u], unit[1][u]], total)}
+    pairs = {}
+    for a, b in set(pair[0]) | set(pair[1]):
+        n, of = [pair[0][a, b], pair[1][a, b]], [max(unit[0][a], 1), max(unit[1][a], 1)]
+        if max(n) > d and sure(n, of):
+            q = [min(max(n[c] - d, 0) / of[c], 1) + max(min(d / sum(of), 1), 1e-6) * p[c][b] for c in (0, 1)]
+            pairs[a, b] = log(q[1] / q[0])
+    assert len(model.units) == len(says) > 0 and len(model.pairs) == len(pairs)
+
+    reader = toxicity.Reader(model)
+    for text in [*texts, "grimblest snark wort1", "unseen words"]:
+        words = toxicity.words_of(text)
+        r = [next((says[u] for u in parts(w) if u in says), 0.0) for w in words]
+        r = [pairs.get((words[i - 1], w), r[i]) if i else r[i] for i, w in enumerate(words)]
+        r = [min(max(x, toxicity.LEAST), toxicity.MOST) for x in r]
+        width = min(toxicity.STRETCH, len(r))
+        want = (sum(r) / len(r), max(sum(r[i : i + width]) for i in range(len(r) - width + 1)) / toxicity.STRETCH) if r else (0.0, 0.0)
+        assert np.allclose(reader.evidence(text), want, atol=1e-5)
+
+
+def test_toxicity_words_are_learned_anew_after_being_forgotten(monkeypatch):
+    keys = np.array(sorted(toxicity.unit_key(w) for w in ("bad", "good")), dtype=np.uint64)
+    unit = np.array([1.5 if k == toxicity.unit_key("bad") else -1.0 for k in keys.tolist()], dtype=np.float32)
+    model = toxicity.Model(keys, unit, np.zeros(0, np.uint64), np.zeros(0, np.float32), np.zeros(3))
+    texts = [f"bad w{i} good w{i + 1} w{i}" for i in range(50)] + ["bad", "good good"]
+    whole = [toxicity.Reader(model).evidence(t) for t in texts]
+    monkeypatch.setattr(toxicity, "CACHE", 3)
+    reader = toxicity.Reader(model)
+    assert [reader.evidence(t) for t in texts] == whole
+
+
 # vectors
 def test_permutation_index_finds_most_neighbours(spark, sf_dir):
     rows = vectors.op6_permutation_index(spark, sf_dir).collect()
