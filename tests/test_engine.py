@@ -6,9 +6,11 @@ from pyspark.sql import functions as F
 
 from tidelabel.config import CleanConfig
 from tidelabel.operators import annotate, influence, pruner
-from tidelabel.operators.core import ClusterRows, gradient, hessian, influence_vector, objective, rows_of, train_newton, validation_gradient
-from tidelabel.operators.measures import same_picks
-from tidelabel.plans.loop import initialise, run_loop, trusted
+from tidelabel.operators.core import ClusterRows, gradient, hessian, influence_vector, objective, rows_of, train_newton, train_sgd, trusted_rows, validation_gradient
+from tidelabel.operators.measures import confusions, f1, f1_of, same_picks
+from tidelabel.operators.measures import quality as quality_of
+from tidelabel.operators.replay import retrain, warm_refit
+from tidelabel.plans.loop import initialise, resume, run_loop, save
 from tidelabel.sources.tables import checked, doc_quality, training_set, vec_planted
 
 
@@ -30,6 +32,52 @@ def test_cluster_sums_equal_local_ones(quality):
     assert hessian(far, w, 0.1) == pytest.approx(hessian(local, w, 0.1))
 
 
+def test_trusted_rows_of_the_cluster_equal_those_of_the_driver(quality):
+    local, far = trusted_rows(quality, "val", CFG), trusted_rows(quality, "val", CFG.but(local_bytes=0))
+    assert isinstance(far, ClusterRows) and far.size == local.size > 0
+    w = np.full(far.shape, 0.1)
+    w[1] = -0.2
+    assert validation_gradient(far, w) == pytest.approx(validation_gradient(local, w))
+    assert quality_of(far, w) == pytest.approx(quality_of(local, w)) and (confusions(far, w)[1] == confusions(local, w)[1]).all()
+    assert f1_of(confusions(local, w)[1]) == pytest.approx(f1(local.truth, (local.x @ w.T).argmax(axis=1), 2))
+    assert quality_of(trusted_rows(quality, "none", CFG), w) == {"loss": 0.0, "f1": 0.0}
+
+
+def test_the_loop_runs_on_the_cluster_alone(quality):
+    """Nothing held by the driver: the same picks and losses, up to rounding."""
+    few = CFG.but(budget=4, round_size=2, steps=6, burn_in=2, period=4)
+    local, far = run_loop(quality, few), run_loop(quality, few.but(local_bytes=0))
+    assert isinstance(far.rows, ClusterRows) and isinstance(far.val, ClusterRows)
+    assert far.edits == local.edits and far.w == pytest.approx(local.w)
+    assert [r["val_loss"] for r in far.log] == pytest.approx([r["val_loss"] for r in local.log])
+
+
+def test_rounds_go_on_from_a_saved_state(quality, tmp_path):
+    half = run_loop(quality, CFG.but(budget=10), prune=True)
+    save(half, str(tmp_path))
+    again = resume(quality, CFG, str(tmp_path), prune=True)
+    assert again.edits == half.edits and (again.w == half.w).all() and len(again.trace) == len(half.trace)
+    whole, resumed = run_loop(quality, CFG, prune=True), run_loop(quality, CFG, prune=True, start=again)
+    assert resumed.edits == whole.edits and resumed.w == pytest.approx(whole.w)
+    assert resumed.log[-1]["n_candidates"] == whole.log[-1]["n_candidates"]
+
+
+def test_warm_refit_comes_close_in_few_steps(quality):
+    rows = rows_of(quality, CFG)
+    w, _ = train_sgd(rows, CFG.but(steps=400))
+    rows.clean[:15] = True
+    full, _ = retrain(rows, CFG.but(steps=400))
+    warm, trace = warm_refit(rows, CFG, w, 40)
+    assert len(trace) == 40 and np.abs(warm - full).max() < 0.3 * np.abs(w - full).max()
+
+
+def test_training_ends_early_where_the_validation_loss_rises(quality):
+    overfit = CFG.but(steps=60, patience=2)
+    losses = iter(range(100))
+    _, trace = train_sgd(rows_of(quality, CFG), overfit, stop=lambda w: next(losses), patience=2)
+    assert len(trace) == 3 and len(initialise(quality, overfit).trace) <= 60
+
+
 def test_loop_lowers_validation_loss_more_than_random(quality):
     ours, random = run_loop(quality, CFG, prune=True), run_loop(quality, CFG, "random", "retrain")
     losses = [r["val_loss"] for r in ours.log]
@@ -50,7 +98,7 @@ def test_loop_stops_when_told_and_when_the_pool_is_empty(spark, quality):
 def test_pruner_picks_what_full_scoring_picks(quality, kind):
     s = initialise(quality, CFG, prune=True)
     w = train_newton(s.rows, CFG)
-    v = influence_vector(s.rows, validation_gradient(*s.val, w), w, CFG)
+    v = influence_vector(s.rows, validation_gradient(s.val, w), w, CFG)
     full = influence.select_top(influence.uplift_influence(quality, w, v, CFG.gamma), 10)
     for bounds in (pruner.brackets(s.prov, v, w, s.w0, CFG.gamma, kind), pruner.prescreen(s.prov, v, s.v0, w, s.w0, CFG.gamma)):
         for threshold in ("printed", "tight"):
@@ -87,7 +135,31 @@ def test_weak_labels_sum_to_one(spark, sf_dir):
     assert worst < 1e-9
 
 
-def test_late_votes_are_dropped_as_in_the_batch_twin(spark, tmp_path):
+def test_late_rows_are_dropped_from_windows(spark, tmp_path):
+    """Micro-batches of one file each: a row behind the watermark of the batch before opens no window, the last window stays open."""
+    from tidelabel.schema import TABLES
+    from tidelabel.streaming.votes import run_once, tumbling
+
+    day = 86_400
+    for i, days in enumerate([(10, 13), (13,), (1, 13), (20,)]):
+        rows = [(100 * i + j, d * day + 3600, 1, "click") for j, d in enumerate(days)]
+        events = spark.createDataFrame(rows, "event_id long, t long, user_id long, event_type string").select("event_id", F.timestamp_seconds("t").alias("ts"), "user_id", "event_type", F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
+        events.coalesce(1).write.mode("append").parquet(f"{tmp_path}/events")
+    stream = spark.readStream.schema(TABLES["events"]).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/events")
+    got = {(r.start.day, r.n) for r in run_once(tumbling(stream)).collect()}
+    assert got == {(11, 1), (14, 3)}
+
+
+def test_annotators_with_commas_are_one_vote_each(spark, tmp_path):
+    from tidelabel.streaming.votes import quorum, run_once
+
+    votes = spark.createDataFrame([(1, "a,b", 1, 1), (1, "c", 0, 2), (1, "c", 1, 3), (1, "d,", 0, 4)], "row_id long, annotator string, label int, t int").withColumn("ts", F.timestamp_seconds("t")).drop("t")
+    votes.coalesce(1).write.parquet(f"{tmp_path}/votes")
+    stream = spark.readStream.schema(votes.schema).parquet(f"{tmp_path}/votes")
+    assert [tuple(r) for r in run_once(quorum(stream)).select("row_id", "label", "n").collect()] == [(1, 0, 3)]
+
+
+def test_votes_beyond_the_quorum_do_not_count(spark):
     from tidelabel.streaming.votes import quorum_batch
 
     votes = spark.createDataFrame([(1, "a", 1, 1), (1, "a", 0, 2), (1, "b", 0, 3), (1, "c", 0, 4), (1, "d", 1, 5), (2, "a", 1, 1)], "row_id long, annotator string, label int, t int").withColumn("ts", F.timestamp_seconds("t"))

@@ -47,9 +47,15 @@ def test_query_equals_its_twin(spark, sf_dir, duck, name):
     assert flat(ours) == flat(twin)
 
 
-@pytest.mark.parametrize("name", ["stream_tumbling", "stream_majority"])
+@pytest.mark.parametrize("name", ["stream_tumbling", "stream_majority", "stream_interval_join"])
 def test_streams_equal_their_batch_twins(spark, sf_dir, duck, name):
-    assert len(catalog.QUERIES[name](spark, sf_dir).toPandas()) == len(duck.execute(catalog.ORACLES[name]).df())
+    ours, twin = catalog.QUERIES[name](spark, sf_dir).toPandas(), duck.execute(catalog.ORACLES[name]).df()
+    assert sorted(ours.columns) == sorted(twin.columns) and flat(ours) == flat(twin)
+
+
+def test_bucketed_tables_join_without_a_shuffle(spark, sf_dir):
+    plan = catalog.QUERIES["io_bucketed_join"](spark, sf_dir)._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Exchange" not in plan
 
 
 @pytest.mark.parametrize("name", ["replay_round", "exp1_bilevel", "detector_b"])

@@ -16,6 +16,8 @@ class CleanConfig:
     steps: int = 150
     batches: int = 1  # mini-batches an epoch; 1: full batch
     burn_in: int = 10  # replay: first steps that are explicit
+    patience: int = 0  # epochs of rising validation loss that end a training; 0: all steps are made
+    warm_steps: int = 15  # steps of a warm refit
     period: int = 20  # replay: every so many steps are explicit
     history: int = 2  # replay: curvature pairs
     strategy: str = "SUGGEST"

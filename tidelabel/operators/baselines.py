@@ -14,6 +14,7 @@ from tidelabel.config import CleanConfig
 from tidelabel.functions.rand import uniform
 from tidelabel.operators.core import LocalRows, influence_vector, loss_of, softmax, train_newton, validation_gradient
 from tidelabel.operators.influence import pool, scored, uplift_scores
+from tidelabel.operators.measures import confusions
 
 
 def _by_probability(fn):
@@ -49,12 +50,9 @@ def detector_a(train: DataFrame, rows: LocalRows, w: np.ndarray, cfg: CleanConfi
     return scored(pool(train), lambda x, y: -np.mean([loss_of(x, y, np.ones(len(x)), m) - mean for m, mean in models], axis=0))
 
 
-def detector_b(train: DataFrame, val: tuple[np.ndarray, np.ndarray], w: np.ndarray, v: np.ndarray) -> DataFrame:
+def detector_b(train: DataFrame, val, w: np.ndarray, v: np.ndarray) -> DataFrame:
     """Hard labels: chance that the label is wrong, from confusions on trusted rows, times the gain of the best other class."""
-    c = w.shape[0]
-    predicted = (val[0] @ w.T).argmax(axis=1)
-    table = np.ones((c, c))
-    np.add.at(table, (predicted, val[1]), 1)
+    table = 1 + confusions(val, w)[1].T
     given = table / table.sum(axis=1, keepdims=True)  # P(truth | predicted)
 
     def fn(x, y):
@@ -76,10 +74,10 @@ def to_simplex(y: np.ndarray) -> np.ndarray:
     return np.maximum(y - shift[:, None], 0)
 
 
-def bilevel(rows: LocalRows, val: tuple[np.ndarray, np.ndarray], cfg: CleanConfig, outer: int = 5, rate: float = 50.0, pull: float = 0.1) -> tuple[np.ndarray, np.ndarray]:
+def bilevel(rows: LocalRows, val, cfg: CleanConfig, outer: int = 5, rate: float = 50.0, pull: float = 0.1) -> tuple[np.ndarray, np.ndarray]:
     """(L1 distance moved, suggested class) of each row: soft labels are moved to lower the validation loss of the refit.
 
-    gamma is 1. Each outer step refits, solves for v and moves the labels against the
+    gamma is 1; the soft labels are on the driver, so the training rows must be too. Each outer step refits, solves for v and moves the labels against the
     implicit gradient, with a pull towards the given labels, back onto the simplex.
     """
     y = rows.y.copy()
@@ -88,7 +86,7 @@ def bilevel(rows: LocalRows, val: tuple[np.ndarray, np.ndarray], cfg: CleanConfi
     for _ in range(outer):
         now = LocalRows(rows.ids, rows.x, y, np.ones(rows.size, bool), 1.0)
         w = train_newton(now, cfg, w)
-        v = influence_vector(now, validation_gradient(*val, w), w, cfg)
+        v = influence_vector(now, validation_gradient(val, w), w, cfg)
         s = rows.x @ v.T
         y = to_simplex(y - rate * (-s) / rows.size * 1.0 - pull * (y - rows.y))
     return np.abs(y - rows.y).sum(axis=1), y.argmax(axis=1)

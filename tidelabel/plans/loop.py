@@ -17,9 +17,11 @@ from pyspark.sql import functions as F
 
 from tidelabel.config import CleanConfig
 from tidelabel.operators import annotate, baselines, influence, pruner
-from tidelabel.operators.core import LocalRows, influence_vector, rows_of, train_sgd, validation_gradient
+from tidelabel.operators.core import LocalRows, Step, influence_vector, rows_of, train_sgd, trusted_rows, validation_gradient
 from tidelabel.operators.measures import quality
-from tidelabel.operators.replay import replay_label_edits, retrain
+from tidelabel.operators.replay import replay_label_edits, retrain, warm_refit
+from tidelabel.schema import MODEL, TRACE
+from tidelabel.sources.sinks import written
 from tidelabel.sources.tables import as_arrays
 
 RANKERS = ("uplift", "deletion", "label_gradient", "least_confidence", "entropy", "margin", "random", "detector_a", "detector_b")
@@ -30,8 +32,8 @@ class State:
     train: DataFrame
     base: DataFrame
     rows: object
-    val: tuple[np.ndarray, np.ndarray]
-    test: tuple[np.ndarray, np.ndarray]
+    val: object
+    test: object
     w: np.ndarray
     trace: list
     w0: np.ndarray
@@ -42,25 +44,41 @@ class State:
     log: list[dict] = field(default_factory=list)
 
 
-def trusted(train: DataFrame, split: str) -> tuple[np.ndarray, np.ndarray]:
-    """(x, truth) of a trusted split; these sets are small by definition."""
-    _, x, _, truth = as_arrays(train.where(f"split = '{split}' and truth is not null").orderBy("row_id"))
-    return x, truth
-
-
 def initialise(train: DataFrame, cfg: CleanConfig, prune: bool = False) -> State:
-    """First training with its trace, and the facts that the pruner keeps."""
+    """First training with its trace, and the facts that the pruner keeps, which are written once."""
     rows = rows_of(train, cfg)
-    val, test = trusted(train, "val"), trusted(train, "test")
-    w, trace = train_sgd(rows, cfg)
-    v = influence_vector(rows, validation_gradient(*val, w), w, cfg)
+    val, test = trusted_rows(train, "val", cfg), trusted_rows(train, "test", cfg)
+    stop = (lambda w: quality(val, w)["loss"]) if cfg.patience else None
+    w, trace = train_sgd(rows, cfg, stop=stop, patience=cfg.patience)
+    v = influence_vector(rows, validation_gradient(val, w), w, cfg)
     state = State(train, train, rows, val, test, w, trace, w, v)
     if prune:
-        state.prov = pruner.provenance(train, w, v).persist()
-        state.prov.count()
+        state.prov = written(pruner.provenance(train, w, v), "provenance")
     return state
 
 
+def save(state: State, root: str) -> None:
+    """The state's path, parameters and pruner facts as Parquet, so that rounds go on after a lost driver."""
+    spark, flat = state.train.sparkSession, lambda a: [float(z) for z in np.ravel(a)]
+    spark.createDataFrame([(t, flat(s.w), flat(s.g), s.n) for t, s in enumerate(state.trace)], TRACE).coalesce(1).write.mode("overwrite").parquet(f"{root}/trace")
+    spark.createDataFrame([(n, flat(getattr(state, n))) for n in ("w", "w0", "v0")], MODEL).coalesce(1).write.mode("overwrite").parquet(f"{root}/model")
+    spark.createDataFrame([(int(r), int(c)) for r, c in state.edits.items()], "row_id long, new_label int").coalesce(1).write.mode("overwrite").parquet(f"{root}/edits")
+    if state.prov is not None:
+        state.prov.write.mode("overwrite").parquet(f"{root}/provenance")
+
+
+def resume(train: DataFrame, cfg: CleanConfig, root: str, prune: bool = False) -> State:
+    """The state that ``save`` wrote, over the same unedited table; nothing is trained again."""
+    spark = train.sparkSession
+    edits = {r.row_id: r.new_label for r in spark.read.schema("row_id long, new_label int").parquet(f"{root}/edits").collect()}
+    now = annotate.apply_edits(train, spark.createDataFrame(list(edits.items()), "row_id long, new_label int"), cfg.classes) if edits else train
+    rows = rows_of(now, cfg)
+    m = {r.name: np.reshape(r.value, rows.shape) for r in spark.read.schema(MODEL).parquet(f"{root}/model").collect()}
+    trace = [Step(np.reshape(r.w, rows.shape), np.reshape(r.g, rows.shape), r.n_batch) for r in spark.read.schema(TRACE).parquet(f"{root}/trace").orderBy("t").collect()]
+    prov = spark.read.schema(pruner.PROVENANCE).parquet(f"{root}/provenance") if prune else None
+    return State(now, train, rows, trusted_rows(train, "val", cfg), trusted_rows(train, "test", cfg), m["w"], trace, m["w0"], m["v0"], prov, edits=edits)
+
+
 def scores_by(state: State, method: str, v: np.ndarray, cfg: CleanConfig) -> DataFrame:
     # rows that the driver holds are scored there; the random order is drawn by Spark
     t, w = state.rows if isinstance(state.rows, LocalRows) and method != "random" else state.train, state.w
@@ -83,7 +101,7 @@ def scores_by(state: State, method: str, v: np.ndarray, cfg: CleanConfig) -> Dat
 def choose(state: State, cfg: CleanConfig, b: int, method: str = "uplift", prune: bool = False) -> tuple[list, dict]:
     """The next rows (row_id, best_class) and what choosing them took."""
     began = time.perf_counter()
-    v = influence_vector(state.rows, validation_gradient(*state.val, state.w), state.w, cfg)
+    v = influence_vector(state.rows, validation_gradient(state.val, state.w), state.w, cfg)
     n_pool = state.rows.size - len(state.edits)
     n = n_pool
     t0 = time.perf_counter()
@@ -92,9 +110,8 @@ def choose(state: State, cfg: CleanConfig, b: int, method: str = "uplift", prune
         top, n, t_grad = pruner.pruned_top(bounds, state.w, v, cfg.gamma, b, cfg.threshold)
         picks = top.collect()
         if n > cfg.reanchor_at * n_pool:
-            state.prov.unpersist()
             state.w0, state.v0 = state.w, v
-            state.prov = pruner.provenance(state.train, state.w, v).persist()
+            state.prov = written(pruner.provenance(state.train, state.w, v), "provenance")
     else:
         scores = scores_by(state, method, v, cfg)
         picks = scores.top(b) if isinstance(scores, influence.LocalScores) else influence.select_top(scores, b).collect()
@@ -140,6 +157,9 @@ def clean(state: State, picks: list, cfg: CleanConfig, update: str = "replay", m
     state.rows = edited_rows(state, ids, new, cfg)
     if update == "replay":
         state.w, state.trace, explicit = replay_label_edits(before, state.trace, ids, x, old, new, cfg)
+    elif update == "warm":
+        state.w, state.trace = warm_refit(state.rows, cfg, state.w, cfg.warm_steps)
+        explicit = len(state.trace)
     else:
         state.w, state.trace = retrain(state.rows, cfg)
     took = time.perf_counter() - t0
@@ -149,7 +169,7 @@ def clean(state: State, picks: list, cfg: CleanConfig, update: str = "replay", m
 
 
 def measured(state: State) -> dict:
-    val, test = quality(*state.val, state.w), quality(*state.test, state.w)
+    val, test = quality(state.val, state.w), quality(state.test, state.w)
     return {"val_loss": val["loss"], "val_f1": val["f1"], "test_f1": test["f1"]}
 
 
@@ -159,17 +179,18 @@ def run_loop(
 ) -> State:
     """Rounds until the budget is spent, the pool is empty or ``stop`` says so; ``state.log`` has a row a round.
 
-    ``start`` is a first state to begin from instead of a first training (it isn't changed);
+    ``start`` is a state to begin from instead of a first training (it isn't changed), first or resumed;
+    its edits count against the budget;
     ``each`` sees the state before every round's labels, with the round's picks.
     """
-    state = initialise(train, cfg, prune) if start is None else replace(start, edits={}, log=[])
+    state = initialise(train, cfg, prune) if start is None else replace(start, edits=dict(start.edits), log=[])
     state.votes = votes
-    state.log.append({"round": 0, "n_cleaned": 0, "n_candidates": 0, "n_pool": state.rows.size, "agreed": 0, "votes": 0, "t_inf": 0.0, "t_grad": 0.0, "t_update": 0.0, **measured(state)})
+    state.log.append({"round": 0, "n_cleaned": len(state.edits), "n_candidates": 0, "n_pool": state.rows.size - len(state.edits), "agreed": 0, "votes": 0, "t_inf": 0.0, "t_grad": 0.0, "t_update": 0.0, **measured(state)})
     k = 0
     while len(state.edits) < cfg.budget:
         if stop is not None and stop(state.log[-1]):
             break
-        picks, spent = choose(state, cfg, min(cfg.round_size, cfg.budget - len(state.edits)), method, prune and k > 0)
+        picks, spent = choose(state, cfg, min(cfg.round_size, cfg.budget - len(state.edits)), method, prune and bool(state.edits))
         if not picks:
             break
         if each is not None:
@@ -180,6 +201,4 @@ def run_loop(
         state.log.append({"round": k, "n_cleaned": len(state.edits), **spent, **{c: done[c] for c in ("agreed", "votes", "t_update")}, **measured(state)})
         if len(state.edits) == n:
             break
-    if state.prov is not None and start is None:
-        state.prov.unpersist()
     return state

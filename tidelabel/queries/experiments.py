@@ -10,10 +10,10 @@ from pyspark.sql import functions as F
 from tidelabel.config import CleanConfig
 from tidelabel.operators import baselines, influence, pruner
 from tidelabel.operators.annotate import apply_edits
-from tidelabel.operators.core import influence_vector, rows_of, train_newton, validation_gradient
+from tidelabel.operators.core import influence_vector, rows_of, train_newton, trusted_rows, validation_gradient
 from tidelabel.operators.measures import quality
-from tidelabel.operators.replay import closeness, replay_label_edits, retrain
-from tidelabel.plans.loop import choose, edited_rows, initialise, picked_rows, run_loop, trusted
+from tidelabel.operators.replay import closeness, replay_label_edits, retrain, warm_refit
+from tidelabel.plans.loop import choose, edited_rows, initialise, picked_rows, run_loop
 from tidelabel.schema import ROUNDS
 from tidelabel.sources.tables import FIXTURES, checked, crowd_votes
 
@@ -132,12 +132,12 @@ def _(spark, sf_dir):
     """Bi-level and uplift, once for the whole budget, at gamma 1."""
     train, _ = fixture(spark, sf_dir, "doc_quality")
     cfg = settings(train, gamma=1.0)
-    rows, val = rows_of(train, cfg), trusted(train, "val")
+    rows, val = rows_of(train, cfg), trusted_rows(train, "val", cfg)
     moved, suggested = baselines.bilevel(rows, val, cfg)
     first = np.lexsort((rows.ids, -moved))[: cfg.budget]
     s = spark.createDataFrame([(int(rows.ids[i]), int(suggested[i])) for i in first], "row_id long, best_class int")
     state = initialise(train, cfg)
-    v = influence_vector(rows, validation_gradient(*val, state.w), state.w, cfg)
+    v = influence_vector(rows, validation_gradient(val, state.w), state.w, cfg)
     u = influence.select_top(influence.uplift_influence(train, state.w, v, 1.0), cfg.budget).select("row_id", "best_class")
     right = lambda p, n: p.join(train.select("row_id", "truth"), "row_id").agg(F.lit(n).alias("method"), F.sum((F.col("truth") == F.col("best_class")).cast("int")).alias("agreed"), F.count("*").alias("n"))
     return right(s, "bilevel").union(right(u, "uplift"))
@@ -158,9 +158,9 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     train, _ = fixture(spark, sf_dir, "doc_quality")
     cfg = settings(train)
-    rows, val = rows_of(train, cfg), trusted(train, "val")
+    rows, val = rows_of(train, cfg), trusted_rows(train, "val", cfg)
     w = train_newton(rows, cfg)
-    v = influence_vector(rows, validation_gradient(*val, w), w, cfg)
+    v = influence_vector(rows, validation_gradient(val, w), w, cfg)
     return influence.select_top(baselines.detector_b(train, val, w, v), cfg.budget).selectExpr("row_id as doc_id", "best_class", "round(best_score, 9) as score")
 
 
@@ -199,7 +199,7 @@ def _(spark, sf_dir):
         def measure(now, _, name=name, state=state, cfg=cfg, rows=rows):
             if not now.edits:
                 return
-            v = influence_vector(now.rows, validation_gradient(*now.val, now.w), now.w, cfg)
+            v = influence_vector(now.rows, validation_gradient(now.val, now.w), now.w, cfg)
             n_pool, picks = now.rows.size - len(now.edits), {}
             for method in ("full", "pruner", "prescreen"):
                 began = time.perf_counter()
@@ -216,7 +216,6 @@ def _(spark, sf_dir):
         run_loop(train, cfg, start=state, each=measure)
         last = max((r[1] for r in rows), default=0)
         out += [(*r, r[1] == last) for r in rows]
-        state.prov.unpersist()
         train.unpersist()
     return spark.createDataFrame(out, "workload string, round int, method string, n_candidates long, n_pool long, t_inf double, t_grad double, same_picks boolean, last boolean")
 
@@ -259,6 +258,7 @@ def refreshed(state, picks, cfg):
     edited = edited_rows(state, ids, new, cfg)
     ways = {
         "replay": lambda: replay_label_edits(state.rows, state.trace, ids, x, old, new, cfg), "retrain": lambda: (*retrain(edited, cfg), len(state.trace)),
+        "warm": lambda: (*warm_refit(edited, cfg, before, cfg.warm_steps), cfg.warm_steps),
         "replay without curvature": lambda: replay_label_edits(state.rows, state.trace, ids, x, old, new, cfg, curvature="none"),
     }
     done = {}
@@ -267,7 +267,7 @@ def refreshed(state, picks, cfg):
         done[method] = (*refresh(), time.perf_counter() - t0)
     full, out = done["retrain"][0], []
     for method, (w, _, explicit, took) in done.items():
-        c, val, test = closeness(w, full, before, state.test[0]), quality(*state.val, w), quality(*state.test, w)
+        c, val, test = closeness(w, full, before, state.test), quality(state.val, w), quality(state.test, w)
         out.append((method, explicit, took, c["rel_move"], c["agree"], val["loss"], test["f1"]))
     state.w, state.trace, state.rows = done["replay"][0], done["replay"][1], edited
     return out
@@ -281,7 +281,7 @@ def _(spark, sf_dir):
     train, classes = fixture(spark, sf_dir, "vec_planted4")
     cfg = settings(train, classes)
     state = initialise(train, cfg)
-    v = influence_vector(state.rows, validation_gradient(*state.val, state.w), state.w, cfg)
+    v = influence_vector(state.rows, validation_gradient(state.val, state.w), state.w, cfg)
     pick = influence.select_top(influence.uplift_influence(train, state.w, v, cfg.gamma), 1).select("row_id", "best_class")
     near = nearest_trusted(train.join(pick, "row_id").select(F.col("row_id").alias("vec_id"), "x"), train.where("split <> 'train'").select(F.col("row_id").alias("vec_id"), "x"), 5)
     return near.join(train.select(F.col("row_id").alias("nn_id"), "truth"), "nn_id").join(pick.withColumnRenamed("row_id", "vec_id"), "vec_id")

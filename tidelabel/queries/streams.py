@@ -28,5 +28,9 @@ add(
     "stream_join", lambda spark, d: S.run_once(S.with_suggestions(S.votes_of(S.event_stream(spark, d)), spark.range(S.TASKS).selectExpr("id as row_id", "cast(id % 2 as int) as suggestion"))),
     f"with {VOTES} select row_id, annotator, label::integer as label, (row_id % 2)::integer as suggestion from v",
 )
+add(
+    "stream_interval_join", lambda spark, d: S.run_once(S.interval_join(S.event_stream(spark, d).where("event_type = 'error'"), S.event_stream(spark, d).where("event_type = 'purchase'"))),
+    "select p.event_id, e.event_id as error_id from events p join events e on p.user_id = e.user_id and e.ts between p.ts - interval 1 hour and p.ts where p.event_type = 'purchase' and e.event_type = 'error'",
+)
 QUERIES["stream_dedup"] = lambda spark, d: S.run_once(S.first_votes(S.votes_of(S.event_stream(spark, d))))
 add("batch_majority", lambda spark, d: S.quorum_batch(S.votes_of(spark.read.schema(S.TABLES["events"]).parquet(f"{d}/events.parquet"))), ORACLES["stream_majority"])

@@ -58,6 +58,14 @@ def _(spark, sf_dir):
     return store.edits().select("row_id", "new_label", "round")
 
 
+@query("io_bucketed_join", "select d.doc_id, d.n_chars, l.quality from documents d join labels l on d.doc_id = l.doc_id")
+def _(spark, sf_dir):
+    from tidelabel.sources.sinks import bucketed
+
+    d = bucketed(load(spark, sf_dir, "documents").select("doc_id", "n_chars"), "facts", ["doc_id"], 8)
+    return d.hint("merge").join(bucketed(load(spark, sf_dir, "labels").select("doc_id", "quality"), "truths", ["doc_id"], 8), "doc_id")
+
+
 # joins
 same("join_truth", "select d.doc_id, l.quality, d.lang from {documents} d join {labels} l on d.doc_id = l.doc_id")
 same("join_votes_suggestion", "select coalesce(l.doc_id, s.doc_id) as doc_id, l.quality as vote, s.label as suggestion from {labels} l full outer join (select doc_id, cast(n_chars > 500 as int) as label from {documents} where doc_id % 3 = 0) s on l.doc_id = s.doc_id")
@@ -75,13 +83,13 @@ ASOF = "select event_id, user_id, last(err, true) over (partition by user_id ord
 same("asof_vote", ASOF, "select event_id, user_id, last(err ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding) as before from (select event_id, user_id, ts, case when event_type = 'error' then event_id end as err from events)")
 
 
-@query("asof_join", "select e.event_id, (select max(event_id) from events) >= 0 as known, o.event_id as last_error from events e asof left join (select user_id, ts, max(event_id) as event_id from events where event_type = 'error' group by 1, 2) o on e.user_id = o.user_id and e.ts >= o.ts")
+@query("asof_join", "select e.event_id, o.event_id as last_error from events e asof left join (select user_id, ts, max(event_id) as event_id from events where event_type = 'error' group by 1, 2) o on e.user_id = o.user_id and e.ts >= o.ts")
 def _(spark, sf_dir):
     from tidelabel.operators.asof import asof_join
 
     e = load(spark, sf_dir, "events")
     errors = e.where("event_type = 'error'").groupBy("user_id", "ts").agg(F.max("event_id").alias("last_error"))
-    return asof_join(e.select("event_id", "user_id", "ts"), errors, "user_id", "ts", ["last_error"]).select("event_id", F.lit(True).alias("known"), "last_error")
+    return asof_join(e.select("event_id", "user_id", "ts"), errors, "user_id", "ts", ["last_error"]).select("event_id", "last_error")
 
 
 # aggregates
@@ -121,7 +129,7 @@ same("setops_all", "select 'i' as op, l_partkey from (select l_partkey from {lin
 
 # functions
 same("fn_string", "select page_id, length(html) as n, upper(substr(url, 1, 8)) as u, replace(url, '/', '|') as r, instr(html, '<p') as p, levenshtein(substr(url, 1, 20), 'http://example.com') as d from {pages}", "select page_id, length(html)::integer as n, upper(substr(url, 1, 8)) as u, replace(url, '/', '|') as r, instr(html, '<p')::integer as p, levenshtein(substr(url, 1, 20), 'http://example.com')::integer as d from pages")
-same("fn_math", "select vec_id, round(exp(v), 6) as e, round(ln(1 + abs(v)), 6) as l, round(pow(v, 2), 6) as q, greatest(v, 0.0D) as g, least(v, 0.0D) as s, sign(v) as sg, width_bucket(v, -1, 1, 8) as b from (select vec_id, cast(embedding[0] as double) as v from {embeddings})", "select vec_id, round(exp(v), 6) as e, round(ln(1 + abs(v)), 6) as l, round(pow(v, 2), 6) as q, greatest(v, 0.0) as g, least(v, 0.0) as s, sign(v)::double as sg, (floor((v + 1) / 0.25) + 1)::bigint as b from (select vec_id, embedding[1]::double as v from embeddings)")
+same("fn_math", "select vec_id, round(exp(v), 6) as e, round(log1p(abs(v)), 6) as l, round(pow(v, 2), 6) as q, pmod(vec_id - 7, 5) as m, isnan(v / nullif(v, 0D)) as nn, greatest(v, 0.0D) as g, least(v, 0.0D) as s, sign(v) as sg, width_bucket(v, -1, 1, 8) as b from (select vec_id, cast(embedding[0] as double) as v from {embeddings})", "select vec_id, round(exp(v), 6) as e, round(ln(1 + abs(v)), 6) as l, round(pow(v, 2), 6) as q, ((vec_id - 7) % 5 + 5) % 5 as m, isnan(v / nullif(v, 0)) as nn, greatest(v, 0.0) as g, least(v, 0.0) as s, sign(v)::double as sg, (floor((v + 1) / 0.25) + 1)::bigint as b from (select vec_id, embedding[1]::double as v from embeddings)")
 same("fn_date", "select o_orderkey, cast(date_trunc('month', o_orderdate) as date) as m, datediff(o_orderdate, date '1992-01-01') as d, year(o_orderdate) as y, cast(date_add(cast(o_orderdate as date), 30) as date) as p from {orders}", "select o_orderkey, date_trunc('month', o_orderdate)::date as m, datediff('day', date '1992-01-01', o_orderdate::date)::integer as d, year(o_orderdate)::integer as y, (o_orderdate::date + 30)::date as p from orders")
 same("fn_array", "select vec_id, size(filter(embedding, v -> v > 0)) as pos, exists(embedding, v -> v > 0.4) as big, forall(embedding, v -> v < 0.9) as small, array_position(embedding, array_max(embedding)) as at, size(flatten(array(slice(embedding, 1, 3), slice(embedding, 2, 2)))) as n from {embeddings}", "select vec_id, len(list_filter(embedding, lambda v: v > 0))::integer as pos, len(list_filter(embedding, lambda v: v > 0.4)) > 0 as big, len(list_filter(embedding, lambda v: v < 0.9)) = len(embedding) as small, list_position(embedding, list_max(embedding))::bigint as at, 5::integer as n from embeddings")
 same("fn_map", "select doc_id, element_at(map_filter(m, (k, v) -> v > 0), 'quality') as q, size(map_keys(m)) as n, element_at(map_zip_with(m, map('toxic', 5), (k, a, b) -> a + coalesce(b, 0)), 'toxic') as t from (select doc_id, map_from_arrays(array('quality', 'toxic'), array(quality, toxic)) as m from {labels})", "select doc_id, case when quality > 0 then quality end as q, 2::integer as n, (toxic + 5)::integer as t from labels")
@@ -131,6 +139,12 @@ same("struct_max", "select lang, m.doc_id as doc_id, m.n_chars as n_chars from (
 same("subq_scalar_L", "select doc_id from {documents} where n_chars <= (select max(n_chars) from (select n_chars from {documents} order by n_chars, doc_id limit 25))")
 same("subq_exists", "select user_id, count(*) as n from {events} e where exists (select 1 from {events} f where f.user_id = e.user_id and f.event_type = 'error') group by user_id")
 
+same(
+    "recursive_descent",
+    "with recursive m as (select avg(n_chars / 1000D) as a, avg(case when n_chars > 500 then 1D else 0D end) as b from {documents}), s(t, w) as (select 0, cast(0 as double) union all select t + 1, w - 0.5D * (w * 1.05D + b - a) from s cross join m where t < 12) select t, round(w, 9) as w from s",
+    "with recursive m as (select avg(n_chars / 1000.0::double) as a, avg(case when n_chars > 500 then 1.0::double else 0.0::double end) as b from documents), s(t, w) as (select 0, 0::double union all select t + 1, w - 0.5::double * (w * 1.05::double + b - a) from s cross join m where t < 12) select t, round(w, 9) as w from s",
+)
+
 # samples
 @query("sample_hash", f"select doc_id from documents where {uniform_sql('sample', 'doc_id')} < 0.1")
 def _(spark, sf_dir):
@@ -150,11 +164,12 @@ def _(spark, sf_dir):
     return load(spark, sf_dir, "embeddings").select("vec_id", F.round(softmax_first(F.expr("cast(embedding[0] as double)"), F.expr("cast(embedding[1] as double)")), 6).alias("p"))
 
 
-@query("udaf_vec_mean", "select label, round(avg(embedding[1]::double), 6) as mean from embeddings group by label")
+@query("udaf_vec_mean", "select label, i, round(avg(v), 6) as mean from (select label, unnest(range(len(embedding)))::integer as i, unnest(embedding)::double as v from embeddings) group by label, i")
 def _(spark, sf_dir):
     from tidelabel.functions.udfs import mean_of
 
-    return load(spark, sf_dir, "embeddings").groupBy("label").agg(F.round(mean_of(F.expr("cast(embedding[0] as double)")), 6).alias("mean"))
+    long = load(spark, sf_dir, "embeddings").select("label", F.posexplode("embedding").alias("i", "v"))
+    return long.groupBy("label", "i").agg(F.round(mean_of(F.col("v").cast("double")), 6).alias("mean"))
 
 
 @query("udtf_scores", "select doc_id, c::integer as class, (quality = c)::integer as hit from labels, (select unnest([0, 1]) as c)")

@@ -12,9 +12,8 @@ from tidelabel.config import CleanConfig
 from tidelabel.functions.features import CENTRE, SPREAD, STATISTICS, standardised_sql, text_statistics, text_statistics_sql
 from tidelabel.functions.rand import random_weak, random_weak_sql, split_of, split_sql, uniform_sql
 from tidelabel.operators import annotate
-from tidelabel.operators.core import LocalRows, conjugate_gradient, gradient, hessian, hvp, rows_of, train_gd, train_sgd, validation_gradient
+from tidelabel.operators.core import LocalRows, conjugate_gradient, gradient, hessian, hvp, rows_of, train_gd, train_sgd, trusted_rows, validation_gradient
 from tidelabel.operators.replay import CurvatureMemory
-from tidelabel.plans.loop import trusted
 from tidelabel.sources.tables import labelled_documents, load, training_set
 
 QUERIES, ORACLES = {}, {}
@@ -81,7 +80,7 @@ def _(spark, sf_dir):
 
 @query("val_gradient", f"with {ROWS} select j, round(avg((p - truth) * xj), 9) as g from (select unnest(range(4))::integer as j, unnest(x) as xj, p, truth from (select *, {margin(U)} as p from va)) group by 1")
 def _(spark, sf_dir):
-    return from_vector(spark, validation_gradient(*trusted(small_train(spark, sf_dir), "val"), both(U))[1])
+    return from_vector(spark, validation_gradient(trusted_rows(small_train(spark, sf_dir), "val", CFG), both(U))[1])
 
 
 @query("hvp", f"with {ROWS} select j, round(sum(0.8 * p * (1 - p) * 2 * list_inner_product(x, [1.0, 2.0, -1.0, 0.5]) * xj) / any_value(n) + 0.05 * any_value(([1.0, 2.0, -1.0, 0.5])[j + 1]), 9) as hv from (select unnest(range(4))::integer as j, unnest(x) as xj, x, p, n from (select *, {margin(U)} as p, count(*) over () as n from tr)) group by 1")
@@ -124,7 +123,7 @@ hl as materialized (select list(h order by i, j) as h from m), bl as materialize
 def _(spark, sf_dir):
     train = small_train(spark, sf_dir)
     rows, w = rows_of(train, CFG), both(U)
-    b = validation_gradient(*trusted(train, "val"), w)
+    b = validation_gradient(trusted_rows(train, "val", CFG), w)
     v = -conjugate_gradient(lambda u: hvp(rows, w, u, CFG.lam), b, most=20)
     return from_vector(spark, v[1], ("j", "v"), 6)
 

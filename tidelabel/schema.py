@@ -14,5 +14,6 @@ TABLES = {
 TRAIN = "row_id bigint, x array<double>, weak array<double>, truth int, is_clean boolean, split string"
 EDITS = "round int, row_id bigint, new_label int, source string"
 SCORES = "row_id bigint, best_class int, best_score double, scores array<double>"
+MODEL = "name string, value array<double>"
 TRACE = "t int, w array<double>, g array<double>, n_batch bigint"
 ROUNDS = "round int, n_cleaned int, n_candidates bigint, n_pool bigint, val_loss double, val_f1 double, test_f1 double, agreed int, votes int, t_inf double, t_grad double, t_update double"

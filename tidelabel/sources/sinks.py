@@ -27,6 +27,21 @@ def round_trip(rows: DataFrame, fmt: str) -> DataFrame:
     return rows.sparkSession.read.format(fmt).schema(rows.schema).option("header", True).load(path)
 
 
+def written(rows: DataFrame, name: str) -> DataFrame:
+    """``rows`` written to the shared folder and read back: lost executors don't compute them again."""
+    path = f"{shared_folder(rows.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    rows.write.parquet(path)
+    return rows.sparkSession.read.schema(rows.schema).parquet(path)
+
+
+def bucketed(rows: DataFrame, name: str, keys: list[str], buckets: int) -> DataFrame:
+    """``rows`` as a table bucketed and sorted by ``keys``; joins of such tables on the keys don't shuffle them."""
+    spark, table = rows.sparkSession, f"{name}_{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/{table}"
+    rows.write.bucketBy(buckets, *keys).sortBy(*keys).option("path", path).saveAsTable(table)
+    return spark.table(table)
+
+
 class RoundStore:
     """Edits of rounds, appended and never changed: a folder per round, read with partition pruning.
 

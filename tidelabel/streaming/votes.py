@@ -73,6 +73,14 @@ def with_suggestions(votes: DataFrame, suggestions: DataFrame) -> DataFrame:
     return votes.join(F.broadcast(suggestions), "row_id").select("row_id", "annotator", "label", "suggestion")
 
 
+def interval_join(errors: DataFrame, purchases: DataFrame, within: str = "1 hour") -> DataFrame:
+    """Streams joined on the user, each purchase with errors of the time before it; watermarks bound what is kept."""
+    e = errors.selectExpr("event_id as error_id", "user_id", "ts as error_ts").withWatermark("error_ts", "10 minutes")
+    p = purchases.selectExpr("event_id", "user_id as buyer", "ts").withWatermark("ts", "10 minutes")
+    near = F.expr(f"buyer = user_id and error_ts >= ts - interval {within} and error_ts <= ts")
+    return p.join(e, near).select("event_id", "error_id")
+
+
 def quorum(votes: DataFrame, size: int = QUORUM, patience: str = "1 day") -> DataFrame:
     """(row_id, label, n): closes a row by its first ``size`` annotators; a row that waits too long closes with what it has.
 
@@ -82,8 +90,8 @@ def quorum(votes: DataFrame, size: int = QUORUM, patience: str = "1 day") -> Dat
 
     def step(key, frames, state: GroupState):
         (row_id,) = key
-        closed, annotators, labels = state.get if state.exists else (False, "", "")
-        seen = dict(zip(annotators.split(",") if annotators else [], labels.split(",") if labels else []))
+        closed, annotators, labels = state.get if state.exists else (False, [], [])
+        seen = dict(zip(annotators, labels))
         if state.hasTimedOut:
             state.remove()
             if seen and not closed:
@@ -96,20 +104,20 @@ def quorum(votes: DataFrame, size: int = QUORUM, patience: str = "1 day") -> Dat
             return
         for r in rows.itertuples():
             if len(seen) < size and str(r.annotator) not in seen:
-                seen[str(r.annotator)] = str(r.label)
+                seen[str(r.annotator)] = int(r.label)
         done = len(seen) >= size
-        state.update((done, ",".join(seen), ",".join(seen.values())))
+        state.update((done, list(seen), list(seen.values())))
         if done:
             yield decided(row_id, seen)
         else:
             state.setTimeoutTimestamp(int(rows.ts.max().timestamp() * 1000) + wait)
 
     def decided(row_id, seen):
-        counts = pd.Series(list(map(int, seen.values()))).value_counts()
+        counts = pd.Series(list(seen.values())).value_counts()
         label = min(counts[counts == counts.max()].index)
         return pd.DataFrame({"row_id": [row_id], "label": [int(label)], "n": [len(seen)]})
 
-    return votes.withWatermark("ts", "10 minutes").groupBy("row_id").applyInPandasWithState(step, "row_id long, label int, n int", "closed boolean, annotators string, labels string", "append", GroupStateTimeout.EventTimeTimeout)
+    return votes.withWatermark("ts", "10 minutes").groupBy("row_id").applyInPandasWithState(step, "row_id long, label int, n int", "closed boolean, annotators array<string>, labels array<int>", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def quorum_batch(votes: DataFrame, size: int = QUORUM) -> DataFrame:
