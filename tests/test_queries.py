@@ -77,6 +77,12 @@ def test_workload_compares_all_methods(spark):
     assert abs(again.loss_after - by["uplift", "SUGGEST", small, "retrain"].loss_after) < 0.02
 
 
+def test_methods_over_repeated_draws(spark, sf_dir):
+    rows = {r.method: r for r in experiments.spread(spark, sf_dir, ("doc_quality",), 2).collect()}
+    assert set(rows) == {"uplift", "deletion", "least_confidence", "random"}
+    assert all(r.repeats == 2 and r.loss_spread > 0 for r in rows.values()) and rows["uplift"].loss_mean < rows["random"].loss_mean
+
+
 def test_pruner_in_rounds_picks_as_full_scoring(spark, sf_dir):
     rows = experiments.QUERIES["exp2_select"](spark, sf_dir).collect()
     assert rows and all(r.same_picks for r in rows) and {r.workload for r in rows if r["last"]} == {"line_planted", "doc_quality", "vec_planted4"}

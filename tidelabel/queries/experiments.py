@@ -8,10 +8,11 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from tidelabel.config import CleanConfig
+from tidelabel.functions.rand import random_weak
 from tidelabel.operators import baselines, influence, pruner
 from tidelabel.operators.annotate import apply_edits
 from tidelabel.operators.core import influence_vector, rows_of, train_newton, trusted_rows, validation_gradient
-from tidelabel.operators.measures import quality
+from tidelabel.operators.measures import mean_and_spread, quality
 from tidelabel.operators.replay import closeness, replay_label_edits, retrain, warm_refit
 from tidelabel.plans.loop import choose, edited_rows, initialise, picked_rows, run_loop
 from tidelabel.schema import ROUNDS
@@ -96,6 +97,27 @@ for _name, _fixture in (("exp1_quality", "doc_quality"), ("exp1_toxic", "doc_tox
     QUERIES[_name] = lambda spark, sf_dir, f=_fixture: whole(spark, sf_dir, f)
 
 
+REPEATS = 3
+
+
+@query("exp1_spread")
+def spread(spark, sf_dir, names=("doc_quality", "doc_toxic"), repeats: int = REPEATS):
+    """Mean and spread over ``repeats`` draws of random weak labels, in rounds."""
+    out = []
+    for name in names:
+        train, classes = fixture(spark, sf_dir, name)
+        cfg, found = settings(train, classes), {}
+        for k in range(repeats):
+            drawn = train.withColumn("weak", F.when(F.col("split") == "train", random_weak(f"weak-{k}", "row_id", classes)).otherwise(F.col("weak"))).persist()
+            for r in compared(spark, drawn, cfg, [(m, s, cfg.round_size, "retrain") for m, s in (("uplift", "SUGGEST"), ("deletion", "HUMAN3"), ("least_confidence", "HUMAN3"), ("random", "HUMAN3"))]).collect():
+                found.setdefault(r.method, []).append((r.loss_after, r.f1_after))
+        for method, values in found.items():
+            (loss, loss_spread), (f1, f1_spread) = (mean_and_spread(list(v)) for v in zip(*values))
+            out.append((name, method, repeats, loss, loss_spread, f1, f1_spread))
+        train.unpersist()
+    return spark.createDataFrame(out, "workload string, method string, repeats int, loss_mean double, loss_spread double, f1_mean double, f1_spread double")
+
+
 @query("exp1_crowd")
 def _(spark, sf_dir):
     """Documents without a label: the four labelling functions are the crowd whose votes are bought; no truth to agree with."""

@@ -12,7 +12,7 @@ from tidelabel.config import CleanConfig
 from tidelabel.functions.features import CENTRE, SPREAD, STATISTICS, standardised_sql, text_statistics, text_statistics_sql
 from tidelabel.functions.rand import random_weak, random_weak_sql, split_of, split_sql, uniform_sql
 from tidelabel.operators import annotate
-from tidelabel.operators.core import LocalRows, conjugate_gradient, gradient, hessian, hvp, rows_of, train_gd, train_sgd, trusted_rows, validation_gradient
+from tidelabel.operators.core import LocalRows, conjugate_gradient, gradient, hessian, hvp, rows_of, train_sgd, trusted_rows, validation_gradient
 from tidelabel.operators.replay import CurvatureMemory
 from tidelabel.sources.tables import labelled_documents, load, training_set
 
@@ -110,7 +110,8 @@ def descent_sql() -> str:
 @query("gd_recursive", f"with {ROWS}, {descent_sql()} " + " union all ".join(f"select {t}::integer as t, (unnest(range(4)))::integer as j, round(unnest(w), 9) as w from w{t}" for t in range(STEPS + 1)))
 def _(spark, sf_dir):
     rows = rows_of(small_train(spark, sf_dir), CFG)
-    return spark.createDataFrame([(t, j, round(float(a), 9) + 0.0) for t in range(STEPS + 1) for j, a in enumerate(train_gd(rows, CFG, t)[1])], "t int, j int, w double")
+    _, trace = train_sgd(rows, CFG, STEPS + 1)
+    return spark.createDataFrame([(t, j, round(float(a), 9) + 0.0) for t, s in enumerate(trace) for j, a in enumerate(s.w[1])], "t int, j int, w double")
 
 
 @query("cg_solve_small", f"""with {ROWS}, {EXPLODED}, m as (select i, j, 2 * h + case when i = j then 0.05 else 0 end as h from ({HESS})), g as (select j, avg((p - truth) * xj) as b from (select unnest(range(4))::integer as j, unnest(x) as xj, p, truth from (select *, {margin(U)} as p from va)) group by 1),
@@ -128,11 +129,26 @@ def _(spark, sf_dir):
     return from_vector(spark, v[1], ("j", "v"), 6)
 
 
-@query("sgd_trace")
+SGD_STEPS, SGD_BATCHES = 12, 4
+
+
+def sgd_sql() -> str:
+    """Unrolled mini-batch steps; an empty batch has the penalty's gradient."""
+    parts = ["w0 as (select [0.0, 0.0, 0.0, 0.0] as w)"]
+    for t in range(SGD_STEPS):
+        epoch, number = divmod(t, SGD_BATCHES)
+        inside = f"((doc_id * 7919 + {epoch * 104729}) % 1000003) % {SGD_BATCHES} = {number}"
+        parts.append(f"g{t} as materialized (select j, any_value(w[j]) as w, coalesce(avg(0.8 * (1 / (1 + exp(-2 * list_inner_product(x, w))) - y) * x[j]) filter ({inside}), 0) + 0.05 * any_value(w[j]) as g, count(*) filter ({inside}) as n from tr, w{t}, (select unnest(range(1, 5)) as j) group by j)")
+        parts.append(f"w{t + 1} as materialized (select list(w - 0.5 * g order by j) as w from g{t})")
+    return ", ".join(parts)
+
+
+# both classes' rows have the same size
+@query("sgd_trace", f"with {ROWS}, {sgd_sql()} " + " union all ".join(f"select {t}::integer as t, round(sqrt(2 * sum(w * w)), 9) as norm_w, round(sqrt(2 * sum(g * g)), 9) as norm_g, any_value(n) as n_batch from g{t}" for t in range(SGD_STEPS)))
 def _(spark, sf_dir):
-    cfg = CFG.but(batches=4)
-    _, trace = train_sgd(rows_of(small_train(spark, sf_dir), cfg), cfg, 12)
-    return spark.createDataFrame([(t, float(np.linalg.norm(s.w)), float(np.linalg.norm(s.g)), s.n) for t, s in enumerate(trace)], "t int, norm_w double, norm_g double, n_batch long")
+    cfg = CFG.but(batches=SGD_BATCHES)
+    _, trace = train_sgd(rows_of(small_train(spark, sf_dir), cfg), cfg, SGD_STEPS)
+    return spark.createDataFrame([(t, round(float(np.linalg.norm(s.w)), 9), round(float(np.linalg.norm(s.g)), 9), s.n) for t, s in enumerate(trace)], "t int, norm_w double, norm_g double, n_batch long")
 
 
 @query("lbfgs_product")
@@ -189,9 +205,10 @@ for _name, _strategy, _sql in (
     QUERIES[_name], ORACLES[_name] = (lambda spark, sf_dir, s=_strategy: clean(spark, sf_dir, s)), _sql
 
 
-@query("annotation_cost", "select * from (values ('HUMAN3', 300), ('SUGGEST', 0), ('MIX', 200)) c(strategy, votes)")
+@query("annotation_cost", "select strategy, (each * n)::integer as votes from (values ('HUMAN3', 3), ('SUGGEST', 0), ('MIX', 2)) c(strategy, each), (select count(*) as n from labels where quality = 0)")
 def _(spark, sf_dir):
-    return spark.createDataFrame([(s, annotate.annotation_cost(s, 100)) for s in annotate.VOTES], "strategy string, votes int")
+    n = load(spark, sf_dir, "labels").where("quality = 0").count()
+    return spark.createDataFrame([(s, annotate.annotation_cost(s, n)) for s in annotate.VOTES], "strategy string, votes int")
 
 
 @query("annotator_error", f"with {SIM} select annotator, round(avg((label <> truth)::integer), 9) as err, count(*) as n from v join t using (doc_id) group by 1")

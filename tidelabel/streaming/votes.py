@@ -69,8 +69,8 @@ def first_votes(votes: DataFrame) -> DataFrame:
 
 
 def with_suggestions(votes: DataFrame, suggestions: DataFrame) -> DataFrame:
-    """Votes with the static suggestion of their row."""
-    return votes.join(F.broadcast(suggestions), "row_id").select("row_id", "annotator", "label", "suggestion")
+    """Votes with the static suggestion of their row; Spark broadcasts the suggestions only below its size limit."""
+    return votes.join(suggestions, "row_id").select("row_id", "annotator", "label", "suggestion")
 
 
 def interval_join(errors: DataFrame, purchases: DataFrame, within: str = "1 hour") -> DataFrame:
