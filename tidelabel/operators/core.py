@@ -8,8 +8,8 @@ sums by task that Spark adds up. What comes to the driver has the model's size.
 
 from __future__ import annotations
 
-from collections.abc import Callable
-from dataclasses import dataclass
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -17,8 +17,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tidelabel.config import CleanConfig
+from tidelabel.sources.sinks import written
 from tidelabel.sources.tables import as_arrays
 
+#: Bytes of mini-batches that the driver fetches at once, and epochs whose order it remembers.
+FETCH_BYTES = 32 << 20
+EPOCHS = 4
+
 
 def softmax(z: np.ndarray) -> np.ndarray:
     e = np.exp(z - z.max(axis=-1, keepdims=True))
@@ -85,6 +90,7 @@ class LocalRows:
     clean: np.ndarray
     gamma: float
     truth: np.ndarray | None = None
+    order: dict = field(default_factory=dict, repr=False, compare=False)  # of ids alone: copies with other labels share it
 
     @property
     def size(self) -> int:
@@ -96,21 +102,117 @@ class LocalRows:
 
     def total(self, fn: Callable, batch: tuple[int, int, int] | None = None) -> tuple[np.ndarray, int]:
         """(sum of fn(x, y, weight), rows) over all rows or one (epoch, number, batches)."""
-        weight = np.where(self.clean, 1.0, self.gamma)
-        if batch is None:
-            return fn(self.x, self.y, weight), self.size
-        m = batch_of(self.ids, batch[0], batch[2]) == batch[1]
-        return fn(self.x[m], self.y[m], weight[m]), int(m.sum())
+        if batch is None or batch[2] == 1:
+            return fn(self.x, self.y, np.where(self.clean, 1.0, self.gamma)), self.size
+        at = self.members(*batch)
+        return fn(self.x[at], self.y[at], np.where(self.clean[at], 1.0, self.gamma)), len(at)
+
+    def members(self, epoch: int, number: int, batches: int) -> np.ndarray:
+        """Places of a mini-batch's rows, rising; an epoch is dealt out once."""
+        if (epoch, batches) not in self.order:
+            of = batch_of(self.ids, epoch, batches)
+            for old in list(self.order)[: max(0, len(self.order) - EPOCHS + 1)]:
+                self.order.pop(old, None)
+            self.order[epoch, batches] = np.argsort(of, kind="stable"), np.concatenate([[0], np.cumsum(np.bincount(of, minlength=batches))])
+        at, ends = self.order[epoch, batches]
+        return at[ends[number] : ends[number + 1]]
+
+    def each_batch(self, keys: list[tuple[int, int, int]]) -> Iterator[Batch]:
+        return (Batch(self, k) for k in keys)
+
+
+@dataclass
+class Batch:
+    """One (epoch, number, batches) of a training set, summed by it."""
+
+    rows: LocalRows | ClusterRows
+    key: tuple[int, int, int]
+
+    def total(self, fn: Callable, batch=None) -> tuple[np.ndarray, int]:
+        return self.rows.total(fn, self.key)
 
 
 class ClusterRows:
-    """A training set as a DataFrame; every sum is one distributed pass."""
+    """A training set as a DataFrame; every sum over all rows is one distributed pass.
+
+    A path over mini-batches makes a step at a time, so that a job a step would take
+    mostly the jobs' fixed costs. Instead the rows are written once an epoch, dealt out to
+    its mini-batches, and the driver fetches these in the order of the steps, FETCH_BYTES
+    at once. Edits since, at most the budget, are put in there. Mini-batches too large
+    for that stay distributed passes.
+    """
 
     def __init__(self, train: DataFrame, gamma: float):
         self.train, self.gamma = train.select("row_id", "x", "weak", "is_clean"), gamma
         first = self.train.select(F.size("weak").alias("c"), F.size("x").alias("d")).first()
         self.shape = (first.c, first.d) if first else (0, 0)
         self.size = self.train.count()
+        self.base, self.dealt, self.edits = self.train, {}, {}
+
+    def edited(self, train: DataFrame, ids: np.ndarray, new: np.ndarray) -> ClusterRows:
+        """These rows with new labels for ``ids``, as ``train`` has them; what is dealt out is kept."""
+        out = object.__new__(ClusterRows)
+        out.train, out.gamma, out.shape, out.size = train.where("split = 'train'").select("row_id", "x", "weak", "is_clean"), self.gamma, self.shape, self.size
+        out.base, out.dealt, out.edits = self.base, self.dealt, self.edits | dict(zip(ids.tolist(), new))
+        return out
+
+    def at_once(self, batches: int) -> int:
+        """Mini-batches that the driver fetches at once; 0 where they are too large."""
+        each = (sum(self.shape) + 2) * 8 * -(-self.size // batches)
+        return 0 if batches == 1 or 8 * each > FETCH_BYTES else FETCH_BYTES // max(each, 1)
+
+    def deal(self, epoch: int, batches: int) -> DataFrame:
+        """(run, number, ids, x, y, clean): the epoch's mini-batches as bytes, ``run`` counts what is fetched at once."""
+        if (epoch, batches) not in self.dealt:
+            run_of = self.at_once(batches)
+
+            def run(found):
+                for b in found:
+                    number = b.column(0).to_numpy()
+                    cuts = [0, *(np.flatnonzero(np.diff(number)) + 1).tolist(), b.num_rows]
+                    parts = [b.slice(i, j - i) for i, j in zip(cuts, cuts[1:]) if j > i]
+                    as_bytes = lambda i: pa.array([np.ascontiguousarray(p.column(i).flatten().to_numpy() if i in (2, 3) else p.column(i).to_numpy(zero_copy_only=False)).tobytes() for p in parts], pa.binary())  # noqa: B023, E731
+                    n = np.array([p.column(0)[0].as_py() for p in parts], dtype=np.int32)
+                    yield pa.RecordBatch.from_arrays([pa.array(n // run_of), pa.array(n), *map(as_bytes, range(1, 5))], names=["run", "number", "ids", "x", "y", "clean"])
+
+            number = F.pmod(F.pmod(F.col("row_id") * 7919 + epoch * 104729, F.lit(1000003)), F.lit(batches)).cast("int")
+            rows = self.base.select(number.alias("number"), "row_id", "x", "weak", "is_clean").repartition("number").sortWithinPartitions("number", "row_id")
+            packed = rows.mapInArrow(run, "run int, number int, ids binary, x binary, y binary, clean binary")
+            self.dealt[epoch, batches] = written(packed, "batches", "run")
+        return self.dealt[epoch, batches]
+
+    def each_batch(self, keys: list[tuple[int, int, int]]) -> Iterator[Batch | LocalRows]:
+        """The mini-batches one after another, in the order of ``keys``."""
+        at = 0
+        while at < len(keys):
+            epoch, _, batches = keys[at]
+            most = self.at_once(batches)
+            if not most:
+                yield Batch(self, keys[at])
+                at += 1
+                continue
+            part = keys[at : at + most]
+            part = part[: next((i for i, k in enumerate(part) if (k[0], k[2]) != (epoch, batches)), len(part))]
+            at += len(part)
+            numbers = [k[1] for k in part]
+            found = self.deal(epoch, batches).where(F.col("run").isin(sorted({n // most for n in numbers})) & F.col("number").isin(numbers)).drop("run").toArrow().to_pylist()
+            pieces: dict[int, list] = {}
+            for r in found:
+                pieces.setdefault(r["number"], []).append(r)
+            for n in numbers:
+                yield self.local(pieces.get(n, []))
+
+    def local(self, pieces: list[dict]) -> LocalRows:
+        """The rows of one mini-batch, with the edits since."""
+        c, d = self.shape
+        whole = lambda name, kind: np.concatenate([np.empty(0, kind), *(np.frombuffer(p[name], kind) for p in pieces)])
+        ids, x, y, clean = whole("ids", np.int64), whole("x", np.float64).reshape(-1, d), whole("y", np.float64).reshape(-1, c), whole("clean", np.bool_)
+        order = np.argsort(ids, kind="stable")
+        ids, x, y, clean = ids[order], x[order], y[order], clean[order]
+        if self.edits:
+            for i in np.flatnonzero(np.isin(ids, np.fromiter(self.edits, np.int64, len(self.edits)))):
+                y[i], clean[i] = self.edits[int(ids[i])], True
+        return LocalRows(ids, x, y, clean, self.gamma)
 
     def total(self, fn: Callable, batch: tuple[int, int, int] | None = None) -> tuple[np.ndarray, int]:
         rows, gamma = self.train, self.gamma
@@ -199,9 +301,9 @@ def train_sgd(
 ) -> tuple[np.ndarray, list[Step]]:
     """Mini-batch descent from ``start`` (zero) with its trace; ends early when ``stop`` (a validation loss) rises ``patience`` epochs running."""
     w, trace, best, bad = np.zeros(rows.shape) if start is None else start.copy(), [], np.inf, 0
-    for t in range(cfg.steps if steps is None else steps):
-        epoch, number = divmod(t, cfg.batches)
-        g, n = gradient(rows, w, cfg.lam, (epoch, number, cfg.batches))
+    keys = [(*divmod(t, cfg.batches), cfg.batches) for t in range(cfg.steps if steps is None else steps)]
+    for (_, number, _), part in zip(keys, rows.each_batch(keys)):
+        g, n = gradient(part, w, cfg.lam)
         trace.append(Step(w, g, n))
         w = w - cfg.rate * g
         if stop is not None and number == cfg.batches - 1:

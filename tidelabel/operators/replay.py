@@ -72,14 +72,16 @@ def replay(rows, trace: list[Step], removed: Edits, added: Edits, cfg: CleanConf
     if not trace:
         raise ValueError("there is no path to replay")
     w, memory, out, explicit = trace[0].w.copy(), CurvatureMemory(cfg.history), [], 0
-    for t, old in enumerate(trace):
-        epoch, number = divmod(t, cfg.batches)
-        batch = (epoch, number, cfg.batches)
+    keys = [(*divmod(t, cfg.batches), cfg.batches) for t in range(len(trace))]
+    planned = [t < cfg.burn_in or (t - cfg.burn_in) % cfg.period == 0 for t in range(len(trace))]
+    read = rows.each_batch([k for k, p in zip(keys, planned) if p])
+    for old, batch, now in zip(trace, keys, planned):
+        part = next(read) if now else None
         shift = w - old.w
         if not shift.any():
             whole = old.g
-        elif t < cfg.burn_in or (t - cfg.burn_in) % cfg.period == 0:
-            whole, _ = gradient(rows, w, cfg.lam, batch)
+        elif now:
+            whole, _ = gradient(part, w, cfg.lam)
             memory.add(shift, whole - old.g)
             explicit += 1
         else:

@@ -27,10 +27,10 @@ def round_trip(rows: DataFrame, fmt: str) -> DataFrame:
     return rows.sparkSession.read.format(fmt).schema(rows.schema).option("header", True).load(path)
 
 
-def written(rows: DataFrame, name: str) -> DataFrame:
-    """``rows`` written to the shared folder and read back: lost executors don't compute them again."""
+def written(rows: DataFrame, name: str, *parts: str) -> DataFrame:
+    """``rows`` written to the shared folder, in folders by ``parts``, and read back: lost executors don't compute them again."""
     path = f"{shared_folder(rows.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    rows.write.parquet(path)
+    rows.write.parquet(path, partitionBy=list(parts) or None)
     return rows.sparkSession.read.schema(rows.schema).parquet(path)
 
 
