@@ -164,3 +164,53 @@ def test_votes_beyond_the_quorum_do_not_count(spark):
 
     votes = spark.createDataFrame([(1, "a", 1, 1), (1, "a", 0, 2), (1, "b", 0, 3), (1, "c", 0, 4), (1, "d", 1, 5), (2, "a", 1, 1)], "row_id long, annotator string, label int, t int").withColumn("ts", F.timestamp_seconds("t"))
     assert {(r.row_id, r.label, r.n) for r in quorum_batch(votes).collect()} == {(1, 0, 3), (2, 1, 1)}
+
+
+def jobs_of(spark, action) -> tuple:
+    """What ``action`` gives, and the number of Spark jobs that it ran."""
+    group = f"counted-{id(action)}"
+    spark.sparkContext.setJobGroup(group, group)
+    try:
+        return action(), len(spark.sparkContext.statusTracker().getJobIdsForGroup(group))
+    finally:
+        spark.sparkContext.setJobGroup("tests", "tests")
+
+
+def test_a_path_over_mini_batches_on_the_cluster_takes_a_few_jobs(spark, quality):
+    """A job a step took the large order-line workloads hours; edits are seen without dealing out again."""
+    small = CFG.but(batches=12, steps=24, burn_in=3, period=5)
+    local, far = rows_of(quality, small), rows_of(quality, small.but(local_bytes=0))
+    (w, trace), n = jobs_of(spark, lambda: train_sgd(far, small))
+    want, path = train_sgd(local, small)
+    assert w == pytest.approx(want) and [s.n for s in trace] == [s.n for s in path] and n < 12
+    begin = initialise(quality, small.but(local_bytes=0))
+    a, b = (run_loop(quality, small.but(budget=4, round_size=2, local_bytes=k), update=u) for k, u in ((64 << 20, "replay"), (0, "replay")))
+    assert b.edits == a.edits and b.w == pytest.approx(a.w) and isinstance(begin.rows, ClusterRows)
+    again, plain = retrain(b.rows, small)[0], retrain(a.rows, small)[0]
+    assert again == pytest.approx(plain) and again != pytest.approx(want)
+
+
+def test_votes_of_few_rows_equal_those_of_the_table(spark, quality):
+    truth = {r.row_id: r.truth for r in quality.where("split = 'train'").limit(60).collect()}
+    picks = {i: i % 2 for i in truth}
+    frame = spark.createDataFrame(list(picks.items()), "row_id long, best_class int")
+    given = spark.createDataFrame([(i, f"v{k}", int((i + k) % 3 > 0)) for i in truth for k in range(4)], "row_id long, annotator string, label int")
+    for strategy in ("HUMAN3", "SUGGEST", "MIX"):
+        for votes in (None, given):
+            want = {r.row_id: r.new_label for r in annotate.clean_labels(frame, strategy, quality, 2, 0.2, votes).collect()}
+            assert annotate.clean_few(picks, strategy, truth, 2, 0.2, None if votes is None else [(r.row_id, r.label) for r in votes.collect()]) == want
+
+
+def test_the_drivers_random_order_is_the_tables(quality):
+    from tidelabel.operators.baselines import random_order
+
+    want = [r.row_id for r in influence.select_top(random_order(quality), 20).collect()]
+    assert [r.row_id for r in random_order(rows_of(quality, CFG)).top(20)] == want
+
+
+def test_the_crowd_is_asked_in_one_job_a_round(spark, sf_dir):
+    from tidelabel.queries import experiments
+
+    rows, n = jobs_of(spark, lambda: experiments.QUERIES["exp1_crowd"](spark, sf_dir))
+    rounds = sum(-(-r.n_cleaned // r.b) for r in rows.collect() if r.strategy == "HUMAN3" or r.strategy == "MIX")
+    assert n < rounds + 40

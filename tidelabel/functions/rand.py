@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -15,6 +17,11 @@ def uniform(seed: str, row_id: str | Column) -> Column:
     return F.conv(F.substring(digest, 1, 8), 16, 10).cast("double") / F.lit(RANGE)
 
 
+def uniform_of(seed: str, row_id: int) -> float:
+    """The same for one id, without Spark."""
+    return int(hashlib.md5(f"{seed}|{row_id}".encode()).hexdigest()[:8], 16) / RANGE
+
+
 def uniform_sql(seed: str, row_id: str) -> str:
     """The same in DuckDB."""
     return f"(('0x' || md5('{seed}|' || {row_id}::varchar)[1:8])::bigint / {RANGE})"

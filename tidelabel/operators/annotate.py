@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tidelabel.functions.rand import uniform
+from tidelabel.functions.rand import uniform, uniform_of
 
 #: Annotators asked by each strategy.
 VOTES = {"HUMAN3": 3, "SUGGEST": 0, "MIX": 2}
@@ -55,6 +57,22 @@ def clean_labels(picks: DataFrame, strategy: str, truth: DataFrame, classes: int
     return majority_vote(asked).select("row_id", F.col("label").alias("new_label"))
 
 
+def clean_few(picks: dict[int, int], strategy: str, truth: dict[int, int], classes: int, error: float = 0.05, votes: Iterable[tuple[int, int | None]] | None = None, seed: str = "ann") -> dict[int, int]:
+    """``clean_labels`` for picks (row_id: best_class) that the driver holds; ``votes`` are theirs (row_id, label), where given."""
+    if strategy == "SUGGEST":
+        return dict(picks)
+    if votes is None:
+        known = [i for i in picks if i in truth]
+        votes = [(i, (truth[i] + (uniform_of(f"{seed}{a}", i) < error)) % classes) for i in known for a in range(1, VOTES[strategy] + 1)]
+    counts: dict[int, dict] = {}
+    for i, label in [*votes, *(picks.items() if strategy == "MIX" else ())]:
+        if label is not None:
+            of = counts.setdefault(i, {})
+            of[label] = of.get(label, 0) + 1
+    own = lambda i, c: strategy == "MIX" and c == picks[i]
+    return {i: max(of, key=lambda c: (of[c], own(i, c), -c)) for i, of in counts.items()}
+
+
 def annotation_cost(strategy: str, n: int) -> int:
     return VOTES[strategy] * n
 

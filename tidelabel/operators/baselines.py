@@ -11,9 +11,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tidelabel.config import CleanConfig
-from tidelabel.functions.rand import uniform
+from tidelabel.functions.rand import uniform, uniform_of
 from tidelabel.operators.core import LocalRows, influence_vector, loss_of, softmax, train_newton, validation_gradient
-from tidelabel.operators.influence import pool, scored, uplift_scores
+from tidelabel.operators.influence import LocalScores, pool, scored, uplift_scores
 from tidelabel.operators.measures import confusions
 
 
@@ -29,7 +29,10 @@ entropy = _by_probability(lambda p: (p * np.log(np.maximum(p, 1e-300))).sum(axis
 margin = _by_probability(lambda p: (s := np.sort(p, axis=1))[:, -1] - s[:, -2])
 
 
-def random_order(train: DataFrame, seed: str = "random") -> DataFrame:
+def random_order(train: DataFrame | LocalRows, seed: str = "random") -> DataFrame | LocalScores:
+    if isinstance(train, LocalRows):
+        ids = train.ids[~train.clean]
+        return LocalScores(ids, np.array([uniform_of(seed, i) for i in ids.tolist()]).reshape(-1, 1))
     return pool(train).select("row_id", F.lit(0).alias("best_class"), uniform(seed, "row_id").alias("best_score"), F.array(uniform(seed, "row_id")).alias("scores"))
 
 

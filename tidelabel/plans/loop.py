@@ -29,7 +29,7 @@ RANKERS = ("uplift", "deletion", "label_gradient", "least_confidence", "entropy"
 
 @dataclass
 class State:
-    train: DataFrame
+    seen: DataFrame | None  # the edited table; None: not asked for since the last edits
     base: DataFrame
     rows: object
     val: object
@@ -43,6 +43,14 @@ class State:
     edits: dict[int, int] = field(default_factory=dict)
     log: list[dict] = field(default_factory=list)
 
+    @property
+    def train(self) -> DataFrame:
+        """The table as edited so far."""
+        if self.seen is None:
+            edits = self.base.sparkSession.createDataFrame([(int(r), int(c)) for r, c in self.edits.items()], "row_id long, new_label int")
+            self.seen = annotate.apply_edits(self.base, edits, len(self.w))
+        return self.seen
+
 
 def initialise(train: DataFrame, cfg: CleanConfig, prune: bool = False) -> State:
     """First training with its trace, and the facts that the pruner keeps, which are written once."""
@@ -80,8 +88,8 @@ def resume(train: DataFrame, cfg: CleanConfig, root: str, prune: bool = False) -
 
 
 def scores_by(state: State, method: str, v: np.ndarray, cfg: CleanConfig) -> DataFrame:
-    # rows that the driver holds are scored there; the random order is drawn by Spark
-    t, w = state.rows if isinstance(state.rows, LocalRows) and method != "random" else state.train, state.w
+    # rows that the driver holds are scored there
+    t, w = state.rows if isinstance(state.rows, LocalRows) else state.train, state.w
     if method == "uplift":
         return influence.uplift_influence(t, w, v, cfg.gamma)
     if method == "deletion":
@@ -131,7 +139,7 @@ def picked_rows(state: State, wanted: list[int]) -> tuple[np.ndarray, np.ndarray
 def edited_rows(state: State, ids: np.ndarray, new: np.ndarray, cfg: CleanConfig):
     """The training rows with these labels; arrays are changed in a copy, else the edited table is read."""
     if not isinstance(state.rows, LocalRows):
-        return rows_of(state.train, cfg)
+        return state.rows.edited(state.train, ids, new)
     at = np.searchsorted(state.rows.ids, ids)
     y, clean = state.rows.y.copy(), state.rows.clean.copy()
     y[at], clean[at] = new, True
@@ -140,20 +148,22 @@ def edited_rows(state: State, ids: np.ndarray, new: np.ndarray, cfg: CleanConfig
 
 def clean(state: State, picks: list, cfg: CleanConfig, update: str = "replay", method: str = "uplift") -> dict:
     """Labels for the picked rows, the edited view, and the refreshed model."""
-    spark = state.train.sparkSession
     # a ranker without suggestions leaves its rows to annotators
     strategy = cfg.strategy if method in ("uplift", "detector_b") else "HUMAN3"
-    if strategy == "SUGGEST":
-        labels = {r.row_id: r.best_class for r in picks}
-    else:
-        frame = spark.createDataFrame([(r.row_id, r.best_class) for r in picks], "row_id long, best_class int")
-        labels = {r.row_id: r.new_label for r in annotate.clean_labels(frame, strategy, state.base, cfg.classes, cfg.annotator_error, state.votes).collect()}
-    ids, x, old, truth = picked_rows(state, list(labels))
+    suggested = {r.row_id: r.best_class for r in picks}
+    ids, x, old, truth = picked_rows(state, list(suggested))
+    votes = None
+    if state.votes is not None and strategy != "SUGGEST":
+        votes = [(r.row_id, r.label) for r in state.votes.where(F.col("row_id").isin(list(suggested))).select("row_id", "label").collect()]
+    # a truth of -1 is none
+    known = {i: t for i, t in zip(ids.tolist(), truth.tolist()) if t >= 0}
+    labels = annotate.clean_few(suggested, strategy, known, cfg.classes, cfg.annotator_error, votes)
+    at = np.isin(ids, list(labels))
+    ids, x, old, truth = ids[at], x[at], old[at], truth[at]
     new = np.eye(cfg.classes)[[labels[i] for i in ids]] if len(ids) else old
     t0 = time.perf_counter()
     before, explicit = state.rows, len(state.trace)
-    state.edits = state.edits | labels
-    state.train = annotate.apply_edits(state.base, spark.createDataFrame(list(state.edits.items()), "row_id long, new_label int"), cfg.classes)
+    state.edits, state.seen = state.edits | labels, None
     state.rows = edited_rows(state, ids, new, cfg)
     if update == "replay":
         state.w, state.trace, explicit = replay_label_edits(before, state.trace, ids, x, old, new, cfg)
@@ -163,7 +173,6 @@ def clean(state: State, picks: list, cfg: CleanConfig, update: str = "replay", m
     else:
         state.w, state.trace = retrain(state.rows, cfg)
     took = time.perf_counter() - t0
-    suggested = {r.row_id: r.best_class for r in picks}
     agreed = int(sum(suggested[i] == t for i, t in zip(ids.tolist(), truth.tolist())))
     return {"t_update": took, "agreed": agreed, "votes": annotate.annotation_cost(strategy, len(labels)), "explicit": explicit}
 

@@ -10,13 +10,13 @@ from pyspark.sql import functions as F
 from tidelabel.config import CleanConfig
 from tidelabel.functions.rand import random_weak
 from tidelabel.operators import baselines, influence, pruner
-from tidelabel.operators.annotate import apply_edits
 from tidelabel.operators.core import influence_vector, rows_of, train_newton, trusted_rows, validation_gradient
 from tidelabel.operators.measures import mean_and_spread, quality
 from tidelabel.operators.replay import closeness, replay_label_edits, retrain, warm_refit
 from tidelabel.plans.loop import choose, edited_rows, initialise, picked_rows, run_loop
 from tidelabel.schema import ROUNDS
-from tidelabel.sources.tables import FIXTURES, checked, crowd_votes
+from tidelabel.sources.sinks import written
+from tidelabel.sources.tables import FIXTURES, checked, crowd_votes, doc_crowd, document_statistics
 
 QUERIES = {}
 
@@ -121,9 +121,11 @@ def spread(spark, sf_dir, names=("doc_quality", "doc_toxic"), repeats: int = REP
 @query("exp1_crowd")
 def _(spark, sf_dir):
     """Documents without a label: the four labelling functions are the crowd whose votes are bought; no truth to agree with."""
-    train, _ = fixture(spark, sf_dir, "doc_crowd")
+    # texts are read once, for features and votes; every round asks for a few rows' votes
+    stats = written(document_statistics(spark, sf_dir), "statistics")
+    train = checked(doc_crowd(spark, sf_dir, stats).persist(), 2)
     cfg = settings(train)
-    return compared(spark, train, cfg, arms(cfg), crowd_votes(spark, sf_dir))
+    return compared(spark, train, cfg, arms(cfg), written(crowd_votes(spark, sf_dir, stats), "votes"))
 
 
 @query("exp1_hard")
@@ -275,8 +277,7 @@ def refreshed(state, picks, cfg):
     ids, x, old, _ = picked_rows(state, list(chosen))
     new = np.eye(cfg.classes)[[chosen[i] for i in ids]]
     before = state.w
-    state.edits = state.edits | chosen
-    state.train = apply_edits(state.base, state.base.sparkSession.createDataFrame(list(state.edits.items()), "row_id long, new_label int"), cfg.classes)
+    state.edits, state.seen = state.edits | chosen, None
     edited = edited_rows(state, ids, new, cfg)
     ways = {
         "replay": lambda: replay_label_edits(state.rows, state.trace, ids, x, old, new, cfg), "retrain": lambda: (*retrain(edited, cfg), len(state.trace)),
