@@ -151,13 +151,31 @@ def _(spark, sf_dir):
     return spark.createDataFrame([(t, round(float(np.linalg.norm(s.w)), 9), round(float(np.linalg.norm(s.g)), 9), s.n) for t, s in enumerate(trace)], "t int, norm_w double, norm_g double, n_batch long")
 
 
-@query("lbfgs_product")
+#: Steps of the kept curvature pairs, and the vector that their matrix is applied to.
+PAIRS = [np.roll(np.array([1.0, 0.5, -0.25, 0.1]), k) for k in range(3)]
+APPLIED = np.array([1.0, -1.0, 2.0, 0.5])
+
+
+def lbfgs_sql() -> str:
+    """The compact form unrolled: updates of a multiple of the identity by one pair after another, the matrix as a list."""
+    vector = lambda v: str([float(a) for a in v])
+    times = lambda m, v: f"list_transform(range(4), lambda i: list_inner_product({m}[4 * i + 1:4 * i + 4], {v}))"
+    parts = ["hl as materialized (select list(h + case when i = j then 0.05 else 0 end order by i, j) as h from (" + HESS + "))"]
+    last = vector(PAIRS[-1])
+    parts.append(f"b0 as materialized (select h, list_transform(range(16), lambda k: case when k // 4 = k % 4 then list_inner_product({last}, {times('h', last)}) / list_inner_product({last}, {last}) else 0 end) as b from hl)")
+    for k, step in enumerate(map(vector, PAIRS)):
+        parts.append(f"p{k} as materialized (select h, b, {times('b', step)} as bs, {times('h', step)} as y from b{k})")
+        parts.append(f"b{k + 1} as materialized (select h, list_transform(range(16), lambda k: b[k + 1] - bs[k // 4 + 1] * bs[k % 4 + 1] / list_inner_product({step}, bs) + y[k // 4 + 1] * y[k % 4 + 1] / list_inner_product({step}, y)) as b from p{k})")
+    return ", ".join(parts) + f" select (unnest(range(4)))::integer as j, round(unnest({times('b', vector(APPLIED))}), 9) as bu from b{len(PAIRS)}"
+
+
+@query("lbfgs_product", f"with {ROWS}, {EXPLODED}, {lbfgs_sql()}")
 def _(spark, sf_dir):
-    h, memory = np.diag([1.0, 2.0, 3.0, 4.0]) + 0.1, CurvatureMemory(3)
-    for k in range(3):
-        s = np.roll(np.array([1.0, 0.5, -0.25, 0.1]), k)
+    """The quasi-Newton matrix of pairs (step, change of the gradient by the training rows' Hessian), applied to a vector."""
+    h, memory = hessian(rows_of(small_train(spark, sf_dir), CFG), both(U), CFG.lam)[4:, 4:], CurvatureMemory(len(PAIRS))
+    for s in PAIRS:
         memory.add(s, h @ s)
-    return from_vector(spark, memory.apply(np.array([1.0, -1.0, 2.0, 0.5])), ("j", "bu"))
+    return from_vector(spark, memory.apply(APPLIED), ("j", "bu"))
 
 
 # annotation
