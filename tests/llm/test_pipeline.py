@@ -37,3 +37,20 @@ def test_dropped_documents_are_the_rejected_ones(spark, sf_dir):
     scored = toxicity.score(docs, toxicity.train(docs, toxicity.training_labels(spark, sf_dir)))
     kept = {r.doc_id for r in cp.toxicity_stage(spark, docs, sf_dir).collect()}
     assert kept == {r.doc_id for r in scored.where("predicted = 0").collect()}
+
+
+def test_classes_of_characters_take_little_memory():
+    """Lists of all code points, made in each of a machine's workers at once, brought an executor above its limit."""
+    import tracemalloc
+
+    from tidelabel.llm import language
+
+    language.classes.cache_clear()
+    tracemalloc.start()
+    word, letter = language.classes()
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 10_000_000
+    for i in (*range(0x3000), *range(0xD7F0, 0xE010), *range(0x1F5F0, 0x1F610), 0x10FFFF):
+        c = chr(i)
+        assert word[i] == (bool(language.LETTERS.fullmatch(c)) and not 0xD800 <= i < 0xE000) and letter[i] == (c.isalpha() and not 0xD800 <= i < 0xE000)
