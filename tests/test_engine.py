@@ -10,7 +10,7 @@ from tidelabel.operators.core import ClusterRows, gradient, hessian, influence_v
 from tidelabel.operators.measures import confusions, f1, f1_of, same_picks
 from tidelabel.operators.measures import quality as quality_of
 from tidelabel.operators.replay import retrain, warm_refit
-from tidelabel.plans.loop import initialise, resume, run_loop, save
+from tidelabel.plans.loop import initialise, on_cluster, resume, run_loop, save
 from tidelabel.sources.tables import checked, doc_quality, training_set, vec_planted
 
 
@@ -190,6 +190,27 @@ def test_a_path_over_mini_batches_on_the_cluster_takes_a_few_jobs(spark, quality
     assert again == pytest.approx(plain) and again != pytest.approx(want)
 
 
+@pytest.mark.parametrize("held", [64 << 20, 0])
+def test_selection_by_blocks_equals_that_by_rows(spark, quality, held):
+    """Brackets of all rows went back to Spark as lists, which took most of a round's selection."""
+    cfg = CFG.but(local_bytes=held)
+    s = initialise(quality, cfg, prune=True)
+    w = s.w0 * 0.97
+    v = influence_vector(s.rows, validation_gradient(s.val, w), w, cfg)
+    done = [r.row_id for r in influence.select_top(influence.uplift_influence(quality, w, v, cfg.gamma), 3).collect()]
+    full = influence.select_top(influence.uplift_influence(on_cluster(s), w, v, cfg.gamma, 10), 10).collect()
+    assert [r.row_id for r in full] == [r.row_id for r in influence.select_top(influence.uplift_influence(quality, w, v, cfg.gamma), 10).collect()]
+    pairs = [(pruner.brackets(s.prov, v, w, s.w0, cfg.gamma, k, m, done), pruner.bracket_reach(v, w, s.w0, cfg.gamma, k, m)) for k in ("printed", "softmax_exact") for m in ("anchor", "ceiling")]
+    for bounds, reach in [*pairs, (pruner.prescreen(s.prov, v, s.v0, w, s.w0, cfg.gamma, done), pruner.prescreen_reach(v, s.v0, w, s.w0, cfg.gamma))]:
+        for threshold in ("printed", "tight"):
+            best, n, _ = pruner.pruned_top(bounds, w, v, cfg.gamma, 10, threshold)
+            (got, m, _), jobs = jobs_of(spark, lambda: pruner.pruned_rows(s.facts, reach, w, v, cfg.gamma, 10, threshold, done))  # noqa: B023
+            want = best.orderBy("best_score", "row_id").collect()
+            assert m == n and [(r.row_id, r.best_class) for r in got] == [(r.row_id, r.best_class) for r in want] and [r.best_score for r in got] == pytest.approx([r.best_score for r in want])
+            assert jobs <= 2 and not {r.row_id for r in got} & set(done)
+    assert pruner.pruned_rows(s.facts, reach, w, v, cfg.gamma, 10, done=[r.row_id for r in quality.select("row_id").collect()])[:2] == ([], 0)
+
+
 def test_votes_of_few_rows_equal_those_of_the_table(spark, quality):
     truth = {r.row_id: r.truth for r in quality.where("split = 'train'").limit(60).collect()}
     picks = {i: i % 2 for i in truth}

@@ -39,7 +39,8 @@ def split_sql(row_id: str) -> str:
 def random_weak(seed: str, row_id: str, classes: int) -> Column:
     """C uniforms, normalised: the weak label of a row about which nothing is known."""
     u = F.array(*(uniform(f"{seed}.{c}", row_id) + F.lit(1e-6) for c in range(classes)))
-    return F.transform(u, lambda v: v / F.aggregate(u, F.lit(0.0), lambda a, b: a + b))
+    # bound once: named twice, the digests would be made again for every class
+    return F.transform(F.array(u), lambda w: F.transform(w, lambda v: v / F.aggregate(w, F.lit(0.0), lambda a, b: a + b)))[0]
 
 
 def random_weak_sql(seed: str, row_id: str, classes: int) -> str:

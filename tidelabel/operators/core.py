@@ -9,6 +9,7 @@ sums by task that Spark adds up. What comes to the driver has the model's size.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from copy import copy
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -23,6 +24,10 @@ from tidelabel.sources.tables import as_arrays
 #: Bytes of mini-batches that the driver fetches at once, and epochs whose order it remembers.
 FETCH_BYTES = 32 << 20
 EPOCHS = 4
+#: Rows of a block at most; columns of blocks that aren't double, and those of lists.
+BLOCK = 1 << 13
+KINDS = {"row_id": np.int64, "is_clean": np.bool_}
+LISTS = ("x", "weak", "p0", "s0")
 
 
 def softmax(z: np.ndarray) -> np.ndarray:
@@ -80,6 +85,32 @@ def batch_of(row_id, epoch: int, batches: int):
     return mixed % batches
 
 
+def packed(rows: DataFrame) -> DataFrame:
+    """``rows`` by blocks: a row holds BLOCK rows at most, each column as the bytes of its values.
+
+    A pass over features as lists is mostly spent on handing them over list by list.
+    """
+    names = rows.columns
+
+    def run(batches):
+        for found in batches:
+            for at in range(0, found.num_rows, BLOCK):
+                b = found.slice(at, BLOCK)
+                values = (c.flatten() if pa.types.is_list(c.type) else c for c in b.columns)
+                yield pa.RecordBatch.from_arrays([pa.array([np.ascontiguousarray(v.to_numpy(zero_copy_only=False)).tobytes()], pa.binary()) for v in values], names=names)
+
+    return rows.mapInArrow(run, ", ".join(f"{n} binary" for n in names))
+
+
+def blocks(batches, names) -> Iterator[list[np.ndarray]]:
+    """The named columns of every block of ``packed``; row_id is among those read."""
+    for found in batches:
+        columns = [found.column(n) for n in ("row_id", *names)]
+        for i in range(found.num_rows):
+            ids, *values = (np.frombuffer(c[i].as_buffer(), KINDS.get(n, np.float64)) for n, c in zip(("row_id", *names), columns))
+            yield [ids, *(v.reshape(len(ids), -1) if n in LISTS else v for n, v in zip(names, values))]
+
+
 @dataclass
 class LocalRows:
     """A training set as arrays on the driver."""
@@ -121,6 +152,15 @@ class LocalRows:
         return (Batch(self, k) for k in keys)
 
 
+def edited_labels(ids: np.ndarray, y: np.ndarray, clean: np.ndarray, edits: dict[int, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """(labels, marks) with the edits among these rows put in, in copies."""
+    at = np.flatnonzero(np.isin(ids, np.fromiter(edits, np.int64, len(edits)))) if edits else ()
+    if len(at):
+        y, clean = y.copy(), clean.copy()
+        y[at], clean[at] = [edits[i] for i in ids[at].tolist()], True
+    return y, clean
+
+
 @dataclass
 class Batch:
     """One (epoch, number, batches) of a training set, summed by it."""
@@ -133,7 +173,7 @@ class Batch:
 
 
 class ClusterRows:
-    """A training set as a DataFrame; every sum over all rows is one distributed pass.
+    """A training set as a DataFrame; every sum over all rows is one distributed pass, over blocks that are written once.
 
     A path over mini-batches makes a step at a time, so that a job a step would take
     mostly the jobs' fixed costs. Instead the rows are written once an epoch, dealt out to
@@ -147,15 +187,39 @@ class ClusterRows:
         first = self.train.select(F.size("weak").alias("c"), F.size("x").alias("d")).first()
         self.shape = (first.c, first.d) if first else (0, 0)
         self.size = self.train.count()
-        self.base, self.dealt, self.edits = self.train, {}, {}
+        self.base, self.dealt, self.edits, self.pooled = self.train, {}, {}, False
 
     def edited(self, train: DataFrame, ids: np.ndarray, new: np.ndarray) -> ClusterRows:
         """These rows with new labels for ``ids``, as ``train`` has them; what is dealt out is kept."""
         out = object.__new__(ClusterRows)
         out.train, out.gamma, out.shape, out.size = train.where("split = 'train'").select("row_id", "x", "weak", "is_clean"), self.gamma, self.shape, self.size
-        out.base, out.dealt, out.edits = self.base, self.dealt, self.edits | dict(zip(ids.tolist(), new))
+        out.base, out.dealt, out.edits, out.pooled = self.base, self.dealt, self.edits | dict(zip(ids.tolist(), new)), self.pooled
+        return out
+
+    def uncleaned(self) -> ClusterRows:
+        """A view of the rows not cleaned yet, for ``over``."""
+        out = copy(self)
+        out.pooled = True
         return out
 
+    def over(self, fn: Callable[[LocalRows], pa.RecordBatch | None], schema: str) -> DataFrame:
+        """What ``fn`` gives of every block, in one pass; ``dealt`` is shared by all edited copies, and so are the blocks."""
+        if "blocks" not in self.dealt:
+            self.dealt["blocks"] = written(packed(self.base), "rows")
+        edits, gamma, pooled = self.edits, self.gamma, self.pooled
+
+        def run(batches):
+            for ids, x, y, clean in blocks(batches, ("x", "weak", "is_clean")):
+                part = LocalRows(ids, x, *edited_labels(ids, y, clean, edits), gamma)
+                if pooled and part.clean.any():
+                    m = ~part.clean
+                    part = LocalRows(ids[m], x[m], part.y[m], part.clean[m], gamma)
+                out = fn(part) if part.size else None
+                if out is not None:
+                    yield out
+
+        return self.dealt["blocks"].mapInArrow(run, schema)
+
     def at_once(self, batches: int) -> int:
         """Mini-batches that the driver fetches at once; 0 where they are too large."""
         each = (sum(self.shape) + 2) * 8 * -(-self.size // batches)
@@ -209,28 +273,18 @@ class ClusterRows:
         ids, x, y, clean = whole("ids", np.int64), whole("x", np.float64).reshape(-1, d), whole("y", np.float64).reshape(-1, c), whole("clean", np.bool_)
         order = np.argsort(ids, kind="stable")
         ids, x, y, clean = ids[order], x[order], y[order], clean[order]
-        if self.edits:
-            for i in np.flatnonzero(np.isin(ids, np.fromiter(self.edits, np.int64, len(self.edits)))):
-                y[i], clean[i] = self.edits[int(ids[i])], True
-        return LocalRows(ids, x, y, clean, self.gamma)
+        return LocalRows(ids, x, *edited_labels(ids, y, clean, self.edits), self.gamma)
 
     def total(self, fn: Callable, batch: tuple[int, int, int] | None = None) -> tuple[np.ndarray, int]:
-        rows, gamma = self.train, self.gamma
-        if batch is not None:
-            rows = rows.where(F.pmod(F.pmod(F.col("row_id") * 7919 + batch[0] * 104729, F.lit(1000003)), F.lit(batch[2])) == batch[1])
-
-        def run(batches):
-            sums, n = 0.0, 0
-            for b in batches:
-                if b.num_rows:
-                    x, y = (b.column(i).flatten().to_numpy().reshape(b.num_rows, -1) for i in (0, 1))
-                    weight = np.where(b.column(2).to_numpy(zero_copy_only=False), 1.0, gamma)
-                    sums, n = sums + np.asarray(fn(x, y, weight)), n + b.num_rows
-            if n:
-                flat = np.append(np.ravel(sums), n)
-                yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat), dtype=np.int32)), pa.array(flat)], names=["i", "v"])
-
-        parts = rows.select("x", "weak", "is_clean").mapInArrow(run, "i int, v double").groupBy("i").agg(F.sum("v").alias("v")).orderBy("i").toArrow()
+        def run(part):
+            if batch is not None:
+                m = batch_of(part.ids, batch[0], batch[2]) == batch[1]
+                part = LocalRows(part.ids[m], part.x[m], part.y[m], part.clean[m], part.gamma)
+            if part.size:
+                flat = np.append(np.ravel(fn(part.x, part.y, np.where(part.clean, 1.0, part.gamma))), part.size)
+                return pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat), dtype=np.int32)), pa.array(flat.astype(float))], names=["i", "v"])
+
+        parts = self.over(run, "i int, v double").groupBy("i").agg(F.sum("v").alias("v")).orderBy("i").toArrow()
         flat = parts["v"].to_numpy()
         if not len(flat):
             return np.zeros(1), 0

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
-from tidelabel.operators.core import LocalRows, softmax
+from tidelabel.operators.core import ClusterRows, LocalRows, softmax
 from tidelabel.schema import SCORES
 
 
@@ -63,37 +63,59 @@ class LocalScores:
         return [Row(row_id=int(self.ids[i]), best_class=int(best[i]), best_score=float(score[i])) for i in np.lexsort((self.ids, score))[:b]]
 
 
-def scored(rows: DataFrame | LocalRows, fn: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> DataFrame | LocalScores:
-    """SCORES of (row_id, x, weak) rows; ``fn`` gives [n, classes], or [n] for scores without a class."""
+def smallest(order: np.ndarray, ids: np.ndarray, b: int) -> np.ndarray:
+    """Places of the b smallest, ties by id; NaN comes last, as in Spark."""
+    at = np.arange(len(order))
+    if len(order) > b:
+        at = np.flatnonzero(~(order > np.partition(order, b - 1)[b - 1]))
+    return at[np.lexsort((ids[at], order[at]))[:b]]
+
+
+def score_batch(ids: np.ndarray, s: np.ndarray, b: int | None = None) -> pa.RecordBatch:
+    """SCORES from class scores [n, classes]; with ``b`` of the b best rows alone."""
+    best = s.argmin(axis=1)
+    score = s[np.arange(len(s)), best]
+    if b is not None:
+        at = smallest(score, ids, b)
+        ids, s, best, score = ids[at], s[at], best[at], score[at]
+    offsets = pa.array(np.arange(len(s) + 1, dtype=np.int32) * s.shape[1])
+    return pa.RecordBatch.from_arrays([pa.array(ids), pa.array(best.astype(np.int32)), pa.array(score), pa.ListArray.from_arrays(offsets, pa.array(s.ravel()))], names=["row_id", "best_class", "best_score", "scores"])
+
+
+def scored(rows: DataFrame | LocalRows | ClusterRows, fn: Callable[[np.ndarray, np.ndarray], np.ndarray], b: int | None = None) -> DataFrame | LocalScores:
+    """SCORES of (row_id, x, weak) rows; ``fn`` gives [n, classes], or [n] for scores without a class.
+
+    With ``b`` a batch gives only its b best, all that ``select_top`` may need of it.
+    """
     if isinstance(rows, LocalRows):
         return LocalScores(rows.ids, np.asarray(fn(rows.x, rows.y)).reshape(rows.size, -1) if rows.size else np.empty((0, 1)))
 
+    def of(ids, x, y):
+        return score_batch(ids, np.asarray(fn(x, y)).reshape(len(ids), -1), b)
+
+    if isinstance(rows, ClusterRows):
+        return rows.over(lambda part: of(part.ids, part.x, part.y), SCORES)
+
     def run(batches):
-        for b in batches:
-            if not b.num_rows:
-                continue
-            x, y = (b.column(i).flatten().to_numpy().reshape(b.num_rows, -1) for i in (1, 2))
-            s = np.asarray(fn(x, y)).reshape(b.num_rows, -1)
-            best = s.argmin(axis=1)
-            offsets = pa.array(np.arange(b.num_rows + 1, dtype=np.int32) * s.shape[1])
-            yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array(best.astype(np.int32)), pa.array(s[np.arange(len(s)), best]), pa.ListArray.from_arrays(offsets, pa.array(s.ravel()))],
-                names=["row_id", "best_class", "best_score", "scores"],
-            )
+        for batch in batches:
+            if batch.num_rows:
+                yield of(batch.column(0).to_numpy(), *(batch.column(i).flatten().to_numpy().reshape(batch.num_rows, -1) for i in (1, 2)))
 
     return rows.select("row_id", "x", "weak").mapInArrow(run, SCORES)
 
 
-def pool(train: DataFrame | LocalRows) -> DataFrame | LocalRows:
+def pool(train: DataFrame | LocalRows | ClusterRows) -> DataFrame | LocalRows | ClusterRows:
     """The rows that may be chosen: training rows not cleaned yet."""
+    if isinstance(train, ClusterRows):
+        return train.uncleaned()
     if isinstance(train, LocalRows):
         m = ~train.clean
         return LocalRows(train.ids[m], train.x[m], train.y[m], train.clean[m], train.gamma)
     return train.where("split = 'train' and not is_clean")
 
 
-def uplift_influence(train: DataFrame, w: np.ndarray, v: np.ndarray, gamma: float) -> DataFrame:
-    return scored(pool(train), lambda x, y: uplift_scores(x, y, w, v, gamma))
+def uplift_influence(train: DataFrame, w: np.ndarray, v: np.ndarray, gamma: float, b: int | None = None) -> DataFrame:
+    return scored(pool(train), lambda x, y: uplift_scores(x, y, w, v, gamma), b)
 
 
 def deletion_influence(train: DataFrame, w, v, gamma: float = 1.0, convention: str = "printed") -> DataFrame:

@@ -13,7 +13,7 @@ h = |x|^2 / 2, an upper bound at any model, so that the bracket is guaranteed.
 The prescreen goes further: with s0 = V0 x and |x| kept, |s - s0| <= |V - V0| |x| bounds
 all scores without reading x at all, and only rows in reach are read.
 
-The facts stand beside the features and weak labels in one table, so no round joins
+The facts stand beside the features and weak labels in one table of blocks, so no round joins
 anything: brackets are one pass over it, and the candidates are scored from its rows.
 Rows cleaned since, at most the budget, are left out by a list of ids.
 """
@@ -21,17 +21,20 @@ Rows cleaned since, at most the budget, are left out by a list of ids.
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import DataFrame, Observation, Row
 from pyspark.sql import functions as F
 
-from tidelabel.operators.core import hessian_norms, softmax
-from tidelabel.operators.influence import pool, scored, select_top, uplift_scores
+from tidelabel.operators.core import ClusterRows, blocks, hessian_norms, packed, softmax
+from tidelabel.operators.influence import pool, score_batch, scored, select_top, smallest, uplift_scores
+from tidelabel.schema import SCORES
 
 PROVENANCE = "row_id bigint, x array<double>, weak array<double>, p0 array<double>, h double, x_norm double, s0 array<double>"
+FACTS = ("row_id", "x", "weak", "p0", "h", "x_norm", "s0")
 BOUNDS = "row_id bigint, center array<double>, lower array<double>, upper array<double>, x array<double>, weak array<double>"
 
 
@@ -41,15 +44,33 @@ def _lists(a: np.ndarray) -> pa.Array:
 
 def provenance(train: DataFrame, w0: np.ndarray, v0: np.ndarray) -> DataFrame:
     """Features and weak labels of the pool with the C + C + 2 numbers that later rounds need of each row."""
+    return unpacked(facts(train, w0, v0))
+
+
+def facts(train: DataFrame | ClusterRows, w0: np.ndarray, v0: np.ndarray) -> DataFrame:
+    """The same by blocks, see ``packed``."""
+
+    def of(ids, x, y):
+        p = softmax(x @ w0.T)
+        values = (ids, x, y, p, hessian_norms(x, p), np.sqrt((x**2).sum(axis=1)), x @ v0.T)
+        return pa.RecordBatch.from_arrays([pa.array([np.ascontiguousarray(v).tobytes()], pa.binary()) for v in values], names=list(FACTS))
 
     def run(batches):
-        for b in batches:
-            if b.num_rows:
-                x = b.column(1).flatten().to_numpy().reshape(b.num_rows, -1)
-                p = softmax(x @ w0.T)
-                yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(3)), _lists(p), pa.array(hessian_norms(x, p)), pa.array(np.sqrt((x**2).sum(axis=1))), _lists(x @ v0.T)], names=["row_id", "x", "weak", "p0", "h", "x_norm", "s0"])
+        for found in blocks(batches, ("x", "weak")):
+            yield of(*found)
+
+    rows, schema = pool(train), ", ".join(f"{n} binary" for n in FACTS)
+    return rows.over(lambda part: of(part.ids, part.x, part.y), schema) if isinstance(rows, ClusterRows) else packed(rows.select("row_id", "x", "weak")).mapInArrow(run, schema)
 
-    return pool(train).select("row_id", "x", "weak").mapInArrow(run, PROVENANCE)
+
+def unpacked(found: DataFrame) -> DataFrame:
+    """PROVENANCE rows of ``facts``."""
+
+    def run(batches):
+        for values in blocks(batches, FACTS[1:]):
+            yield pa.RecordBatch.from_arrays([_lists(v) if v.ndim == 2 else pa.array(v) for v in values], names=list(FACTS))
+
+    return found.mapInArrow(run, PROVENANCE)
 
 
 def left(prov: DataFrame, done=()) -> DataFrame:
@@ -155,6 +176,76 @@ def pruned_top(bounds: DataFrame, w, v, gamma: float, b: int, threshold: str = "
     return picks, seen.get["n"], time.perf_counter() - began
 
 
+@dataclass(frozen=True)
+class Reach:
+    """Brackets as a function of arrays: the facts of PROVENANCE that it reads, and (centre, lower, upper) [n, classes] from them."""
+
+    facts: tuple[str, ...]
+    of: Callable[..., tuple[np.ndarray, np.ndarray, np.ndarray]]
+
+
+def bracket_reach(v, w, w0, gamma: float, kind: str = "softmax_exact", mu: str = "anchor") -> Reach:
+    """``brackets`` as a function."""
+    d = drift(v, w, w0)
+    return Reach(("x", "weak", "p0", "h"), lambda x, y, p0, h: bracket(x @ v.T, y, p0, h if mu == "anchor" else (x**2).sum(axis=1) / 2, gamma, d, kind))
+
+
+def prescreen_reach(v, v0, w, w0, gamma: float) -> Reach:
+    """``prescreen`` as a function; x isn't among its facts."""
+    reach, d = np.sqrt(((v - v0) ** 2).sum(axis=1)), drift(v, w, w0)
+
+    def of(y, p0, s0, size):
+        base = y + (1 - gamma) * (p0 - y)
+        sizes, h = np.abs(base), size * size / 2
+        centre = (base * s0).sum(axis=1, keepdims=True) - s0
+        slack = ((sizes * reach).sum(axis=1, keepdims=True) - sizes * reach + np.abs(base - 1) * reach) * size[:, None]
+        shift, radius = ((1 - gamma) / 2 * m * h[:, None] for m in (d.along, d.size))
+        return centre, centre + shift - radius - slack, centre + shift + radius + slack
+
+    return Reach(("weak", "p0", "s0", "x_norm"), of)
+
+
+def pruned_rows(found: DataFrame, reach: Reach, w, v, gamma: float, b: int, threshold: str = "printed", done=()) -> tuple[list[Row], int, float]:
+    """What ``pruned_top`` gives of the reach's brackets on ``facts``, its rows collected.
+
+    Brackets are made, compared and dropped within a task: of a block come the b rows that
+    decide the limit, then the b best candidates and how many there are.
+    """
+    names, gone = list(reach.facts), np.array(sorted(done), np.int64)
+
+    def ends(batches):
+        for ids, *values in blocks(batches, names):
+            centre, _, upper = reach.of(*values)
+            if threshold == "printed":
+                best = centre.argmin(axis=1)
+                order, end = (m[np.arange(len(best)), best] for m in (centre, upper))
+            else:
+                order = end = upper.min(axis=1)
+            left_in = ~np.isin(ids, gone)
+            ids, order, end = ids[left_in], order[left_in], end[left_in]
+            at = smallest(order, ids, b)
+            yield pa.RecordBatch.from_arrays([pa.array(ids[at]), pa.array(order[at]), pa.array(end[at])], names=["row_id", "place", "end"])
+
+    limit = found.select("row_id", *names).mapInArrow(ends, "row_id long, place double, end double").orderBy("place", "row_id").limit(b).agg(F.max("end").alias("limit")).first().limit
+    if limit is None:
+        return [], 0, 0.0
+    began, more = time.perf_counter(), [n for n in ("x", "weak") if n not in names]
+
+    def exact(batches):
+        for ids, *values in blocks(batches, [*names, *more]):
+            of = dict(zip([*names, *more], values))
+            low = reach.of(*(of[n] for n in names))[1].min(axis=1)
+            # as in Spark, NaN is above every number
+            kept = np.flatnonzero(((low <= limit) | np.isnan(limit)) & ~np.isin(ids, gone))
+            if len(kept):
+                best = score_batch(ids[kept], uplift_scores(of["x"][kept], of["weak"][kept], w, v, gamma), b)
+                yield best.append_column("n", pa.array([len(kept)] + [0] * (best.num_rows - 1), pa.int64()))
+
+    got = found.select("row_id", *names, *more).mapInArrow(exact, f"{SCORES}, n long").collect()
+    best = sorted(got, key=lambda r: (np.isnan(r.best_score), r.best_score, r.row_id))[:b]
+    return best, sum(r.n for r in got), time.perf_counter() - began
+
+
 def violations(bounds: DataFrame, exact: DataFrame, slack: float = 1e-9) -> int:
     """(row, class) pairs whose exact score lies outside its bracket."""
     both = bounds.join(exact.select("row_id", "scores"), "row_id")

@@ -12,12 +12,13 @@ from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tidelabel.config import CleanConfig
 from tidelabel.operators import annotate, baselines, influence, pruner
-from tidelabel.operators.core import LocalRows, Step, influence_vector, rows_of, train_sgd, trusted_rows, validation_gradient
+from tidelabel.operators.core import ClusterRows, LocalRows, Step, influence_vector, packed, rows_of, train_sgd, trusted_rows, validation_gradient
 from tidelabel.operators.measures import quality
 from tidelabel.operators.replay import replay_label_edits, retrain, warm_refit
 from tidelabel.schema import MODEL, TRACE
@@ -38,16 +39,23 @@ class State:
     trace: list
     w0: np.ndarray
     v0: np.ndarray
-    prov: DataFrame | None = None
+    facts: DataFrame | None = None  # of the pruner, by blocks
+    v: np.ndarray | None = None  # the influence vector of the choice in hand
     votes: DataFrame | None = None  # given votes (row_id, annotator, label); else annotators are simulated
     edits: dict[int, int] = field(default_factory=dict)
     log: list[dict] = field(default_factory=list)
 
+    @property
+    def prov(self) -> DataFrame | None:
+        """The pruner's facts as rows."""
+        return None if self.facts is None else pruner.unpacked(self.facts)
+
     @property
     def train(self) -> DataFrame:
         """The table as edited so far."""
         if self.seen is None:
-            edits = self.base.sparkSession.createDataFrame([(int(r), int(c)) for r, c in self.edits.items()], "row_id long, new_label int")
+            # from Arrow the edits are a local relation; from tuples every pass would read them by a job of its own
+            edits = self.base.sparkSession.createDataFrame(pa.table({"row_id": pa.array(self.edits.keys(), pa.int64()), "new_label": pa.array(self.edits.values(), pa.int32())}))
             self.seen = annotate.apply_edits(self.base, edits, len(self.w))
         return self.seen
 
@@ -61,17 +69,22 @@ def initialise(train: DataFrame, cfg: CleanConfig, prune: bool = False) -> State
     v = influence_vector(rows, validation_gradient(val, w), w, cfg)
     state = State(train, train, rows, val, test, w, trace, w, v)
     if prune:
-        state.prov = written(pruner.provenance(train, w, v), "provenance")
+        state.facts = written(pruner.facts(on_cluster(state), w, v), "provenance")
     return state
 
 
+def on_cluster(state: State) -> DataFrame | ClusterRows:
+    """The edited training rows for distributed passes: by blocks where they aren't the driver's."""
+    return state.train if isinstance(state.rows, LocalRows) else state.rows
+
+
 def save(state: State, root: str) -> None:
     """The state's path, parameters and pruner facts as Parquet, so that rounds go on after a lost driver."""
     spark, flat = state.train.sparkSession, lambda a: [float(z) for z in np.ravel(a)]
     spark.createDataFrame([(t, flat(s.w), flat(s.g), s.n) for t, s in enumerate(state.trace)], TRACE).coalesce(1).write.mode("overwrite").parquet(f"{root}/trace")
     spark.createDataFrame([(n, flat(getattr(state, n))) for n in ("w", "w0", "v0")], MODEL).coalesce(1).write.mode("overwrite").parquet(f"{root}/model")
     spark.createDataFrame([(int(r), int(c)) for r, c in state.edits.items()], "row_id long, new_label int").coalesce(1).write.mode("overwrite").parquet(f"{root}/edits")
-    if state.prov is not None:
+    if state.facts is not None:
         state.prov.write.mode("overwrite").parquet(f"{root}/provenance")
 
 
@@ -83,15 +96,15 @@ def resume(train: DataFrame, cfg: CleanConfig, root: str, prune: bool = False) -
     rows = rows_of(now, cfg)
     m = {r.name: np.reshape(r.value, rows.shape) for r in spark.read.schema(MODEL).parquet(f"{root}/model").collect()}
     trace = [Step(np.reshape(r.w, rows.shape), np.reshape(r.g, rows.shape), r.n_batch) for r in spark.read.schema(TRACE).parquet(f"{root}/trace").orderBy("t").collect()]
-    prov = spark.read.schema(pruner.PROVENANCE).parquet(f"{root}/provenance") if prune else None
-    return State(now, train, rows, trusted_rows(train, "val", cfg), trusted_rows(train, "test", cfg), m["w"], trace, m["w0"], m["v0"], prov, edits=edits)
+    facts = written(packed(spark.read.schema(pruner.PROVENANCE).parquet(f"{root}/provenance")), "provenance") if prune else None
+    return State(now, train, rows, trusted_rows(train, "val", cfg), trusted_rows(train, "test", cfg), m["w"], trace, m["w0"], m["v0"], facts, edits=edits)
 
 
-def scores_by(state: State, method: str, v: np.ndarray, cfg: CleanConfig) -> DataFrame:
+def scores_by(state: State, method: str, v: np.ndarray, cfg: CleanConfig, b: int | None = None) -> DataFrame:
     # rows that the driver holds are scored there
-    t, w = state.rows if isinstance(state.rows, LocalRows) else state.train, state.w
+    t, w = state.train if method == "random" and not isinstance(state.rows, LocalRows) else state.rows, state.w
     if method == "uplift":
-        return influence.uplift_influence(t, w, v, cfg.gamma)
+        return influence.uplift_influence(t, w, v, cfg.gamma, b)
     if method == "deletion":
         # most harmful first: rows whose removal would lower the validation loss most
         return influence.deletion_influence(t, w, v, cfg.gamma, "effect")
@@ -109,19 +122,17 @@ def scores_by(state: State, method: str, v: np.ndarray, cfg: CleanConfig) -> Dat
 def choose(state: State, cfg: CleanConfig, b: int, method: str = "uplift", prune: bool = False) -> tuple[list, dict]:
     """The next rows (row_id, best_class) and what choosing them took."""
     began = time.perf_counter()
-    v = influence_vector(state.rows, validation_gradient(state.val, state.w), state.w, cfg)
+    state.v = v = influence_vector(state.rows, validation_gradient(state.val, state.w), state.w, cfg)
     n_pool = state.rows.size - len(state.edits)
     n = n_pool
     t0 = time.perf_counter()
-    if method == "uplift" and prune and state.prov is not None and state.log:
-        bounds = pruner.brackets(state.prov, v, state.w, state.w0, cfg.gamma, cfg.brackets, done=state.edits)
-        top, n, t_grad = pruner.pruned_top(bounds, state.w, v, cfg.gamma, b, cfg.threshold)
-        picks = top.collect()
+    if method == "uplift" and prune and state.facts is not None and state.log:
+        picks, n, t_grad = pruner.pruned_rows(state.facts, pruner.bracket_reach(v, state.w, state.w0, cfg.gamma, cfg.brackets), state.w, v, cfg.gamma, b, cfg.threshold, state.edits)
         if n > cfg.reanchor_at * n_pool:
             state.w0, state.v0 = state.w, v
-            state.prov = written(pruner.provenance(state.train, state.w, v), "provenance")
+            state.facts = written(pruner.facts(on_cluster(state), state.w, v), "provenance")
     else:
-        scores = scores_by(state, method, v, cfg)
+        scores = scores_by(state, method, v, cfg, b)
         picks = scores.top(b) if isinstance(scores, influence.LocalScores) else influence.select_top(scores, b).collect()
         t_grad = time.perf_counter() - t0
     now = time.perf_counter()

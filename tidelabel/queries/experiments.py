@@ -13,7 +13,7 @@ from tidelabel.operators import baselines, influence, pruner
 from tidelabel.operators.core import influence_vector, rows_of, train_newton, trusted_rows, validation_gradient
 from tidelabel.operators.measures import mean_and_spread, quality
 from tidelabel.operators.replay import closeness, replay_label_edits, retrain, warm_refit
-from tidelabel.plans.loop import choose, edited_rows, initialise, picked_rows, run_loop
+from tidelabel.plans.loop import choose, edited_rows, initialise, on_cluster, picked_rows, run_loop
 from tidelabel.schema import ROUNDS
 from tidelabel.sources.sinks import written
 from tidelabel.sources.tables import FIXTURES, checked, crowd_votes, doc_crowd, document_statistics
@@ -223,17 +223,15 @@ def _(spark, sf_dir):
         def measure(now, _, name=name, state=state, cfg=cfg, rows=rows):
             if not now.edits:
                 return
-            v = influence_vector(now.rows, validation_gradient(now.val, now.w), now.w, cfg)
-            n_pool, picks = now.rows.size - len(now.edits), {}
+            v, n_pool, picks = now.v, now.rows.size - len(now.edits), {}
             for method in ("full", "pruner", "prescreen"):
                 began = time.perf_counter()
                 if method == "full":
-                    top, n = influence.select_top(influence.uplift_influence(now.train, now.w, v, cfg.gamma), cfg.round_size).collect(), n_pool
+                    top, n = influence.select_top(influence.uplift_influence(on_cluster(now), now.w, v, cfg.gamma, cfg.round_size), cfg.round_size).collect(), n_pool
                     t_grad = time.perf_counter() - began
                 else:
-                    bounds = pruner.brackets(state.prov, v, now.w, state.w0, cfg.gamma, cfg.brackets, done=now.edits) if method == "pruner" else pruner.prescreen(state.prov, v, state.v0, now.w, state.w0, cfg.gamma, now.edits)
-                    best, n, t_grad = pruner.pruned_top(bounds, now.w, v, cfg.gamma, cfg.round_size, cfg.threshold)
-                    top = best.collect()
+                    reach = pruner.bracket_reach(v, now.w, state.w0, cfg.gamma, cfg.brackets) if method == "pruner" else pruner.prescreen_reach(v, state.v0, now.w, state.w0, cfg.gamma)
+                    top, n, t_grad = pruner.pruned_rows(state.facts, reach, now.w, v, cfg.gamma, cfg.round_size, cfg.threshold, now.edits)
                 picks[method] = {r.row_id for r in top}
                 rows.append((name, len(now.log), method, n, n_pool, time.perf_counter() - began, t_grad, picks[method] == picks["full"]))
 
