@@ -211,6 +211,31 @@ def test_selection_by_blocks_equals_that_by_rows(spark, quality, held):
     assert pruner.pruned_rows(s.facts, reach, w, v, cfg.gamma, 10, done=[r.row_id for r in quality.select("row_id").collect()])[:2] == ([], 0)
 
 
+def test_mini_batches_come_while_steps_are_made(spark, quality, monkeypatch):
+    """Each fetch waited for the steps before it; edits made before dealing must not be dealt out."""
+    from tidelabel.operators import core
+
+    monkeypatch.setattr(core, "FETCH_BYTES", 30_000)
+    small = CFG.but(batches=12, steps=24)
+    local, far, asked = rows_of(quality, small), rows_of(quality, small.but(local_bytes=0)), []
+    ids, new = local.ids[:3], np.eye(2)[[0, 0, 0]]
+    edited = far.edited(quality, ids, new)
+    fetch = ClusterRows.fetched
+    monkeypatch.setattr(ClusterRows, "fetched", lambda self, part: asked.append(part[0]) or fetch(self, part))
+    keys = [(*divmod(t, 12), 12) for t in range(24)]
+    coming = edited.each_batch(keys)
+    first = next(coming)
+    assert len(asked) >= 2
+    sums = lambda x, y, g: np.append((x.T @ y).ravel(), g.sum())
+    y, clean = local.y.copy(), local.clean.copy()
+    y[:3], clean[:3] = new, True
+    for rows, parts in ((core.LocalRows(local.ids, local.x, y, clean, local.gamma), [first, *coming]), (local, list(far.each_batch(keys)))):
+        for k, part in zip(keys, parts, strict=True):
+            want, n = rows.total(sums, k)
+            got, m = part.total(sums)
+            assert m == n and got == pytest.approx(want)
+
+
 def test_votes_of_few_rows_equal_those_of_the_table(spark, quality):
     truth = {r.row_id: r.truth for r in quality.where("split = 'train'").limit(60).collect()}
     picks = {i: i % 2 for i in truth}

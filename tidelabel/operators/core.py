@@ -9,11 +9,13 @@ sums by task that Spark adds up. What comes to the driver has the model's size.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from concurrent.futures import ThreadPoolExecutor
 from copy import copy
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -21,11 +23,13 @@ from tidelabel.config import CleanConfig
 from tidelabel.sources.sinks import written
 from tidelabel.sources.tables import as_arrays
 
-#: Bytes of mini-batches that the driver fetches at once, and epochs whose order it remembers.
+#: Bytes of mini-batches that the driver fetches at once, fetches under way beside it, and epochs whose order it remembers.
 FETCH_BYTES = 32 << 20
+AHEAD = 2
 EPOCHS = 4
-#: Rows of a block at most; columns of blocks that aren't double, and those of lists.
+#: Rows of a block at most, and rows that a task deals out at once; columns of blocks that aren't double, and those of lists.
 BLOCK = 1 << 13
+DEALT = 1 << 18
 KINDS = {"row_id": np.int64, "is_clean": np.bool_}
 LISTS = ("x", "weak", "p0", "s0")
 
@@ -102,6 +106,13 @@ def packed(rows: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, ", ".join(f"{n} binary" for n in names))
 
 
+def _cuts(values: np.ndarray, ends: np.ndarray) -> pa.Array:
+    """Rows of ``values`` between one end and the next, each as a binary value."""
+    flat = np.ascontiguousarray(values)
+    offsets = (ends * (flat.nbytes // max(len(flat), 1))).astype(np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(ends) - 1, [None, pa.py_buffer(offsets), pa.py_buffer(flat)])
+
+
 def blocks(batches, names) -> Iterator[list[np.ndarray]]:
     """The named columns of every block of ``packed``; row_id is among those read."""
     for found in batches:
@@ -203,9 +214,7 @@ class ClusterRows:
         return out
 
     def over(self, fn: Callable[[LocalRows], pa.RecordBatch | None], schema: str) -> DataFrame:
-        """What ``fn`` gives of every block, in one pass; ``dealt`` is shared by all edited copies, and so are the blocks."""
-        if "blocks" not in self.dealt:
-            self.dealt["blocks"] = written(packed(self.base), "rows")
+        """What ``fn`` gives of every block, in one pass."""
         edits, gamma, pooled = self.edits, self.gamma, self.pooled
 
         def run(batches):
@@ -218,7 +227,13 @@ class ClusterRows:
                 if out is not None:
                     yield out
 
-        return self.dealt["blocks"].mapInArrow(run, schema)
+        return self.stored().mapInArrow(run, schema)
+
+    def stored(self) -> DataFrame:
+        """The unedited rows by blocks; as ``dealt`` is shared by all edited copies, so are they."""
+        if "blocks" not in self.dealt:
+            self.dealt["blocks"] = written(packed(self.base), "rows")
+        return self.dealt["blocks"]
 
     def at_once(self, batches: int) -> int:
         """Mini-batches that the driver fetches at once; 0 where they are too large."""
@@ -230,41 +245,73 @@ class ClusterRows:
         if (epoch, batches) not in self.dealt:
             run_of = self.at_once(batches)
 
-            def run(found):
+            def cut(held):
+                """Rows of some blocks by mini-batch: a binary value for each, cut from the bytes of all."""
+                ids = np.concatenate([h[0] for h in held])
+                of = batch_of(ids, epoch, batches)
+                order = np.argsort(of, kind="stable")
+                starts = np.flatnonzero(np.diff(of[order], prepend=-1))
+                ends, values = np.append(starts, len(order)), (ids, *(np.concatenate([h[i] for h in held]) for i in (1, 2, 3)))
+                return pa.RecordBatch.from_arrays([pa.array(of[order][starts].astype(np.int32)), *(_cuts(v[order], ends) for v in values)], names=["number", "ids", "x", "y", "clean"])
+
+            def deal(found):
+                held, n = [], 0
+                for values in blocks(found, ("x", "weak", "is_clean")):
+                    held, n = [*held, values], n + len(values[0])
+                    if n >= DEALT:
+                        yield cut(held)
+                        held, n = [], 0
+                if held:
+                    yield cut(held)
+
+            def join(found):
                 for b in found:
                     number = b.column(0).to_numpy()
-                    cuts = [0, *(np.flatnonzero(np.diff(number)) + 1).tolist(), b.num_rows]
-                    parts = [b.slice(i, j - i) for i, j in zip(cuts, cuts[1:]) if j > i]
-                    as_bytes = lambda i: pa.array([np.ascontiguousarray(p.column(i).flatten().to_numpy() if i in (2, 3) else p.column(i).to_numpy(zero_copy_only=False)).tobytes() for p in parts], pa.binary())  # noqa: B023, E731
-                    n = np.array([p.column(0)[0].as_py() for p in parts], dtype=np.int32)
-                    yield pa.RecordBatch.from_arrays([pa.array(n // run_of), pa.array(n), *map(as_bytes, range(1, 5))], names=["run", "number", "ids", "x", "y", "clean"])
-
-            number = F.pmod(F.pmod(F.col("row_id") * 7919 + epoch * 104729, F.lit(1000003)), F.lit(batches)).cast("int")
-            rows = self.base.select(number.alias("number"), "row_id", "x", "weak", "is_clean").repartition("number").sortWithinPartitions("number", "row_id")
-            packed = rows.mapInArrow(run, "run int, number int, ids binary, x binary, y binary, clean binary")
-            self.dealt[epoch, batches] = written(packed, "batches", "run")
+                    starts = np.flatnonzero(np.diff(number, prepend=-1))
+                    ends = np.append(starts, len(number))
+                    # one mini-batch's values stand side by side
+                    for at in range(0, len(starts), run_of):
+                        some = ends[at : at + run_of + 1]
+                        n = number[some[:-1]]
+                        yield pa.RecordBatch.from_arrays([pa.array(n // run_of), pa.array(n), *(pa.array([b"".join(c[i:j].to_pylist()) for i, j in zip(some, some[1:])], pa.binary()) for c in b.columns[1:])], names=["run", "number", "ids", "x", "y", "clean"])
+
+            parts = "number int, ids binary, x binary, y binary, clean binary"
+            dealt = self.stored().mapInArrow(deal, parts).repartition("number").sortWithinPartitions("number")
+            self.dealt[epoch, batches] = written(dealt.mapInArrow(join, f"run int, {parts}"), "batches", "run")
         return self.dealt[epoch, batches]
 
     def each_batch(self, keys: list[tuple[int, int, int]]) -> Iterator[Batch | LocalRows]:
         """The mini-batches one after another, in the order of ``keys``."""
-        at = 0
+        parts, at = [], 0
         while at < len(keys):
             epoch, _, batches = keys[at]
             most = self.at_once(batches)
-            if not most:
-                yield Batch(self, keys[at])
-                at += 1
-                continue
-            part = keys[at : at + most]
-            part = part[: next((i for i, k in enumerate(part) if (k[0], k[2]) != (epoch, batches)), len(part))]
-            at += len(part)
-            numbers = [k[1] for k in part]
-            found = self.deal(epoch, batches).where(F.col("run").isin(sorted({n // most for n in numbers})) & F.col("number").isin(numbers)).drop("run").toArrow().to_pylist()
-            pieces: dict[int, list] = {}
-            for r in found:
-                pieces.setdefault(r["number"], []).append(r)
-            for n in numbers:
-                yield self.local(pieces.get(n, []))
+            part = keys[at : at + max(most, 1)]
+            parts.append((most, part[: next((i for i, k in enumerate(part) if (k[0], k[2]) != (epoch, batches)), len(part))]))
+            at += len(parts[-1][1])
+        with ThreadPoolExecutor(AHEAD) as ahead:
+            # while the steps of one part are made, the next ones are on their way
+            fetch = inheritable_thread_target(self.train.sparkSession)(self.fetched)
+            ask = lambda i: ahead.submit(fetch, parts[i][1]) if i < len(parts) and parts[i][0] else None
+            for epoch, batches in dict.fromkeys((p[0][0], p[0][2]) for most, p in parts if most):
+                self.deal(epoch, batches)
+            coming = [ask(i) for i in range(AHEAD)]
+            for i, (most, part) in enumerate(parts):
+                now = coming.pop(0)
+                pieces = now.result() if now else None
+                coming.append(ask(i + AHEAD))
+                for k in part:
+                    yield self.local(pieces.pop(k[1], [])) if most else Batch(self, k)
+
+    def fetched(self, part: list[tuple[int, int, int]]) -> dict[int, list[dict]]:
+        """The pieces of mini-batches of one epoch, by number."""
+        epoch, _, batches = part[0]
+        most, numbers = self.at_once(batches), [k[1] for k in part]
+        found = self.deal(epoch, batches).where(F.col("run").isin(sorted({n // most for n in numbers})) & F.col("number").isin(numbers)).drop("run").toArrow().to_pylist()
+        pieces: dict[int, list] = {}
+        for r in found:
+            pieces.setdefault(r["number"], []).append(r)
+        return pieces
 
     def local(self, pieces: list[dict]) -> LocalRows:
         """The rows of one mini-batch, with the edits since."""
